@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import line_dedup, quality_rules
+from . import jaccard_join, line_dedup, quality_rules
 from .common import read_table
 
 
@@ -36,5 +36,26 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", *[F.col(f"__{c}").alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "ratio", "kept")])
 
 
-QUERIES = {"op3_line_dedup": op3_line_dedup, "op10_quality_rules": op10_quality_rules}
-SQL = {"op3_line_dedup": OP3_SQL}
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.link_components(read_table(spark, sf_dir, "documents").select("doc_id", "text")).withColumnRenamed("id", "doc_id")
+
+
+OP8_SQL = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), sets AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+    ELSE list_distinct([array_to_string(w[i:i + 4], ' ') FOR i IN range(1, len(w) - 3)]) END AS s FROM words
+), items AS (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM sets),
+pairs AS (
+  SELECT a.doc_id AS a, b.doc_id AS b FROM items a JOIN items b ON a.g = b.g AND a.doc_id < b.doc_id
+  GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 100 * count(*) >= 75 * (a.n + b.n - count(*))
+), edges AS (SELECT a, b FROM pairs UNION ALL SELECT b, a FROM pairs),
+reach(node, spot) AS (SELECT doc_id, doc_id FROM documents UNION SELECT r.node, e.b FROM reach r JOIN edges e ON r.spot = e.a)
+SELECT d.doc_id, len(s.s)::BIGINT AS n_shingles, min(r.spot)::BIGINT AS component_id
+FROM documents d JOIN sets s USING (doc_id) JOIN reach r ON r.node = d.doc_id GROUP BY d.doc_id, len(s.s)
+"""
+
+
+QUERIES = {"op3_line_dedup": op3_line_dedup, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
+SQL = {"op3_line_dedup": OP3_SQL, "op8_jaccard_join": OP8_SQL}
