@@ -5,10 +5,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, jaccard_join, line_dedup, packing, quality_rules
+from . import decontam, html_extract, jaccard_join, line_dedup, packing, quality_rules, url_filter
 from .common import read_table
 
 
+#: The rules of op1, host and path in one.
+URL_RULES = (("org/", "allow"), ("example.org/es/", "block"), ("example.org/en/1", "block"), ("com/fr/", "allow"), ("com/de/", "block"))
+#: The listed canonical URLs of op1: sites that are blocked whole unless a rule says otherwise.
+LISTED_URLS = ("spam-farm.example.org/", "cheap-pills.example.com/", "casino-win.example.org/", "ads-track.example.org/", "free-bets.example.com/")
+
+
+def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = read_table(spark, sf_dir, "pages").select("page_id", "url")
+    entries = url_filter.entry_table(spark.createDataFrame(list(URL_RULES), "entry string, verdict string"), spark.createDataFrame([(u,) for u in LISTED_URLS], "url string"))
+    return url_filter.judge(pages, entries).select("page_id", *[F.col(f"__{c}").alias(c) for c in ("host", "path", "rule", "verdict")])
+
+
+OP1_SQL = f"""
+WITH u AS (
+  SELECT page_id, row_number() OVER () AS r,
+    translate(regexp_extract(coalesce(url, ''), '://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+    regexp_extract(coalesce(url, ''), '://[^/?#]*([^?#]*)', 1) AS path FROM pages
+), rules(entry, verdict) AS (VALUES {", ".join(f"('{e}', '{v}')" for e, v in URL_RULES)}),
+listed(entry) AS (VALUES {", ".join(f"('{e}')" for e in LISTED_URLS)}),
+split AS (SELECT entry, verdict, split_part(entry, '/', 1) AS h, substr(entry, strpos(entry, '/')) AS p FROM rules),
+best AS (
+  SELECT r, max_by(entry, length(entry)) AS rule, max_by(verdict, length(entry)) AS verdict FROM u JOIN split ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p) GROUP BY r
+), spam AS (SELECT DISTINCT r FROM u JOIN listed ON host = split_part(entry, '/', 1) OR ends_with(host, '.' || split_part(entry, '/', 1)))
+SELECT page_id, host, path, rule, coalesce(verdict, CASE WHEN spam.r IS NULL THEN 'allow' ELSE 'block' END) AS verdict
+FROM u LEFT JOIN best USING (r) LEFT JOIN spam USING (r)
+"""
+
+
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -47,6 +75,20 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", *[F.col(f"__{c}").alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "ratio", "kept")])
 
 
+def op5_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = read_table(spark, sf_dir, "pages")
+    return html_extract.extract_text(pages).select("page_id", "url", F.col("__text").alias("text"), F.col("__n_chars").alias("n_chars"))
+
+
+#: Holds for the layout of the given pages, whose text is that of their article element.
+OP5_SQL = r"""
+WITH a AS (SELECT page_id, url, regexp_extract(coalesce(html, ''), '(?s)<article>(.*)</article>', 1) AS body FROM pages),
+blocks AS (SELECT page_id, url, [trim(regexp_replace(regexp_replace(regexp_replace(x, '<br>', ' ', 'g'), '<[^>]*>', '', 'g'), '\s+', ' ', 'g')) FOR x IN regexp_split_to_array(body, '</?(?:p|h1)>')] AS b FROM a),
+decoded AS (SELECT page_id, url, [regexp_replace(replace(replace(replace(replace(x, '&lt;', '<'), '&gt;', '>'), '&quot;', '"'), '&#x27;', chr(39)), '&amp;?', '&', 'g') FOR x IN b IF x <> ''] AS b FROM blocks)
+SELECT page_id, url, coalesce(array_to_string(b, chr(10) || chr(10)), '') AS text, length(coalesce(array_to_string(b, chr(10) || chr(10)), ''))::BIGINT AS n_chars FROM decoded
+"""
+
+
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     return decontam.report(docs, read_table(spark, sf_dir, "benchmark"))
@@ -92,5 +134,5 @@ FROM documents d JOIN sets s USING (doc_id) JOIN reach r ON r.node = d.doc_id GR
 """
 
 
-QUERIES = {"op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
-SQL = {"op3_line_dedup": OP3_SQL, "op7_decontamination": OP7_SQL, "op8_jaccard_join": OP8_SQL}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op5_html_extraction": op5_html_extraction, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
+SQL = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_html_extraction": OP5_SQL, "op7_decontamination": OP7_SQL, "op8_jaccard_join": OP8_SQL}
