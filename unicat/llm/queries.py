@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, html_extract, jaccard_join, line_dedup, packing, quality_rules, url_filter
+from . import decontam, html_extract, jaccard_join, line_dedup, packing, pii, quality_rules, url_filter
 from .common import read_table
 
 
@@ -89,6 +89,13 @@ SELECT page_id, url, coalesce(array_to_string(b, chr(10) || chr(10)), '') AS tex
 """
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    kinds = [*pii.KINDS, "term"]
+    counts = [pii.how_many(F.col("__base"), n).alias(f"n_{k}") for n, k in enumerate(pii.KINDS)]
+    return found.select(F.col("__id").alias("doc_id"), *counts, F.sha2(pii.written(F.col("__base"), kinds), 256).alias("base_sha256"), pii.written(F.col("__all"), kinds).alias("spans"))
+
+
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     return decontam.report(docs, read_table(spark, sf_dir, "benchmark"))
@@ -134,5 +141,5 @@ FROM documents d JOIN sets s USING (doc_id) JOIN reach r ON r.node = d.doc_id GR
 """
 
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op5_html_extraction": op5_html_extraction, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op5_html_extraction": op5_html_extraction, "op6_pii": op6_pii, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
 SQL = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_html_extraction": OP5_SQL, "op7_decontamination": OP7_SQL, "op8_jaccard_join": OP8_SQL}
