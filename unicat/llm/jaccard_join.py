@@ -276,3 +276,12 @@ def link_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     lost = full.where("id is null").join(named, ["s1", "s2"], "left_anti").select("id", "n_shingles", F.lit(None).cast("long").alias("component_id"))
     alone = signed.where("n = 0").select("id", F.lit(0).cast("long").alias("n_shingles"), F.col("id").alias("component_id"))
     return known.unionByName(alone).unionByName(lost)
+
+
+def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """df with one document of each component: the one whose id names it. Rows with a null id stay."""
+    ids = link_components(df, id_col, text_col, size, percent).where("id = component_id").select(F.col("id").alias("__kept_id")).distinct()
+    ids = materialise(ids, "kept-ids")
+    few = ids.count() <= BROADCAST_IDS
+    kept = df.join(F.broadcast(ids) if few else ids, F.col(id_col).cast("long") == F.col("__kept_id"), "left_semi")
+    return kept.unionByName(df.where(F.col(id_col).isNull()))

@@ -105,3 +105,8 @@ def judge(df: DataFrame, text_col: str = "text", bands: Bands = Bands(), rejects
             yield out if rejects else out.filter(cols[-1])
 
     return df.mapInArrow(run, T.StructType(fields))
+
+
+def drop_rejected(df: DataFrame, text_col: str = "text", bands: Bands = Bands()) -> DataFrame:
+    """The rows of df that are kept, with their own columns."""
+    return judge(df, text_col, bands, rejects=False).drop(*ADDED.names)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, html_extract, jaccard_join, line_dedup, packing, pii, quality_rules, url_filter
+from . import decontam, html_extract, jaccard_join, line_dedup, lm_score, packing, pii, quality_classifier, quality_rules, url_filter
 from .common import read_table
 
 
@@ -69,12 +69,49 @@ FROM marked GROUP BY doc_id
 """
 
 
+def op9_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Target: documents labelled as good and not toxic. Numbers are rounded to six places."""
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
+    target = read_table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
+    scored = lm_score.score(docs, target)
+    return scored.select(F.col("id").alias("doc_id"), "n_tokens", *[F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "score")])
+
+
+OP9_SQL = r"""
+WITH docs AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w,
+    doc_id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0) AS mark FROM documents
+), tok AS (SELECT doc_id, mark, unnest(w) AS w, unnest(range(len(w))) AS i FROM docs),
+vocab AS (SELECT w, count(*) AS n, count(*) FILTER (mark) AS t FROM tok GROUP BY w HAVING count(*) >= 3),
+known AS (SELECT doc_id, mark, i, coalesce(v.w, '<unk>') AS w FROM tok LEFT JOIN vocab v ON tok.w = v.w),
+uni AS (SELECT w, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM known GROUP BY w),
+tot AS (SELECT sum(n) AS n, sum(t) AS t, (SELECT count(*) FROM vocab) + 1 AS size FROM uni),
+pairs AS (SELECT doc_id, mark, w, coalesce(lag(w) OVER (PARTITION BY doc_id ORDER BY i), '<start>') AS v FROM known),
+bi AS (SELECT v, w, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM pairs GROUP BY v, w HAVING count(*) >= 3),
+loss AS (
+  SELECT p.doc_id, count(*) AS n_tokens,
+    sum(ln(coalesce(c.t, 0) + 50) - ln(coalesce(b.t, 0) + 50 * (u.t + 1) / (tot.t + tot.size))) AS lt,
+    sum(ln(coalesce(c.n, 0) + 50) - ln(coalesce(b.n, 0) + 50 * (u.n + 1) / (tot.n + tot.size))) AS lb
+  FROM pairs p JOIN uni u ON p.w = u.w LEFT JOIN uni c ON p.v = c.w LEFT JOIN bi b ON p.v = b.v AND p.w = b.w, tot GROUP BY p.doc_id
+)
+SELECT d.doc_id, coalesce(n_tokens, 0)::BIGINT AS n_tokens, round(lt / n_tokens, 6) AS target_loss, round(lb / n_tokens, 6) AS background_loss, round((lt - lb) / n_tokens, 6) AS score
+FROM docs d LEFT JOIN loss USING (doc_id)
+"""
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     judged = quality_rules.judge(docs, drop_text=True)
     return judged.select("doc_id", *[F.col(f"__{c}").alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "ratio", "kept")])
 
 
+def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    model = quality_classifier.train(docs, read_table(spark, sf_dir, "labels"))
+    scored = quality_classifier.score(docs.select("doc_id", "text", "lang", "source", "n_chars"), model, drop_text=True)
+    return scored.select("doc_id", *[F.col(f"__{c}").alias(c) for c in ("text_score", "meta_score", "score", "kept")])
+
+
 def op5_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read_table(spark, sf_dir, "pages")
     return html_extract.extract_text(pages).select("page_id", "url", F.col("__text").alias("text"), F.col("__n_chars").alias("n_chars"))
@@ -141,5 +178,5 @@ FROM documents d JOIN sets s USING (doc_id) JOIN reach r ON r.node = d.doc_id GR
 """
 
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op5_html_extraction": op5_html_extraction, "op6_pii": op6_pii, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op10_quality_rules": op10_quality_rules}
-SQL = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_html_extraction": OP5_SQL, "op7_decontamination": OP7_SQL, "op8_jaccard_join": OP8_SQL}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_packing": op2_packing, "op3_line_dedup": op3_line_dedup, "op4_quality_classifier": op4_quality_classifier, "op5_html_extraction": op5_html_extraction, "op6_pii": op6_pii, "op7_decontamination": op7_decontamination, "op8_jaccard_join": op8_jaccard_join, "op9_lm_scoring": op9_lm_scoring, "op10_quality_rules": op10_quality_rules}
+SQL = {"op1_url_filter": OP1_SQL, "op3_line_dedup": OP3_SQL, "op5_html_extraction": OP5_SQL, "op7_decontamination": OP7_SQL, "op8_jaccard_join": OP8_SQL, "op9_lm_scoring": OP9_SQL}
