@@ -16,7 +16,6 @@ rows without hits, or no rows. Extra columns pass through.
 from __future__ import annotations
 
 import hashlib
-import re
 from collections import Counter
 
 import pyarrow as pa
@@ -27,17 +26,16 @@ from pyspark.sql import types as T
 WINDOW = 10
 #: Words of benchmark items that one pass holds (about 100 bytes each in a worker).
 BLOCK_WORDS = 500_000
-_LOWER = {c: c + 32 for c in range(65, 91)}
-_WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+#: On UTF-8: A-Z lower-cased, other ASCII than digits and letters to spaces.
+_PLAIN = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
 
-def words_of(text: str | None) -> list[str]:
-    if not text:
-        return []
-    return _WORD.findall(text.lower() if text.isascii() else text.translate(_LOWER))
+def words_of(text: str | None) -> list[bytes]:
+    """Runs of code points other than ASCII without digits and letters, A-Z lower-cased, in UTF-8."""
+    return text.encode().translate(_PLAIN).split() if text else []
 
 
-def windows_of(words: list[str], window: int = WINDOW) -> list[tuple[str, ...]]:
+def windows_of(words: list[bytes], window: int = WINDOW) -> list[tuple[bytes, ...]]:
     return [tuple(words[i : i + window]) for i in range(max(1, len(words) - window + 1))] if words else []
 
 
@@ -57,7 +55,7 @@ def item_blocks(items: DataFrame, id_col: str, text_col: str, block_words: int =
         yield block
 
 
-def count_words(docs: DataFrame, text_col: str, vocabulary: set[str]) -> dict[str, int]:
+def count_words(docs: DataFrame, text_col: str, vocabulary: set[bytes]) -> dict[bytes, int]:
     """Occurrences of the block's words in all documents: at most one number for each word of the block."""
     held = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
@@ -65,16 +63,17 @@ def count_words(docs: DataFrame, text_col: str, vocabulary: set[str]) -> dict[st
         known, total = held.value, Counter()
         for b in batches:
             for x in b.column(0):
-                total.update(w for w in words_of(x.as_py()) if w in known)
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array(list(total.values()), pa.int64())], ["word", "n"])
+                total.update(filter(known.__contains__, words_of(x.as_py())))
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.binary()), pa.array(list(total.values()), pa.int64())], ["word", "n"])
 
-    return dict(docs.select(text_col).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n")).collect())
+    rows = docs.select(text_col).mapInArrow(count, "word binary, n long").groupBy("word").agg(F.sum("n")).collect()
+    return {bytes(w): n for w, n in rows}
 
 
-def prefix_index(block, counts: dict[str, int], window: int = WINDOW):
+def prefix_index(block, counts: dict[bytes, int], window: int = WINDOW):
     """(token -> {(place, length)}, window -> [items]); the token is the window's rarest word."""
-    tokens: dict[str, set[tuple[int, int]]] = {}
-    owners: dict[tuple[str, ...], list] = {}
+    tokens: dict[bytes, set[tuple[int, int]]] = {}
+    owners: dict[tuple[bytes, ...], list] = {}
     for item, words in block:
         for w in windows_of(words, window):
             if w not in owners:
@@ -86,9 +85,11 @@ def prefix_index(block, counts: dict[str, int], window: int = WINDOW):
     return {k: sorted(v) for k, v in tokens.items()}, owners
 
 
-def _hits(words: list[str], tokens, owners) -> tuple[list[tuple[int, int]], set]:
+def _hits(words: list[bytes], tokens, owners) -> tuple[list[tuple[int, int]], set]:
     """Spans of words inside windows, and the items they belong to."""
     spans, items, n = [], set(), len(words)
+    if tokens.keys().isdisjoint(words):
+        return spans, items
     for i, w in enumerate(words):
         for place, length in tokens.get(w, ()):
             start = i - place
