@@ -7,8 +7,8 @@
 3. Star round: classes that share a min-hash are compared with the most typical class of the list only. A large group of
    near copies so becomes one component with as many comparisons as it has members.
 4. Exact round: of all prefix lists of groups, those that hold one component only are settled. In the others, every pair
-   of different components that passes the size, prefix and position filters is expanded to classes and verified on the
-   whole texts. A pair inside one component can't change the components, so no link between components is lost.
+   of different components that passes the size, prefix, position and bitmap filters is expanded to classes and
+   verified on the whole texts. A pair inside one component can't change the components, so no link between components is lost.
 
 Comparison is on 64-bit hashes of shingles; class keys have 128 bits.
 
@@ -31,7 +31,9 @@ from .components import components
 SHINGLE = 5
 PERCENT = 75
 #: Buckets of the rarity sketch, in SEGMENTS rows.
-SKETCH, SEGMENTS = 1 << 20, 1 << 10
+SKETCH, SEGMENTS = 1 << 21, 1 << 11
+#: 64-bit words of a set's parity bitmap.
+PARITY = 16
 STARS = 6
 #: Ids of which a broadcast set may consist (16 bytes each); more are shuffled.
 BROADCAST_IDS = 1_000_000
@@ -47,7 +49,7 @@ class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         import xxhash
 
-        if len(self) > 1_000_000:
+        if len(self) > 300_000:
             self.clear()
         h = self[word] = xxhash.xxh64_intdigest(word)
         return h
@@ -98,19 +100,19 @@ def rarity_sketch(docs: DataFrame, size: int = SHINGLE) -> np.ndarray:
                 s = shingle_set(x.as_py(), memo, size)
                 wait.append(s)
                 waiting += len(s)
-                if waiting > 4_000_000:
+                if waiting > 1_000_000:
                     total += np.bincount((np.concatenate(wait) >> shift).astype(np.int64), minlength=SKETCH)
                     wait, waiting = [], 0
         if wait:
             total += np.bincount((np.concatenate(wait) >> shift).astype(np.int64), minlength=SKETCH)
         if total.any():
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(SEGMENTS, dtype=np.int32)), _bytes(total.reshape(SEGMENTS, width))], ["segment", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(SEGMENTS, dtype=np.int32)), _bytes(total.astype(np.uint32).reshape(SEGMENTS, width))], ["segment", "counts"])
 
     def add(batches):
         held: dict[int, np.ndarray] = {}
         for b in batches:
             for seg, raw in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                held[seg] = held.get(seg, 0) + np.frombuffer(raw.as_buffer(), np.int64)
+                held[seg] = held.get(seg, 0) + np.frombuffer(raw.as_buffer(), np.uint32).astype(np.int64)
         if held:
             yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), _bytes(held.values())], ["segment", "counts"])
 
@@ -122,16 +124,17 @@ def rarity_sketch(docs: DataFrame, size: int = SHINGLE) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """Per row: id, n, class key s1 s2, group key g1 g2, prefix (hashes in global order), stars (min-hashes), typical."""
+    """Per row: id, n, class key s1 s2, group key g1 g2, prefix (hashes in global order), stars (min-hashes), typical,
+    parity (bit i: whether an odd number of hashes ends in i)."""
     shift = np.uint64(64 - (SKETCH.bit_length() - 1))
-    held = docs.sparkSession.sparkContext.broadcast(np.minimum(counts, np.iinfo(np.int64).max))
+    held = docs.sparkSession.sparkContext.broadcast(np.minimum(counts, np.iinfo(np.uint32).max).astype(np.uint32))
 
     def sign(batches):
         import xxhash
 
         memo, rank = WordHashes(), held.value
         for b in batches:
-            ns, keys, prefixes, stars, typical = [], [], [], [], []
+            ns, keys, prefixes, stars, typical, parity = [], [], [], [], [], []
             for x in b.column(1):
                 s = shingle_set(x.as_py(), memo, size)
                 n = len(s)
@@ -141,6 +144,7 @@ def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent
                     prefixes.append(b"")
                     stars.append([])
                     typical.append(0)
+                    parity.append(np.zeros(PARITY, np.int64))
                     continue
                 c = rank[(s >> shift).astype(np.int64)]
                 p = s[np.lexsort((s, c))[: prefix_length(n, percent)]].tobytes()
@@ -149,13 +153,15 @@ def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent
                 mixed = s[:, None] * _STAR_MIX[None, :]
                 stars.append((mixed ^ (mixed >> np.uint64(31))).min(axis=0).view(np.int64))
                 typical.append(int(100 * np.log2(c + 1.0).mean()))
+                odd = np.bincount((s & np.uint64(64 * PARITY - 1)).astype(np.int64), minlength=64 * PARITY) & 1
+                parity.append(np.packbits(odd.astype(np.uint8)).view(np.int64))
             k = np.frombuffer(b"".join(keys), np.int64).reshape(-1, 4)
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(ns, pa.int64()), *(pa.array(k[:, j]) for j in range(4)), pa.array(prefixes, pa.binary()), pa.array(stars, pa.list_(pa.int64())), pa.array(typical, pa.int64())],
-                ["id", "n", "s1", "s2", "g1", "g2", "prefix", "stars", "typical"],
+                [b.column(0), pa.array(ns, pa.int64()), *(pa.array(k[:, j]) for j in range(4)), pa.array(prefixes, pa.binary()), pa.array(stars, pa.list_(pa.int64())), pa.array(typical, pa.int64()), pa.array(parity, pa.list_(pa.int64()))],
+                ["id", "n", "s1", "s2", "g1", "g2", "prefix", "stars", "typical", "parity"],
             )
 
-    return docs.select("id", "text").mapInArrow(sign, "id long, n long, s1 long, s2 long, g1 long, g2 long, prefix binary, stars array<long>, typical long")
+    return docs.select("id", "text").mapInArrow(sign, "id long, n long, s1 long, s2 long, g1 long, g2 long, prefix binary, stars array<long>, typical long, parity array<long>")
 
 
 def linked(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -192,6 +198,17 @@ def linked(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, percent: int
     return materialise(both.mapInArrow(verify, "a long, b long").distinct(), "links")
 
 
+def _possible(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Leaves out pairs whose parity bitmaps differ in more bits than linked sets can have elements of their own.
+
+    Each element that only one of two sets has flips one bit, so the bits that differ are no more than those elements."""
+    known = classes.select("rep", "n", "parity")
+    ends = pairs.join(known.select(F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("parity").alias("p_a")), "a").join(known.select(F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("parity").alias("p_b")), "b")
+    differ = F.aggregate(F.zip_with("p_a", "p_b", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda t, x: t + x)
+    # 100 * overlap >= percent * union, with overlap = (n_a + n_b - differ) / 2
+    return ends.where((100 + percent) * differ <= (100 - percent) * (F.col("n_a") + F.col("n_b"))).select("a", "b")
+
+
 def _star_pairs(classes: DataFrame) -> DataFrame:
     """(a, b): b shares a min-hash with a, the most typical class of the list."""
     lists = classes.select("rep", "n", "typical", F.posexplode("stars").alias("j", "m"))
@@ -259,13 +276,13 @@ def link_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     docs = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     signed = materialise(signatures(docs, rarity_sketch(docs, size), size, percent), "signatures")
     classes = signed.where("n > 0 and id is not null").groupBy("s1", "s2").agg(
-        F.min("id").alias("rep"), F.count(F.lit(1)).alias("rows"), *[F.first(c).alias(c) for c in ("n", "g1", "g2", "typical", "stars")]
+        F.min("id").alias("rep"), F.count(F.lit(1)).alias("rows"), *[F.first(c).alias(c) for c in ("n", "g1", "g2", "typical", "stars", "parity")]
     )
     classes = materialise(classes, "classes")
-    first = components(linked(docs, _star_pairs(classes), size, percent))
-    staged = classes.drop("stars", "typical").join(first.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("label", "rep")).drop("label")
+    first = components(linked(docs, _possible(_star_pairs(classes), classes, percent), size, percent))
+    staged = classes.drop("stars", "typical", "parity").join(first.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("label", "rep")).drop("label")
     staged = materialise(staged, "staged")
-    links = linked(docs, _cross_pairs(signed, staged, percent), size, percent)
+    links = linked(docs, _possible(_cross_pairs(signed, staged, percent), classes, percent), size, percent)
     comp = staged.select("rep", "comp")
     ends = links.join(comp.select(F.col("rep").alias("a"), F.col("comp").alias("comp_a")), "a").join(comp.select(F.col("rep").alias("b"), F.col("comp").alias("comp_b")), "b")
     second = components(ends.select("comp_a", "comp_b"), "comp_a", "comp_b").withColumnRenamed("node", "comp")
