@@ -127,9 +127,9 @@ def g03(spark, sf_dir):
     return pairs(spark, sf_dir).select("s", "t", F.round(graph.edge_probability(F.col("j")), 6).alias("q"))
 
 
-@query("g05_weak_edges", GRAPH.replace("0.001", "0.4") + " SELECT s, t, round(q, 6) AS q FROM weak")
+@query("g05_weak_edges", GRAPH.replace("0.001", "0.4") + " SELECT s, t FROM weak")
 def g05(spark, sf_dir):
-    return rounded(graph.edges_of(pairs(spark, sf_dir), q_min=0.4), "q")
+    return graph.edges_of(pairs(spark, sf_dir), q_min=0.4).select("s", "t")
 
 
 @query("g06_knn_union", GRAPH + " SELECT s, t, round(q, 6) AS q FROM edges")
@@ -144,7 +144,7 @@ def g06_mutual(spark, sf_dir):
 
 @query("g06_knn_capped")
 def g06_capped(spark, sf_dir):
-    return rounded(graph.nearest(graph.edges_of(pairs(spark, sf_dir)), mode="capped"), "q")
+    return rounded(graph.nearest(edges(spark, sf_dir), mode="capped"), "q")
 
 
 ON = GRAPH + "," + LABELS_SQL + f""",
@@ -240,7 +240,7 @@ def p08(spark, sf_dir):
     return rounded(posterior.category_loglik(models(spark, sf_dir)), "ll")
 
 
-@query("p09_prior", MODELS + " SELECT count(*) AS k, -300.0 * count(*) AS log_prior FROM sizes")
+@query("p09_prior", MODELS + " SELECT count(*) AS k, (-300.0 * count(*))::DOUBLE AS log_prior FROM sizes")
 def p09(spark, sf_dir):
     return posterior.category_sizes(languages(spark, sf_dir)).agg(F.count(F.lit(1)).alias("k"), (-300.0 * F.count(F.lit(1))).alias("log_prior"))
 
