@@ -41,7 +41,7 @@ def by_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def into_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of sequences, as op2 returns them."""
     prepare(spark)
-    return packing.pack(docs, tokenizer_path()).drop("ids").withColumnRenamed("id", "doc_id")
+    return packing.pack(docs, tokenizer_path(), with_ids=False).withColumnRenamed("id", "doc_id")
 
 
 STAGES = [

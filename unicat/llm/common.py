@@ -14,6 +14,7 @@ LOWER = "abcdefghijklmnopqrstuvwxyz"
 #: A join key is heavy when it holds more than one row in HEAVY_SHARE, so no more than HEAVY_SHARE keys can be heavy.
 HEAVY_SHARE = 10_000
 HEAVY_LEAST = 1_000
+BATCH_ROWS = 1_000
 
 _local_scratch: str | None = None
 
@@ -24,11 +25,14 @@ def ascii_lower(col):
 
 
 def prepare(spark: SparkSession) -> SparkSession:
-    """Lets Python workers import this library, wherever the session was started."""
+    """Lets Python workers import this library, wherever the session was started, and keeps Arrow batches small."""
     root = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     env = spark.sparkContext.environment
     if root not in env.get("PYTHONPATH", "").split(os.pathsep):
         env["PYTHONPATH"] = os.pathsep.join(x for x in (root, env.get("PYTHONPATH", "")) if x)
+    # Whole texts go to Python: fewer of them at a time keep a worker's memory small.
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     return spark
 
 
@@ -73,3 +77,18 @@ def join_keys(rows: DataFrame, keys: DataFrame, on: list[str], rows_col: str) ->
     heavy, light = split_heavy(keys, rows_col)
     out = rows.join(light, on)
     return out if heavy is None else out.unionByName(rows.join(F.broadcast(heavy), on))
+
+
+def trim() -> None:
+    """Gives a worker's freed memory back to the system; workers outlive their tasks."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # not glibc
+        return

@@ -2,9 +2,9 @@
 
 1. Every text is encoded once; ids fit in 16 bits and are kept that way in a table of the shared folder.
 2. Document frequencies of all token ids over all documents (as many numbers as the vocabulary has) give BM25's weights.
-3. The index is sharded. A document's shard is its weighted min-hash, a sample of its rare tokens that lexically close
-   documents tend to share, so most neighbours meet in one shard. A shard holds about SHARD_TOKENS tokens; larger ones
-   are split by a hash of the id, so copies or a large source never fill one task.
+3. The index is sharded. A document's shard is its weighted min-hash, two tokens drawn with more weight on late ids (which
+   the vocabulary gave to rare tokens), so lexically close documents tend to share it. A shard holds about SHARD_TOKENS
+   tokens; larger ones are split by a hash of the id, so copies or a large source never fill one task.
 4. In a shard, the lowest unused document is the seed. Its rarest tokens query the shard's inverted index; the unused
    documents with the best scores fill the window. The last one is cut at the end of the window, and what is left of it
    seeds the next, so every sequence but a shard's last is full. The rest of a shard is cut into powers of two, which
@@ -17,7 +17,9 @@ gives an empty table.
 
 from __future__ import annotations
 
-import re
+import functools
+import os
+import unicodedata
 import zlib
 
 import numpy as np
@@ -26,69 +28,152 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise
+from .common import materialise, trim
 
 WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1_500_000
 QUERY_TERMS = 12
 K1, B = 1.2, 0.75
-#: White space as Unicode has it, which the tokenizer drops; str.split() also takes the four separators of _ODD for it.
-_ODD = re.compile("[\x1c-\x1f]")
-_SPACE = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]+")
 PIECES = "long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-class ChunkIds(dict):
+class ChunkIds:
     """Ids of white-space-free chunks, remembered up to a bound. The tokenizer drops white space and no token crosses it,
-    so the ids of a text are those of its chunks in order."""
+    so the ids of a text are those of its chunks in order.
+
+    A-Z are lower-cased first, as the tokenizer does anyway. A word with closing marks has the word's ids and the marks':
+    a token ends where letters do. New words are encoded many at a time, as a token that ends a word says so; those of
+    a-z alone need no normalising. What is not all letters is encoded by itself."""
+
+    BOUND = 350_000
+    MARKS = ".,!?;:"
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
+        from tokenizers import Tokenizer, pre_tokenizers
 
-        super().__init__()
         self.one = Tokenizer.from_file(path)
-
-    def encode(self, text: str) -> np.ndarray:
-        chunks = text.split() if _ODD.search(text) is None else [c for c in _SPACE.split(text) if c]
-        if missing := {c for c in chunks if c not in self}:
-            if len(self) > 500_000:
-                self.clear()
-                missing = set(chunks)
-            missing = list(missing)
-            for c, e in zip(missing, self.one.encode_batch(missing, add_special_tokens=False), strict=True):
-                self[c] = np.array(e.ids, np.uint16).tobytes()
-        return np.frombuffer(b"".join(map(self.__getitem__, chunks)), np.uint16)
+        self.bare = Tokenizer(self.one.model)  # shares the vocabulary
+        self.bare.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        self.known: dict[bytes, bytes] = {}
+        self.ends = np.zeros(1 << 16, bool)
+        for token, i in self.one.get_vocab(with_added_tokens=False).items():
+            self.ends[i] = token.endswith("</w>")
+
+    def split(self, text: str) -> list[bytes]:
+        raw = text.encode()
+        # A special token's string is one only in lower case, so such texts keep their case.
+        return (raw if b"<|" in raw else raw.lower()).split()
+
+    def _many(self, encoder, words: list[str]) -> list[str]:
+        """Learns words that are one token run each; returns those that turn out not to be."""
+        groups, left = [words[i : i + 1000] for i in range(0, len(words), 1000)], []
+        for group, got in zip(groups, encoder.encode_batch_fast([" ".join(g) for g in groups], add_special_tokens=False), strict=True):
+            ids = np.array(got.ids, np.uint16)
+            stop = np.flatnonzero(self.ends[ids]) + 1
+            if len(stop) != len(group):
+                left += group
+                continue
+            raw, stop = ids.tobytes(), (2 * stop).tolist()
+            self.known.update((w.encode(), raw[a:e]) for w, a, e in zip(group, [0, *stop[:-1]], stop, strict=True))
+        return left
+
+    def learn(self, chunks: set[bytes]) -> None:
+        """Makes the ids of all these chunks known."""
+        if len(self.known) + len(chunks) > self.BOUND:
+            self.known.clear()
+        known, marked, basic, letters, odd = self.known, [], set(), set(), set()
+        for raw in chunks.difference(known):
+            if raw.isalpha() and raw.islower():
+                basic.add(raw.decode())
+                continue
+            c = raw.decode()
+            word = c.rstrip(self.MARKS)
+            # Letters that neither normalising nor lower-casing takes apart
+            if not (word.isalpha() and (word.isascii() or (unicodedata.is_normalized("NFC", word) and word.lower().isalpha()))):
+                odd.add(c)
+                continue
+            if len(word) < len(c):
+                marks = c[len(word) :]
+                marked.append((raw, word.encode(), marks.encode()))
+                if marks.encode() not in known:
+                    odd.add(marks)
+                if word.encode() in known:
+                    continue
+            (basic if word.isascii() and word.islower() else letters).add(word)
+        odd.update(self._many(self.bare, list(basic)))
+        odd.update(self._many(self.one, list(letters)))
+        odd = list(odd)
+        for c, got in zip(odd, self.one.encode_batch_fast(odd, add_special_tokens=False), strict=True):
+            known[c.encode()] = np.array(got.ids, np.uint16).tobytes()
+        known.update((raw, known[word] + known[marks]) for raw, word, marks in marked)
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        split = [self.split(t) for t in texts]
+        self.learn(set().union(*split))
+        get = self.known.__getitem__
+        return [b"".join(map(get, chunks)) for chunks in split]
+
+
+@functools.lru_cache(1)
+def chunk_ids(path: str) -> ChunkIds:
+    """One for each worker process, kept from task to task; a task forgets its chunks at its end."""
+    return ChunkIds(path)
 
 
 def encode(docs: DataFrame, path: str, id_col: str, text_col: str, end_id: int = END_ID) -> DataFrame:
-    """id, n (ids with the end id), ids (16-bit, little-endian)."""
+    """id, n (ids with the end id), ids (16-bit, little-endian), route (the weighted min-hash). A row with n < 0 for each task has, in ids, how many of
+    the task's documents hold each token: pairs of 64-bit numbers, and its documents and tokens under -1 and -2."""
 
     def run(batches):
-        memo = ChunkIds(path)
+        memo = chunk_ids(path)
         tail = np.array([end_id], np.uint16).tobytes()
+        rng = np.random.default_rng(7)
+        cost = (-np.log(rng.random(1 << 16)) / np.log2(np.arange(1 << 16) + 2.0) ** 4).astype(np.float32)
+        name = rng.integers(0, 1 << 62, 1 << 16)
+        df, rows, tokens = np.zeros(1 << 16, np.int64), 0, 0
         for b in batches:
-            ids = [memo.encode(x.as_py() or "").tobytes() + tail for x in b.column(1)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary())], ["id", "n", "ids"])
-
-    return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(run, "id long, n long, ids binary")
+            at = 0
+            while at < b.num_rows:
+                texts, size, begin = [], 0, at
+                while at < b.num_rows and size < 1_000_000:
+                    texts.append(b.column(1)[at].as_py() or "")
+                    size += len(texts[-1])
+                    at += 1
+                ids = [x + tail for x in memo.encode(texts)]
+                route = []
+                for x in ids:
+                    one = np.frombuffer(x, np.uint16)
+                    df[one] += 1  # a repeated index counts once
+                    tokens += len(one)
+                    own = cost[one]
+                    best = one[own.argmin()]
+                    own[one == best] = np.inf
+                    route.append(int(name[best] ^ (name[one[own.argmin()]] >> 1)))
+                rows += len(ids)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(begin, at - begin), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary()), pa.array(route, pa.int64())], names)
+        held = np.flatnonzero(df)
+        pairs = np.column_stack([np.append(held, [-1, -2]), np.append(df[held], [rows, tokens])]).astype(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([-1], pa.int64()), pa.array([pairs.tobytes()], pa.binary()), pa.array([0], pa.int64())], names)
+        memo.known.clear()
+        trim()
+
+    names = ["id", "n", "ids", "route"]
+    return docs.select(F.col(id_col).cast("long"), text_col).mapInArrow(run, "id long, n long, ids binary, route long")
 
 
 def frequencies(encoded: DataFrame) -> tuple[np.ndarray, int, int]:
     """Documents that hold each id, documents, and tokens, over the whole table; at most 65,536 numbers."""
 
-    def count(batches):
-        df, rows, tokens = np.zeros(1 << 16, np.int64), 0, 0
+    def spread(batches):
         for b in batches:
             for x in b.column(0):
-                ids = np.frombuffer(x.as_buffer(), np.uint16)
-                df[np.unique(ids)] += 1
-                rows, tokens = rows + 1, tokens + len(ids)
-        at = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, [-1, -2])), pa.array(np.append(df[at], [rows, tokens]))], ["token", "docs"])
+                pairs = np.frombuffer(x.as_buffer(), np.int64).reshape(-1, 2)
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["token", "docs"])
 
     df, rows, tokens = np.zeros(1 << 16, np.int64), 0, 0
-    for token, n in encoded.select("ids").mapInArrow(count, "token long, docs long").groupBy("token").agg(F.sum("docs")).collect():
+    for token, n in encoded.where("n < 0").select("ids").mapInArrow(spread, "token long, docs long").groupBy("token").agg(F.sum("docs")).collect():
         if token == -1:
             rows = n
         elif token == -2:
@@ -98,40 +183,23 @@ def frequencies(encoded: DataFrame) -> tuple[np.ndarray, int, int]:
     return df, rows, tokens
 
 
-def _route(encoded: DataFrame, idf: np.ndarray, buckets: int) -> DataFrame:
-    """Adds bucket: the weighted min-hash of the document's distinct tokens, modulo the number of buckets."""
-    rng = np.random.default_rng(7)
-    draw = -np.log(rng.random(1 << 16))
-    held = encoded.sparkSession.sparkContext.broadcast((draw / np.maximum(idf, 1e-6) ** 2, rng.integers(0, 1 << 62, 1 << 16)))
-
-    def run(batches):
-        cost, name = held.value
-        for b in batches:
-            own = []
-            for x in b.column(2):
-                ids = np.unique(np.frombuffer(x.as_buffer(), np.uint16))
-                best = ids[np.argsort(cost[ids], kind="stable")[:2]]
-                own.append(int(name[best[0]] ^ (name[best[-1]] >> 1)) % buckets)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(own, pa.int64())], [*b.schema.names, "bucket"])
-
-    return encoded.mapInArrow(run, "id long, n long, ids binary, bucket long")
-
-
 def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, window: int = WINDOW, query_terms: int = QUERY_TERMS):
     """(document, start, length, sequence, offset) of every piece, greedily, for the documents of one shard."""
     n = len(ids)
-    length = np.array([len(x) for x in ids])
-    terms, docs, weights = [], [], []
-    for d, x in enumerate(ids):
-        t, tf = np.unique(x, return_counts=True)
-        terms.append(t)
-        docs.append(np.full(len(t), d))
-        weights.append(tf * (K1 + 1) / (tf + K1 * (1 - B + B * len(x) / mean_length)))
-    query = [t[np.argsort(-idf[t] * w, kind="stable")[:query_terms]] for t, w in zip(terms, weights, strict=True)]
-    flat = np.concatenate(terms)
-    order = np.argsort(flat, kind="stable")
-    posted, weight = np.concatenate(docs)[order], (np.concatenate(weights) * idf[flat])[order]
-    begin = np.searchsorted(flat[order], np.arange((1 << 16) + 1))
+    length = np.array([len(x) for x in ids], np.int64)
+    # Term frequencies of the whole shard at once: keys are document and token.
+    keys, tf = np.unique(np.repeat(np.arange(n) << 16, length) | np.concatenate(ids), return_counts=True)
+    owner, term = keys >> 16, keys & 0xFFFF
+    weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[owner] / mean_length))
+    bounds = np.searchsorted(owner, np.arange(n + 1))
+    query = []
+    for lo, hi in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+        own = weight[lo:hi]
+        best = np.argpartition(-own, query_terms)[:query_terms] if hi - lo > query_terms else np.arange(hi - lo)
+        query.append(np.sort(term[lo + best]))
+    order = np.argsort(term, kind="stable")
+    posted, weight = owner[order], weight[order]
+    begin = np.searchsorted(term[order], np.arange((1 << 16) + 1))
     unused, score = np.ones(n, bool), np.zeros(n)
     pieces, doc, start, sequence, room, low = [], -1, 0, 0, window, 0
     ranked: list[int] = []
@@ -186,14 +254,14 @@ def _cut_rest(pieces, sequence: int, window: int):
     return full
 
 
-def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, shard_tokens: int = SHARD_TOKENS, end_id: int = END_ID) -> DataFrame:
-    """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset and ids (16-bit)."""
+def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, shard_tokens: int = SHARD_TOKENS, end_id: int = END_ID, with_ids: bool = True) -> DataFrame:
+    """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset and, unless with_ids=False, ids (16-bit)."""
     encoded = materialise(encode(docs, path, id_col, text_col, end_id), "ids")
     df, rows, tokens = frequencies(encoded)
     idf = np.log1p((rows - df + 0.5) / (df + 0.5))
     mean_length = tokens / max(1, rows)
     buckets = max(1, tokens // shard_tokens)
-    routed = _route(encoded, idf, buckets)
+    routed = encoded.where("n >= 0").withColumn("bucket", F.pmod("route", F.lit(buckets)))
     sizes = materialise(routed.groupBy("bucket").agg(F.sum("n").alias("tokens")), "buckets")
     base = 1 << 20
     shards = sizes.select("bucket", F.ceil(F.col("tokens") / F.lit(2 * shard_tokens)).cast("long").alias("parts"))
@@ -208,7 +276,7 @@ def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
         pieces = pack_shard(raw, held.value, mean_length, window)
         shard = table.column("shard")[0].as_py()
         cut = [raw[d][s : s + take] for d, s, take, _, _ in pieces]
-        return pa.table(
+        out = pa.table(
             {
                 "id": pa.array([keys[order[p[0]]] for p in pieces], pa.int64()),
                 "start": pa.array([p[1] for p in pieces], pa.int64()),
@@ -217,9 +285,9 @@ def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
                 "doc_tokens": pa.array([len(raw[p[0]]) for p in pieces], pa.int64()),
                 "sequence_id": pa.array([(shard << 21) + p[3] for p in pieces], pa.int64()),
                 "offset": pa.array([p[4] for p in pieces], pa.int64()),
-                "ids": pa.array([x.astype("<u2").tobytes() for x in cut], pa.binary()),
             }
         )
+        return out.append_column("ids", pa.array([x.astype("<u2").tobytes() for x in cut], pa.binary())) if with_ids else out
 
-    schema = T._parse_datatype_string(f"id {PIECES}, ids binary")
+    schema = T._parse_datatype_string(f"id {PIECES}" + ", ids binary" * with_ids)
     return dealt.repartition(tasks, "shard").groupBy("shard").applyInArrow(run, schema)

@@ -45,7 +45,7 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
 
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
-    return packing.pack(docs, tokenizer_path()).drop("ids").withColumnRenamed("id", "doc_id")
+    return packing.pack(docs, tokenizer_path(), with_ids=False).withColumnRenamed("id", "doc_id")
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
