@@ -33,8 +33,8 @@ from .common import materialise
 
 MIN_WORD, MIN_BIGRAM = 3, 3
 MU = 50.0
-#: Rows of one broadcast block (24 bytes each in a worker), and blocks that are broadcast at most.
-BLOCK_ROWS, MAX_PASSES = 2_000_000, 4
+#: Rows of one broadcast block (16 bytes each in a worker), and blocks that are broadcast at most.
+BLOCK_ROWS, MAX_PASSES = 3_000_000, 4
 #: Target ids that are broadcast (16 bytes each); more are joined.
 BROADCAST_IDS = 1_000_000
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -48,7 +48,7 @@ class WordKeys(dict):
     def __missing__(self, word: bytes) -> int:
         import xxhash
 
-        if len(self) > 500_000:
+        if len(self) > 150_000:
             self.clear()
         h = self[word] = xxhash.xxh64_intdigest(word)
         return h
@@ -59,9 +59,11 @@ def word_keys(text: str | None, memo: WordKeys) -> np.ndarray:
     return np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
 
 
-def bigram_keys(keys: np.ndarray) -> np.ndarray:
-    """A key for each word with the one before it; the first has the start before it."""
-    before = np.concatenate([[_START], keys[:-1]]).astype(np.uint64)
+def bigram_keys(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """A key for each word with the one before it; where a document starts, the start is before it."""
+    before = np.empty(len(keys), np.uint64)
+    before[1:] = keys[:-1]
+    before[starts] = _START
     h = (before ^ (before >> np.uint64(31))) * _MIX + keys
     return (h ^ (h >> np.uint64(29))) * _MIX
 
@@ -69,41 +71,53 @@ def bigram_keys(keys: np.ndarray) -> np.ndarray:
 def known(keys: np.ndarray, vocabulary: np.ndarray) -> np.ndarray:
     """Keys with those outside the sorted vocabulary replaced by the unknown word's."""
     if not len(vocabulary) or not len(keys):
-        return np.full(len(keys), _UNK)
-    at = np.minimum(np.searchsorted(vocabulary, keys), len(vocabulary) - 1)
-    return np.where(vocabulary[at] == keys, keys, _UNK)
+        return np.full(len(keys), _UNK, np.uint64)
+    u, inverse = np.unique(keys, return_inverse=True)  # sorted keys are looked up much faster
+    at = np.minimum(np.searchsorted(vocabulary, u), len(vocabulary) - 1)
+    return np.where(vocabulary[at] == u, u, _UNK)[inverse]
+
+
+def places(keys: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The place of each key in a sorted table, or -1."""
+    if not len(table) or not len(keys):
+        return np.full(len(keys), -1)
+    u, inverse = np.unique(keys, return_inverse=True)
+    at = np.minimum(np.searchsorted(table, u), len(table) - 1)
+    return np.where(table[at] == u, at, -1)[inverse]
 
 
 def _i(a) -> pa.Array:
     return pa.array(np.ascontiguousarray(a, np.uint64).view(np.int64))
 
 
-def _counted(docs: DataFrame, of, schema: str):
-    """Sums, in each task, of the keys that of(text) gives, for all rows and for marked ones."""
+def _counted(docs: DataFrame, of) -> DataFrame:
+    """Sums, in each task, of the keys that of(word keys, starts of documents) gives, for all rows and for marked ones."""
 
     def run(batches):
-        memo, wait, marks, size = WordKeys(), [], [], 0
+        memo = WordKeys()
 
-        def flush():
-            keys, mark = np.concatenate(wait), np.concatenate(marks)
+        def flush(wait, marks):
+            size = np.array([len(k) for k in wait], np.int64)
+            words = np.concatenate(wait)
+            keys = of(words, (np.cumsum(size) - size)[size > 0])
             u, inverse = np.unique(keys, return_inverse=True)
-            n, t = np.bincount(inverse, minlength=len(u)), np.bincount(inverse, weights=mark, minlength=len(u)).astype(np.int64)
+            n, t = np.bincount(inverse, minlength=len(u)), np.bincount(inverse[np.repeat(marks, size)], minlength=len(u))
             for lo in range(0, len(u), 200_000):
-                yield pa.RecordBatch.from_arrays([_i(u[lo : lo + 200_000]), pa.array(n[lo : lo + 200_000].astype(np.int64)), pa.array(t[lo : lo + 200_000])], ["key", "n", "t"])
+                yield pa.RecordBatch.from_arrays([_i(u[lo : lo + 200_000]), pa.array(n[lo : lo + 200_000].astype(np.int64)), pa.array(t[lo : lo + 200_000].astype(np.int64))], ["key", "n", "t"])
 
+        wait, marks, size = [], [], 0
         for b in batches:
             for x, m in zip(b.column(0), b.column(1).to_pylist(), strict=True):
-                k = of(x.as_py(), memo)
-                wait.append(k)
-                marks.append(np.full(len(k), bool(m)))
-                size += len(k)
-                if size > 4_000_000:
-                    yield from flush()
+                wait.append(word_keys(x.as_py(), memo))
+                marks.append(bool(m))
+                size += len(wait[-1])
+                if size > 1_500_000:
+                    yield from flush(wait, marks)
                     wait, marks, size = [], [], 0
         if size:
-            yield from flush()
+            yield from flush(wait, marks)
 
-    return docs.mapInArrow(run, schema).groupBy("key").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
+    return docs.mapInArrow(run, "key long, n long, t long").groupBy("key").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
 
 
 def _to_arrays(df: DataFrame, block: int) -> list[np.ndarray]:
@@ -112,7 +126,7 @@ def _to_arrays(df: DataFrame, block: int) -> list[np.ndarray]:
     cols = [table.column(i).to_numpy() for i in range(table.num_columns)]
     keys = cols[0].view(np.uint64)
     order = np.argsort(keys)
-    return [keys[order], *(c[order] for c in cols[1:])]
+    return [keys[order], *(c[order].astype(np.float32) for c in cols[1:])]
 
 
 def _blocks(df: DataFrame, rows: int) -> tuple[DataFrame, int]:
@@ -128,7 +142,7 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
     plain = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     few = marks.count() <= BROADCAST_IDS
     rows = plain.join(F.broadcast(marks) if few else marks, F.col("id") == F.col("__t"), "left").select("id", "text", F.coalesce("mark", F.lit(False)).alias("mark"))
-    words = materialise(_counted(rows.select("text", "mark"), word_keys, "key long, n long, t long"), "lm-words")
+    words = materialise(_counted(rows.select("text", "mark"), lambda words, starts: words), "lm-words")
     totals = words.agg(F.sum("n"), F.sum("t"), F.count(F.lit(1)), F.sum(F.when(F.col("n") >= MIN_WORD, 1)), F.sum(F.when(F.col("n") < MIN_WORD, F.col("n"))), F.sum(F.when(F.col("n") < MIN_WORD, F.col("t")))).first()
     n_all, n_target, _, n_kept, unk_all, unk_target = (x or 0 for x in totals)
     kept = words.where(F.col("n") >= MIN_WORD)
@@ -136,14 +150,14 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
         return _joined(rows, kept, n_kept, (n_all, n_target, unk_all, unk_target))
     split, passes = _blocks(kept, n_kept)
     vocabulary = [_to_arrays(split, i) for i in range(passes)]
-    held_words = sc.broadcast(tuple(np.concatenate([v[j] for v in vocabulary]) for j in range(3)))
-    order = np.argsort(held_words.value[0])
-    held_words = sc.broadcast(tuple(c[order] for c in held_words.value))
+    joined = [np.concatenate([v[j] for v in vocabulary]) for j in range(3)]
+    order = np.argsort(joined[0])
+    held_words = sc.broadcast(tuple(c[order] for c in joined))
 
-    def pairs_of(text, memo):
-        return bigram_keys(known(word_keys(text, memo), held_words.value[0]))
+    def pairs_of(words, starts):
+        return bigram_keys(known(words, held_words.value[0]), starts)
 
-    bigrams = materialise(_counted(rows.select("text", "mark"), pairs_of, "key long, n long, t long").where(F.col("n") >= MIN_BIGRAM), "lm-bigrams")
+    bigrams = materialise(_counted(rows.select("text", "mark"), pairs_of).where(F.col("n") >= MIN_BIGRAM), "lm-bigrams")
     n_pairs = bigrams.count()
     if n_pairs > BLOCK_ROWS * max_passes:
         return _joined(rows, kept, n_kept, (n_all, n_target, unk_all, unk_target), bigrams)
@@ -159,11 +173,20 @@ def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_c
             memo = WordKeys()
             vocab, (keys, n, t) = held_unigrams.value, held.value
             for b in batches:
-                got = [_losses(x.as_py(), memo, vocab, keys, n, t, first) for x in b.column(1)]
-                cols = [np.array(c) for c in zip(*got, strict=True)] if got else [np.zeros(0)] * 3
+                parts, wait, size = [], [], 0
+                for x in b.column(1):
+                    wait.append(word_keys(x.as_py(), memo))
+                    size += len(wait[-1])
+                    if size > 200_000:
+                        parts.append(_losses(wait, vocab, keys, n, t, first))
+                        wait, size = [], 0
+                parts.append(_losses(wait, vocab, keys, n, t, first))
+                cols = [np.concatenate(c) for c in zip(*parts, strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cols[0].astype(np.int64)), pa.array(b.column(3).to_numpy() + cols[1]), pa.array(b.column(4).to_numpy() + cols[2])], ["id", "text", "n_tokens", "loss_t", "loss_b"])
 
         out = out.mapInArrow(add, state)
+        if i + 1 < passes:  # one block in a worker's memory at a time
+            out = materialise(out, "lm-losses")
     return _finish(out)
 
 
@@ -183,29 +206,30 @@ def _unigrams(words, n_all, n_target, unk_all, unk_target):
     return keys, n, t, (n + 1) / (n_all + size), (t + 1) / (n_target + size)
 
 
-def _losses(text, memo, vocab, keys, n, t, first: bool) -> tuple[int, float, float]:
-    """(tokens, target loss, background loss). The first pass adds what every bigram has by backing off; each pass adds,
-    for the bigrams of its block, the difference that their counts make."""
+def _losses(texts: list[np.ndarray], vocab, keys, n, t, first: bool) -> list[np.ndarray]:
+    """Tokens, target loss and background loss of each text. The first pass adds what every bigram has by backing off;
+    each pass adds, for the bigrams of its block, the difference that their counts make."""
     words, count_b, count_t, p_b, p_t = vocab
-    w = known(word_keys(text, memo), words)
-    if not len(w):
-        return 0, 0.0, 0.0
-    at = np.searchsorted(words, w)
-    before = np.concatenate([[np.searchsorted(words, _START)], at[:-1]])
-    back_b, back_t = MU * p_b[at], MU * p_t[at]
-    loss_b = loss_t = 0.0
-    if first:
-        loss_b = float(np.log(count_b[before] + MU).sum() - np.log(back_b).sum())
-        loss_t = float(np.log(count_t[before] + MU).sum() - np.log(back_t).sum())
-    if len(keys):
-        k = bigram_keys(w)
-        spot = np.minimum(np.searchsorted(keys, k), len(keys) - 1)
-        hit = keys[spot] == k
+    size = np.array([len(k) for k in texts], np.int64)
+    row, starts = np.repeat(np.arange(len(texts)), size), (np.cumsum(size) - size)[size > 0]
+    w = known(np.concatenate(texts), words) if len(row) else np.zeros(0, np.uint64)
+    loss_b, loss_t = np.zeros(len(texts)), np.zeros(len(texts))
+    if len(row):
+        at = places(w, words)
+        back_b, back_t = MU * p_b[at], MU * p_t[at]
+        if first:
+            before = np.empty(len(at), np.int64)
+            before[1:] = at[:-1]
+            before[starts] = np.searchsorted(words, _START)
+            loss_b = np.bincount(row, np.log(count_b[before] + MU) - np.log(back_b), len(texts))
+            loss_t = np.bincount(row, np.log(count_t[before] + MU) - np.log(back_t), len(texts))
+        spot = places(bigram_keys(w, starts), keys)
+        hit = spot >= 0
         if hit.any():
-            same = count_t is count_b
-            loss_b -= float(np.log1p(n[spot[hit]] / back_b[hit]).sum())
-            loss_t -= float(np.log1p((n if same else t)[spot[hit]] / back_t[hit]).sum())
-    return len(w), loss_t, loss_b
+            own = n if count_t is count_b else t
+            loss_b = loss_b - np.bincount(row[hit], np.log1p(n[spot[hit]] / back_b[hit]), len(texts))
+            loss_t = loss_t - np.bincount(row[hit], np.log1p(own[spot[hit]] / back_t[hit]), len(texts))
+    return [size, loss_t, loss_b]
 
 
 def _joined(rows: DataFrame, kept: DataFrame, n_kept: int, totals, bigrams: DataFrame | None = None) -> DataFrame:
