@@ -320,7 +320,7 @@ def w10(spark, sf_dir):
     return out
 
 
-@query("w12_copies_in_one_component", q.TEXT.replace("WITH RECURSIVE", "WITH RECURSIVE") + " SELECT count(*)::BIGINT AS copies, count(*)::BIGINT AS at_cap FROM (SELECT a.item_id AS s, b.item_id AS t FROM items a JOIN items b ON a.text = b.text AND a.item_id < b.item_id WHERE a.item_id IN (SELECT item_id FROM resp) AND b.item_id IN (SELECT item_id FROM resp))")
+@query("w12_copies_in_one_component", q.TEXT + " SELECT count(*)::BIGINT AS copies, count(*)::BIGINT AS at_cap FROM (SELECT a.item_id AS s, b.item_id AS t FROM items a JOIN items b ON a.text = b.text AND a.item_id < b.item_id WHERE a.item_id IN (SELECT item_id FROM resp) AND b.item_id IN (SELECT item_id FROM resp))")
 def w12(spark, sf_dir):
     """Pairs of equal texts, and how many of them have the greatest edge probability."""
     items = q.items(spark, sf_dir)
