@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_keys, materialise
+from .common import join_keys, materialise, trim
 from .components import components
 
 SHINGLE = 5
@@ -49,7 +49,7 @@ class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         import xxhash
 
-        if len(self) > 300_000:
+        if len(self) > 100_000:
             self.clear()
         h = self[word] = xxhash.xxh64_intdigest(word)
         return h
@@ -100,13 +100,15 @@ def rarity_sketch(docs: DataFrame, size: int = SHINGLE) -> np.ndarray:
                 s = shingle_set(x.as_py(), memo, size)
                 wait.append(s)
                 waiting += len(s)
-                if waiting > 1_000_000:
+                if waiting > 500_000:
                     total += np.bincount((np.concatenate(wait) >> shift).astype(np.int64), minlength=SKETCH)
                     wait, waiting = [], 0
         if wait:
             total += np.bincount((np.concatenate(wait) >> shift).astype(np.int64), minlength=SKETCH)
         if total.any():
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(SEGMENTS, dtype=np.int32)), _bytes(total.astype(np.uint32).reshape(SEGMENTS, width))], ["segment", "counts"])
+        del memo, total, wait
+        trim()
 
     def add(batches):
         held: dict[int, np.ndarray] = {}
@@ -160,6 +162,8 @@ def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent
                 [b.column(0), pa.array(ns, pa.int64()), *(pa.array(k[:, j]) for j in range(4)), pa.array(prefixes, pa.binary()), pa.array(stars, pa.list_(pa.int64())), pa.array(typical, pa.int64()), pa.array(parity, pa.list_(pa.int64()))],
                 ["id", "n", "s1", "s2", "g1", "g2", "prefix", "stars", "typical", "parity"],
             )
+        del memo
+        trim()
 
     return docs.select("id", "text").mapInArrow(sign, "id long, n long, s1 long, s2 long, g1 long, g2 long, prefix binary, stars array<long>, typical long, parity array<long>")
 
@@ -180,7 +184,7 @@ def linked(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, percent: int
 
         def of(key, text):
             if (key, len(text or "")) not in sets:
-                if len(sets) >= 256:
+                if len(sets) >= 64:
                     sets.clear()
                 sets[key, len(text or "")] = text, shingle_set(text, memo, size)
             was, s = sets[key, len(text or "")]
@@ -193,6 +197,9 @@ def linked(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, percent: int
                 common = len(np.intersect1d(x, y, assume_unique=True))
                 keep.append(common > 0 and 100 * common >= percent * (len(x) + len(y) - common))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2)], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
+        memo.clear()
+        sets.clear()
+        trim()
 
     both = right.join(left, ["a", "salt"]).select("a", "text_a", "b", "text_b")
     return materialise(both.mapInArrow(verify, "a long, b long").distinct(), "links")
