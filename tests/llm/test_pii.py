@@ -1,6 +1,7 @@
 """Base spans against Python's re on the patterns as they are stated, and the disclosure measure on a small corpus."""
 
 import hashlib
+import math
 import re
 
 
@@ -79,5 +80,21 @@ def test_terms_that_disclose_an_entity(spark):
     assert clean[1] == "visit 1 of the treasurer  at [EMAIL] today number1x" and clean[100].startswith("today visit the treasurer at [EMAIL]")
 
 
+def test_copies_do_not_hide_a_disclosing_term(spark, monkeypatch):
+    texts = [f"visit {i} of the treasurer Zanzibaro at boss@corp.example today number{i}x" for i in range(3)]
+    rows = [(100 * i + j, t) for i, t in enumerate(texts) for j in range(10)]
+    rows += [(1000 + i, f"today visit the treasurer at other{i}@x.example on day {i}") for i in range(20)]
+    docs = frame(spark, [(i, t, None, None, None) for i, t in rows])
+    for bound in (pii.BROADCAST_ROWS, 0):
+        monkeypatch.setattr(pii, "BROADCAST_ROWS", bound)
+        terms = {(r["__entity"], r["__term"]): r["__bits"] for r in pii.disclosing_terms(docs).collect()}
+        assert terms == {("email:boss@corp.example", "zanzibaro"): 0.0}
+    # Three of its eight occurrences in distinct texts are beside the entity.
+    rows = [(i, t) for i, t in rows if i < 1000] + [(2000 + i, f"zanzibaro alone {i % 5}") for i in range(50)]
+    docs = frame(spark, [(i, t, None, None, None) for i, t in rows])
+    bits = {r["__term"]: r["__bits"] for r in pii.disclosing_terms(docs, max_bits=9.0).collect()}
+    assert abs(bits["zanzibaro"] + math.log2(3 / 8)) < 1e-9
+
+
 def test_empty_table(spark):
     assert pii.find(frame(spark, [])).count() == 0

@@ -4,11 +4,12 @@ Base spans are the matches of four patterns per whole text. A pattern's matches
 the same regular expression, and running lengths give the places in code points. The patterns below are linear on long
 runs: a match can start only where a run starts or where the match before has ended, which gives the same matches.
 
-Information-theoretic part: an entity is a base value. Its contexts are the words within CONTEXT_CHARS on both sides,
-each distinct context once, so copies of a document add nothing. For a term t and an entity e, the bits about e that t
-leaves open are -log2 p(e | t), with p(e | t) = contexts of e with t / occurrences of t in the whole corpus. Terms with
-MIN_SUPPORT contexts at least that leave MAX_BITS at most disclose e: they are spans of kind "term" in the documents
-that hold e, and sanitise() removes them, while base values are generalised to their kind.
+Information-theoretic part: an entity is a base value. Its contexts are the words within CONTEXT_CHARS on both sides.
+For a term t and an entity e, the bits about e that t leaves open are -log2 p(e | t), with p(e | t) = occurrences of t in
+contexts of e / occurrences of t in the whole corpus. Both are counted over distinct texts, so copies of a document add
+nothing to either. Terms with MIN_SUPPORT distinct contexts at least that leave MAX_BITS at most disclose e: they are
+spans of kind "term" in the documents that hold e, and sanitise() removes them, while base values are generalised to
+their kind.
 
 Defined cases: a null or empty text has no spans. Rows that repeat an id with different texts are judged by their own
 text. An empty table gives an empty table. Extra columns are not read.
@@ -19,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import join_keys, materialise
 
 KINDS = ("email", "ip", "card", "phone")
 #: The four patterns, each written so that it is linear.
@@ -126,7 +127,7 @@ def written(spans, kinds: list[str]):
 
 
 def _entities(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """__id, __hash, __entity, __near: one row per valid base match, with the terms around it."""
+    """__id, __hash, __entity, __context, __near: one row per valid base match, with the terms around it as often as they occur."""
     docs = _matched(df.select(F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__text")).where(F.col("__text") != ""), "__text")
     docs = docs.withColumn("__hash", F.xxhash64("__text"))
     out = None
@@ -138,20 +139,43 @@ def _entities(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
         own = own.select("__id", "__hash", F.concat(F.lit(f"{kind}:"), F.lower("__value")).alias("__entity"), F.lower("__side.before").alias("__before"), F.lower("__side.after").alias("__after"))
         out = own if out is None else out.unionByName(own)
     before, after = F.regexp_extract_all("__before", F.lit(TERM), F.lit(0)), F.regexp_extract_all("__after", F.lit(TERM), F.lit(0))
-    return out.select("__id", "__hash", "__entity", F.xxhash64("__before", "__after").alias("__context"), F.array_distinct(F.concat(F.slice(F.reverse(before), F.lit(1), F.lit(CONTEXT_TERMS)), F.slice(after, F.lit(1), F.lit(CONTEXT_TERMS)))).alias("__near"))
+    return out.select("__id", "__hash", "__entity", F.xxhash64("__before", "__after").alias("__context"), F.concat(F.slice(F.reverse(before), F.lit(1), F.lit(CONTEXT_TERMS)), F.slice(after, F.lit(1), F.lit(CONTEXT_TERMS))).alias("__near"))
+
+
+def _copies(df: DataFrame, text_col: str) -> DataFrame:
+    """__hash, __copies of the texts that more than one row holds."""
+    own = df.select(F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("__hash")).groupBy("__hash").agg(F.count(F.lit(1)).alias("__copies"))
+    return materialise(own.where("__copies > 1"), "pii-copies")
+
+
+def _with_copies(texts: DataFrame, copies: DataFrame) -> DataFrame:
+    """__text, __copies: how many rows hold the same text."""
+    hashed = texts.withColumn("__hash", F.xxhash64(F.coalesce("__text", F.lit(""))))
+    if copies.count() <= BROADCAST_ROWS:
+        return hashed.join(F.broadcast(copies), "__hash", "left").select("__text", F.coalesce("__copies", F.lit(1)).alias("__copies"))
+    single = hashed.join(copies, "__hash", "left_anti").select("__text", F.lit(1).cast("long").alias("__copies"))
+    return single.unionByName(join_keys(hashed, copies, ["__hash"], "__copies").select("__text", "__copies"))
 
 
 def disclosing_terms(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_support: int = MIN_SUPPORT, max_bits: float = MAX_BITS) -> DataFrame:
     """__entity, __term, __bits: terms that leave max_bits at most open about an entity."""
-    contexts = _entities(df, id_col, text_col).groupBy("__entity", "__context").agg(F.first("__near").alias("__near"))
-    together = contexts.select("__entity", F.explode("__near").alias("__term")).groupBy("__entity", "__term").agg(F.count(F.lit(1)).alias("__both")).where(F.col("__both") >= min_support)
+    copies = _copies(df, text_col)
+    matches = _entities(df, id_col, text_col).groupBy("__hash", "__entity", "__context").agg(F.first("__near").alias("__near"), F.count(F.lit(1)).alias("__rows"))
+    # Every copy has the same matches and words, so the rows of a text are a whole multiple of its copies.
+    seen = matches.join(F.broadcast(copies) if copies.count() <= BROADCAST_ROWS else copies, "__hash", "left").withColumn("__seen", F.expr("__rows div coalesce(__copies, 1)"))
+    contexts = seen.groupBy("__entity", "__context").agg(F.first("__near").alias("__near"), F.sum("__seen").alias("__seen"))
+    times = F.transform(F.array_distinct("__near"), lambda t: F.struct(t.alias("term"), F.size(F.filter("__near", lambda x: x == t)).alias("times")))
+    near = contexts.select("__entity", "__seen", F.explode(times).alias("__t")).select("__entity", F.col("__t.term").alias("__term"), (F.col("__seen") * F.col("__t.times")).alias("__n"))
+    together = near.groupBy("__entity", "__term").agg(F.count(F.lit(1)).alias("__support"), F.sum("__n").alias("__both")).where(F.col("__support") >= min_support).drop("__support")
     together = materialise(together, "pii-pairs")
     terms = materialise(together.select("__term").distinct(), "pii-terms")
     n = terms.count()
     if not n:
         return together.select("__entity", "__term", F.lit(0.0).alias("__bits"))
-    words = df.select(F.explode(F.regexp_extract_all(F.lower(F.col(text_col)), F.lit(TERM), F.lit(0))).alias("__term"))
-    counts = words.join(F.broadcast(terms) if n <= BROADCAST_ROWS else terms, "__term", "left_semi").groupBy("__term").agg(F.count(F.lit(1)).alias("__all"))
+    texts = _with_copies(df.select(F.col(text_col).alias("__text")), copies)
+    words = texts.select("__copies", F.explode(F.regexp_extract_all(F.lower("__text"), F.lit(TERM), F.lit(0))).alias("__term"))
+    counts = words.join(F.broadcast(terms) if n <= BROADCAST_ROWS else terms, "__term", "left_semi").groupBy("__term", "__copies").agg(F.count(F.lit(1)).alias("__rows"))
+    counts = counts.groupBy("__term").agg(F.sum(F.expr("__rows div __copies")).alias("__all"))
     bits = -F.log2(F.least(F.lit(1.0), F.col("__both") / F.col("__all")))
     return materialise(together.join(counts, "__term").select("__entity", "__term", bits.alias("__bits")).where(F.col("__bits") <= max_bits), "pii-disclosing")
 
