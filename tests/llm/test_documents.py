@@ -10,6 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from unicat.llm import decontam, jaccard_join, line_dedup, packing, quality_rules
+from unicat.llm.components import components
 from unicat.llm.queries import tokenizer_path
 
 from .helpers import DOCS, frame, odd_docs, prose
@@ -92,6 +93,24 @@ def test_jaccard_join_of_nothing(spark):
     assert sorted((r.n_shingles, r.component_id) for r in got) == [(0, None), (2, None)]
 
 
+def test_components_of_a_shuffled_chain(spark):
+    ids = list(range(4000))
+    random.Random(3).shuffle(ids)
+    parts = ids[:3000], ids[3000:]
+    edges = spark.createDataFrame([e for p in parts for e in zip(p, p[1:])], "a long, b long")  # noqa: B905
+    got = {r.node: r.label for r in components(edges).collect()}
+    assert got == {x: min(p) for p in parts for x in p}
+
+
+def test_jaccard_join_of_a_long_chain(spark):
+    words = prose(1, 4_000, 10**9).split()
+    texts = [" ".join(words[12 * i : 12 * i + 150]) for i in range(300)]  # each links with its neighbours only
+    ids = list(range(300))
+    random.Random(4).shuffle(ids)
+    got = jaccard_join.link_components(frame(spark, [(i, t, None, None, None) for i, t in zip(ids, texts, strict=True)]))
+    assert {r.component_id for r in got.collect()} == {0}
+
+
 @pytest.mark.parametrize("block_words", [500_000, 15])
 def test_decontamination_matches_brute_force(spark, block_words):
     items = [(1, prose(1, 30)), (2, "Only, three words"), (3, None), (4, "?!"), (5, prose(1, 30)), (6, prose(6, 10))]
