@@ -58,3 +58,13 @@ def test_entry_imports_without_the_optional_folders():
 
     assert "pipeline" in __spark_entry__.queries() or "corpus_pipeline" not in sys.modules
     importlib.reload(__spark_entry__)
+
+
+def test_lda_reads_whole_counts(spark):
+    from unicat.operators.baselines import count_vectors, lda
+
+    rows = [(i, f, n) for i in range(20) for f, n in (((0, 3_000), (1, 40)) if i % 2 else ((2, 900), (1, 40)))]
+    counts = spark.createDataFrame(rows, "item_id long, feat long, n long")
+    got = {r.item_id: r.features.toArray().tolist() for r in count_vectors(counts).collect()}
+    assert got == {i: [3000.0, 40.0, 0.0] if i % 2 else [0.0, 40.0, 900.0] for i in range(20)}
+    assert lda(counts, 2, rounds=2).count() == 20

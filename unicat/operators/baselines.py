@@ -43,14 +43,23 @@ def plsa(counts: DataFrame, k: int, rounds: int, seed: int = 42) -> DataFrame:
     return pd.groupBy("item_id").agg(F.max_by("z", F.struct(F.round("d", 9).alias("d"), (-F.col("z")).alias("minus"))).alias("cat"))
 
 
+def count_vectors(counts: DataFrame) -> DataFrame:
+    """item_id, features: the counts (item_id, feat, n) of each item as a sparse vector over the features in order."""
+    from pyspark.ml.linalg import Vectors, VectorUDT
+
+    feats = [r.feat for r in counts.select("feat").distinct().orderBy("feat").collect()]
+    place = {f: i for i, f in enumerate(feats)}
+    sparse = F.udf(lambda own: Vectors.sparse(len(place), {place[x.feat]: float(x.n) for x in own}), VectorUDT())
+    per = counts.groupBy("item_id", "feat").agg(F.sum("n").alias("n"))
+    return per.groupBy("item_id").agg(sparse(F.sort_array(F.collect_list(F.struct("feat", "n")))).alias("features"))
+
+
 def lda(counts: DataFrame, k: int, rounds: int = 20, optimizer: str = "online", seed: int = 1) -> DataFrame:
     """item_id, cat by the library's LDA over sparse vectors."""
     from pyspark.ml.clustering import LDA
-    from pyspark.ml.feature import CountVectorizer
     from pyspark.ml.functions import vector_to_array
 
-    words = counts.groupBy("item_id").agg(F.flatten(F.collect_list(F.array_repeat(F.col("feat").cast("string"), F.least(F.lit(50), F.col("n").cast("int"))))).alias("words"))
-    vectors = CountVectorizer(inputCol="words", outputCol="features").fit(words).transform(words)
+    vectors = count_vectors(counts)
     topics = LDA(k=k, maxIter=rounds, optimizer=optimizer, seed=seed).fit(vectors).transform(vectors)
     d = vector_to_array("topicDistribution")
     return topics.select("item_id", (F.array_position(d, F.array_max(d)) - 1).cast("int").alias("cat"))
