@@ -211,3 +211,21 @@ def test_bands_reject_noise_and_repetition():
     assert quality_rules.in_bands(prose(1, 3000).encode(), bands, compress)[0]
     half = prose(2, 3000).encode()
     assert not quality_rules.in_bands(half + b"buy it now! " * 4000, bands, compress)[0]
+
+
+def test_every_chunk_counts_and_encoded_text_goes():
+    import base64
+
+    import zstandard
+
+    compress, bands, r = zstandard.ZstdCompressor(level=3).compress, quality_rules.Bands(), random.Random(6)
+    mime = base64.encodebytes(r.randbytes(60_000))
+    tokens = " ".join("".join(r.choices("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", k=8)) for _ in range(7_000)).encode()
+    for junk in (mime, tokens):
+        for size in (1_000, 3_000, 6_000, 13_000, 60_000):
+            assert not quality_rules.in_bands(junk[:size], bands, compress)[0], size
+    good = prose(3, 20_000).encode()
+    for size in (1_000, 3_000, 4_097, 6_000, 13_000, 90_000):
+        assert quality_rules.in_bands(good[:size], bands, compress)[0], size
+    assert not quality_rules.in_bands(good[:24_576] + mime[:12_288], bands, compress)[0]  # a third is junk
+    assert not quality_rules.in_bands(good[:4_096] + mime[:4_000], bands, compress)[0]  # all of it in the last chunk

@@ -1,7 +1,8 @@
 """Quality rules by compression bands: zstandard ratios of whole documents and of fixed chunks.
 
 A text that compresses far better than prose repeats itself; one that hardly compresses is not prose. What is normal
-depends on length, so each band of lengths has its own limits, in bytes of UTF-8. Whole texts and every chunk count.
+depends on length, so each band of lengths has its own limits, in bytes of UTF-8. Whole texts and every chunk count; the
+last chunk is judged by the band of its own length, and one under LAST_BYTES by the chunk that it ends.
 
 Defined cases: a null or empty text has no words and fails the base rules. Lone surrogates can't occur in Arrow
 strings. Each row is judged alone, so repeated rows, null ids, extra columns and empty tables need no rule.
@@ -18,6 +19,8 @@ from pyspark.sql import types as T
 
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
+#: A shorter last chunk says too little by itself.
+LAST_BYTES = 1_000
 SYMBOLS = "#*$%&|<>"
 _BLANKS = {c: " " for c in range(9, 14)}
 
@@ -26,11 +29,11 @@ _BLANKS = {c: " " for c in range(9, 14)}
 class Bands:
     """(from bytes, least ratio, greatest ratio), ascending; a text falls under the last band that it reaches."""
 
-    whole: tuple[tuple[int, float, float], ...] = ((0, 0.0, 9.0), (200, 0.20, 1.0), (1_000, 0.18, 0.92), (4_000, 0.15, 0.85), (20_000, 0.12, 0.80), (200_000, 0.08, 0.75))
+    whole: tuple[tuple[int, float, float], ...] = ((0, 0.0, 9.0), (200, 0.20, 0.95), (500, 0.20, 0.80), (1_000, 0.18, 0.72), (2_000, 0.18, 0.66), (4_000, 0.15, 0.62), (20_000, 0.12, 0.56), (200_000, 0.08, 0.55))
     chunk_bytes: int = 4_096
-    chunk: tuple[float, float] = (0.12, 0.90)
-    #: A document goes when more than this share of its full chunks is outside the limits of a chunk.
-    chunk_share: float = 0.5
+    chunk: tuple[float, float] = (0.12, 0.62)
+    #: A document goes when more than this share of its bytes is in chunks outside their limits.
+    chunk_share: float = 0.2
     level: int = 3
 
 
@@ -63,16 +66,24 @@ def in_bands(raw: bytes, bands: Bands, compress) -> tuple[bool, float]:
     if not n:
         return True, 1.0
     ratio = len(compress(raw)) / n
-    low, high = next((lo, hi) for least, lo, hi in reversed(bands.whole) if n >= least)
+    low, high = _limits(n, bands)
     if not low <= ratio <= high:
         return False, ratio
-    full = n // bands.chunk_bytes
-    if full > 1:
-        low, high = bands.chunk
-        out = sum(not low <= len(compress(raw[i * bands.chunk_bytes : (i + 1) * bands.chunk_bytes])) / bands.chunk_bytes <= high for i in range(full))
-        if out > bands.chunk_share * full:
-            return False, ratio
-    return True, ratio
+    if n <= bands.chunk_bytes:  # the text is its only chunk
+        return True, ratio
+    starts = list(range(0, n, bands.chunk_bytes))
+    if len(starts) > 1 and n - starts[-1] < LAST_BYTES:
+        starts.pop()
+    out = 0
+    for at, end in zip(starts, [*starts[1:], n], strict=True):
+        low, high = bands.chunk if end - at >= bands.chunk_bytes else _limits(end - at, bands)
+        if not low <= len(compress(raw[at:end])) / (end - at) <= high:
+            out += end - at
+    return out <= bands.chunk_share * n, ratio
+
+
+def _limits(n: int, bands: Bands) -> tuple[float, float]:
+    return next((lo, hi) for least, lo, hi in reversed(bands.whole) if n >= least)
 
 
 #: What judge() adds to each row.
