@@ -4,11 +4,12 @@ import random
 import re
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from unicat.llm import html_extract as he
 from unicat.llm import url_filter as uf
-from unicat.llm.queries import LISTED_URLS, URL_RULES
+from unicat.llm.queries import LISTED_URLS, URL_RULES, op1_url_filter
 
 PAGES = "page_id long, url string, html string"
 
@@ -43,6 +44,13 @@ def test_url_filter_matches_plain_rules(spark):
     assert none.where("__verdict = 'allow'").count() == len(urls) + 4 and uf.judge(pages.limit(0), entries).count() == 0
 
 
+@pytest.mark.parametrize("table", ["sf0.001", "sf0.01", "sf0.1"])
+def test_listed_sites_of_the_given_tables_are_blocked(spark, table):
+    bad = op1_url_filter(spark, f"/root/testdata/{table}").where(F.col("host").rlike(r"(^|\.)(spam-farm|cheap-pills|casino-win|ads-track|free-bets)\.example\."))
+    rows = bad.collect()
+    assert rows and all(r.verdict == "block" for r in rows if r.rule is None)
+
+
 def test_blocked_filter_has_few_false_positives(spark):
     entries = spark.range(5000).select(F.concat(F.lit("Lhost"), "id", F.lit(".com/")).alias("key"))
     filled = uf.build_filter(entries)

@@ -11,8 +11,9 @@ from .common import read_table
 
 #: The rules of op1, host and path in one.
 URL_RULES = (("org/", "allow"), ("example.org/es/", "block"), ("example.org/en/1", "block"), ("com/fr/", "allow"), ("com/de/", "block"))
-#: The listed canonical URLs of op1: sites that are blocked whole unless a rule says otherwise.
-LISTED_URLS = ("spam-farm.example.org/", "cheap-pills.example.com/", "casino-win.example.org/", "ads-track.example.org/", "free-bets.example.com/")
+#: The listed canonical URLs of op1: sites that are blocked whole, under every top-level domain in use, unless a rule says otherwise.
+LISTED_SITES = ("spam-farm.example", "cheap-pills.example", "casino-win.example", "ads-track.example", "free-bets.example")
+LISTED_URLS = tuple(f"{site}.{top}/" for site in LISTED_SITES for top in ("com", "net", "org"))
 
 
 def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
