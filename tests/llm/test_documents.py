@@ -180,6 +180,25 @@ def test_packing_prefers_lexical_neighbours():
     assert sum(len(v) for v in together.values()) <= len(together) + 4
 
 
+def test_packing_uses_all_terms_and_all_neighbours():
+    import numpy as np
+
+    r = np.random.default_rng(2)
+    # Short documents of two topics, in turn: over 64 of a topic fit into a window.
+    ids = [(r.integers(0, 40, 14) + 1_000 * (1 + j % 2)).astype(np.uint16) for j in range(600)]
+    pieces = packing.pack_shard(ids, np.ones(1 << 16), 14.0)
+    mixed = defaultdict(set)
+    for d, _, _, q, _ in pieces:
+        mixed[q].add(d % 2)
+    assert sum(len(v) > 1 for q, v in mixed.items() if q < 4) <= 1
+    # The only neighbour shares none of the twelve heaviest terms of the seed.
+    seed = np.concatenate([np.repeat(np.arange(100, 112), 50), np.arange(200, 230)]).astype(np.uint16)
+    other = np.arange(5_000, 5_400).astype(np.uint16)
+    near = np.concatenate([np.arange(200, 230), np.arange(6_000, 6_400)]).astype(np.uint16)
+    order = dict.fromkeys(d for d, *_ in packing.pack_shard([seed, other, near], np.ones(1 << 16), 500.0))
+    assert list(order) == [0, 2, 1]
+
+
 def test_quality_counts_match_brute_force(spark):
     rows = odd_docs() + [(50, "a b c a b c x # * <b>\nrow\n\nrow\n \nrow ", "en", "s", 1), (51, "spam now " * 400, "en", "s", 1), (52, prose(5, 400), "en", "s", 1)]
     got = quality_rules.judge(frame(spark, rows).withColumn("n_words", F.lit("clash"))).collect()

@@ -5,8 +5,8 @@
 3. The index is sharded. A document's shard is its weighted min-hash, two tokens drawn with more weight on late ids (which
    the vocabulary gave to rare tokens), so lexically close documents tend to share it. A shard holds about SHARD_TOKENS
    tokens; larger ones are split by a hash of the id, so copies or a large source never fill one task.
-4. In a shard, the lowest unused document is the seed. Its rarest tokens query the shard's inverted index; the unused
-   documents with the best scores fill the window. The last one is cut at the end of the window, and what is left of it
+4. In a shard, the lowest unused document is the seed. All its distinct tokens query the shard; the unused documents
+   with the best scores fill the window, as many as it takes, and unrelated ones only when none with a score is left. The last one is cut at the end of the window, and what is left of it
    seeds the next, so every sequence but a shard's last is full. The rest of a shard is cut into powers of two, which
    need no padding.
 
@@ -33,7 +33,8 @@ from .common import materialise, trim
 WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1_500_000
-QUERY_TERMS = 12
+#: Neighbours that are ranked at first; the next ones follow when these are used up.
+RANK_FIRST = 64
 K1, B = 1.2, 0.75
 PIECES = "long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
@@ -183,7 +184,7 @@ def frequencies(encoded: DataFrame) -> tuple[np.ndarray, int, int]:
     return df, rows, tokens
 
 
-def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, window: int = WINDOW, query_terms: int = QUERY_TERMS):
+def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, window: int = WINDOW):
     """(document, start, length, sequence, offset) of every piece, greedily, for the documents of one shard."""
     n = len(ids)
     length = np.array([len(x) for x in ids], np.int64)
@@ -191,22 +192,29 @@ def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, windo
     keys, tf = np.unique(np.repeat(np.arange(n) << 16, length) | np.concatenate(ids), return_counts=True)
     owner, term = keys >> 16, keys & 0xFFFF
     weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[owner] / mean_length))
-    bounds = np.searchsorted(owner, np.arange(n + 1))
-    query = []
-    for lo, hi in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
-        own = weight[lo:hi]
-        best = np.argpartition(-own, query_terms)[:query_terms] if hi - lo > query_terms else np.arange(hi - lo)
-        query.append(np.sort(term[lo + best]))
-    order = np.argsort(term, kind="stable")
-    posted, weight = owner[order], weight[order]
-    begin = np.searchsorted(term[order], np.arange((1 << 16) + 1))
+    begin = np.flatnonzero(np.diff(owner, prepend=-1))
+    holder, wanted = owner[begin], np.zeros(1 << 16, bool)
     unused, score = np.ones(n, bool), np.zeros(n)
     pieces, doc, start, sequence, room, low = [], -1, 0, 0, window, 0
     ranked: list[int] = []
+    step, more = RANK_FIRST, False
+
+    def best() -> list[int]:
+        """The next unused neighbours, the best one last."""
+        found = np.flatnonzero((score > 0) & unused)
+        if len(found) > step:
+            # All that tie with the last one are ranked too, so that equal scores go by position.
+            found = found[score[found] >= -np.partition(-score[found], step - 1)[step - 1]]
+        return found[np.lexsort((-found, score[found]))].tolist()
+
     while True:
         if doc < 0:
             while ranked and not unused[ranked[-1]]:
                 ranked.pop()
+            if not ranked and more:
+                step *= 4
+                ranked = best()
+                more = bool(ranked)
             if ranked:
                 doc = ranked.pop()
             else:
@@ -217,15 +225,18 @@ def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, windo
                 doc = low
             start, unused[doc] = 0, False
         if room == window:  # the document that opens a sequence is its seed
+            if 2 * unused[holder].sum() < len(holder):  # used documents leave the index
+                keep = unused[owner]
+                owner, term, weight = owner[keep], term[keep], weight[keep]
+                begin = np.flatnonzero(np.diff(owner, prepend=-1))
+                holder = owner[begin]
             score[:] = 0
-            for t in query[doc]:
-                at = slice(begin[t], begin[t + 1])
-                score[posted[at]] += weight[at]
-            score[~unused] = 0
-            found = np.flatnonzero(score)
-            if len(found) > 64:
-                found = found[np.argpartition(-score[found], 63)[:64]]
-            ranked = found[np.lexsort((-found, score[found]))].tolist()
+            wanted[:] = False
+            wanted[ids[doc]] = True
+            if len(begin):
+                score[holder] = np.add.reduceat(np.where(wanted[term], weight, 0.0), begin)
+            step, more = RANK_FIRST, True
+            ranked = best()
         take = min(room, length[doc] - start)
         pieces.append((doc, start, take, sequence, window - room))
         start, room = start + take, room - take
