@@ -66,3 +66,21 @@ def test_stages_keep_columns_and_survive_odd_tables(spark, sf):
             assert stage(spark, docs, sf).columns == docs.columns, name
             assert stage(spark, docs, sf).count() <= docs.count()
         corpus_pipeline.into_sequences(spark, docs, sf).count()
+
+
+def test_one_row_of_each_group_stays(spark):
+    from unicat.llm import jaccard_join
+
+    from .helpers import frame, odd_docs, prose
+
+    a, b, c = prose(1, 80), prose(2, 80), prose(3, 80)
+    texts = [(3, a), (3, a), (3, a), (None, a), (None, a), (8, a + " end"), (None, b), (None, b), (None, c), (9, c), (9, "one two"), (4, ""), (6, None), (None, " "), (None, " ")]
+    got = jaccard_join.keep_one(frame(spark, [(i, t, f"l{k}", "s", k) for k, (i, t) in enumerate(texts)]))
+    kept = got.collect()
+    assert got.columns[0] == "doc_id" and all(r.lang == f"l{r.n_chars}" for r in kept)
+    want = [(3, a), (None, b), (4, ""), (6, None), (None, " ")]
+    nine = [(r.doc_id, r.text) for r in kept if r.doc_id == 9]
+    assert nine in ([(9, c)], [(9, "one two")], [(9, c), (9, "one two")])
+    assert sorted(map(str, ((r.doc_id, r.text) for r in kept if r.doc_id != 9))) == sorted(map(str, want))
+    odd = [(r.doc_id, r.text) for r in jaccard_join.keep_one(frame(spark, odd_docs() * 3)).collect()]
+    assert len(odd) == len(set(odd)) and [i for i, _ in odd].count(None) == 1

@@ -15,7 +15,7 @@ Comparison is on 64-bit hashes of shingles; class keys have 128 bits.
 Defined cases: a null, empty or blank text has no shingles, links with nothing and is its own component. Fewer words
 than a shingle are one shingle. A row with a null id is listed with the component of equal sets, but a null id can't
 name a component. Rows that repeat an id with different texts are one node, whose links add up. An empty table gives
-an empty table. Extra columns are not read.
+an empty table. Extra columns are not read; keep_one passes them through.
 """
 
 from __future__ import annotations
@@ -125,9 +125,13 @@ def rarity_sketch(docs: DataFrame, size: int = SHINGLE) -> np.ndarray:
     return out.reshape(-1)
 
 
+def _row_key(text):
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
 def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """Per row: id, n, class key s1 s2, group key g1 g2, prefix (hashes in global order), stars (min-hashes), typical,
-    parity (bit i: whether an odd number of hashes ends in i)."""
+    parity (bit i: whether an odd number of hashes ends in i), row (a hash of the text)."""
     shift = np.uint64(64 - (SKETCH.bit_length() - 1))
     held = docs.sparkSession.sparkContext.broadcast(np.minimum(counts, np.iinfo(np.uint32).max).astype(np.uint32))
 
@@ -159,13 +163,13 @@ def signatures(docs: DataFrame, counts: np.ndarray, size: int = SHINGLE, percent
                 parity.append(np.packbits(odd.astype(np.uint8)).view(np.int64))
             k = np.frombuffer(b"".join(keys), np.int64).reshape(-1, 4)
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(ns, pa.int64()), *(pa.array(k[:, j]) for j in range(4)), pa.array(prefixes, pa.binary()), pa.array(stars, pa.list_(pa.int64())), pa.array(typical, pa.int64()), pa.array(parity, pa.list_(pa.int64()))],
-                ["id", "n", "s1", "s2", "g1", "g2", "prefix", "stars", "typical", "parity"],
+                [b.column(0), pa.array(ns, pa.int64()), *(pa.array(k[:, j]) for j in range(4)), pa.array(prefixes, pa.binary()), pa.array(stars, pa.list_(pa.int64())), pa.array(typical, pa.int64()), pa.array(parity, pa.list_(pa.int64())), b.column(2)],
+                ["id", "n", "s1", "s2", "g1", "g2", "prefix", "stars", "typical", "parity", "row"],
             )
         del memo
         trim()
 
-    return docs.select("id", "text").mapInArrow(sign, "id long, n long, s1 long, s2 long, g1 long, g2 long, prefix binary, stars array<long>, typical long, parity array<long>")
+    return docs.select("id", "text", _row_key(F.col("text")).alias("row")).mapInArrow(sign, "id long, n long, s1 long, s2 long, g1 long, g2 long, prefix binary, stars array<long>, typical long, parity array<long>, row long")
 
 
 def linked(docs: DataFrame, pairs: DataFrame, size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -280,6 +284,11 @@ def _cross_pairs(signed: DataFrame, classes: DataFrame, percent: int) -> DataFra
 
 def link_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """One row per row of df: id, n_shingles, component_id."""
+    return _linked_rows(df, id_col, text_col, size, percent).select("id", "n_shingles", "component_id")
+
+
+def _linked_rows(df: DataFrame, id_col: str, text_col: str, size: int, percent: int) -> DataFrame:
+    """One row per row of df: id, n_shingles, component_id, row, s1, s2."""
     docs = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     signed = materialise(signatures(docs, rarity_sketch(docs, size), size, percent), "signatures")
     classes = signed.where("n > 0 and id is not null").groupBy("s1", "s2").agg(
@@ -295,17 +304,37 @@ def link_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     second = components(ends.select("comp_a", "comp_b"), "comp_a", "comp_b").withColumnRenamed("node", "comp")
     named = staged.join(second, "comp", "left").select("s1", "s2", "rows", F.coalesce("label", "comp").alias("component_id"))
     named = materialise(named, "components")
-    full = signed.where("n > 0").select("id", F.col("n").alias("n_shingles"), "s1", "s2")
-    known = join_keys(full, named, ["s1", "s2"], "rows").select("id", "n_shingles", "component_id")
-    lost = full.where("id is null").join(named, ["s1", "s2"], "left_anti").select("id", "n_shingles", F.lit(None).cast("long").alias("component_id"))
-    alone = signed.where("n = 0").select("id", F.lit(0).cast("long").alias("n_shingles"), F.col("id").alias("component_id"))
+    full = signed.where("n > 0").select("id", F.col("n").alias("n_shingles"), "s1", "s2", "row")
+    known = join_keys(full, named, ["s1", "s2"], "rows").select("id", "n_shingles", "component_id", "row", "s1", "s2")
+    lost = full.where("id is null").join(named, ["s1", "s2"], "left_anti").select("id", "n_shingles", F.lit(None).cast("long").alias("component_id"), "row", "s1", "s2")
+    alone = signed.where("n = 0").select("id", F.lit(0).cast("long").alias("n_shingles"), F.col("id").alias("component_id"), "row", "s1", "s2")
     return known.unionByName(alone).unionByName(lost)
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """df with one document of each component: the one whose id names it. Rows with a null id stay."""
-    ids = link_components(df, id_col, text_col, size, percent).where("id = component_id").select(F.col("id").alias("__kept_id")).distinct()
-    ids = materialise(ids, "kept-ids")
-    few = ids.count() <= BROADCAST_IDS
-    kept = df.join(F.broadcast(ids) if few else ids, F.col(id_col).cast("long") == F.col("__kept_id"), "left_semi")
-    return kept.unionByName(df.where(F.col(id_col).isNull()))
+    """df with one row of each component: of the rows whose id names it, the one whose text has shingles and the lowest
+    hash. Null-id rows whose set no id has are a component for each set, and without words one for each text."""
+    linked_rows = _linked_rows(df, id_col, text_col, size, percent)
+    of = F.when(F.col("component_id").isNotNull(), F.struct("component_id", F.lit(0).cast("long").alias("s1"), F.lit(0).cast("long").alias("s2")))
+    of = of.otherwise(F.struct("component_id", F.when(F.col("n_shingles") > 0, F.col("s1")).otherwise(F.col("row")).alias("s1"), "s2"))
+    distinct = linked_rows.groupBy("id", "component_id", "row").agg(F.max("n_shingles").alias("n_shingles"), F.max("s1").alias("s1"), F.max("s2").alias("s2"), F.count(F.lit(1)).alias("rows"))
+    # A row whose id names the component comes first.
+    order = F.struct(F.coalesce(F.col("id") != F.col("component_id"), F.lit(True)).alias("other"), (F.col("n_shingles") == 0).alias("blank"), "row", "id", "rows")
+    winners = distinct.groupBy(of.alias("__of")).agg(F.min(order).alias("__w"))
+    winners = winners.select(F.col("__w.id").alias("__kept_id"), F.col("__w.row").alias("__kept_row"), F.col("__w.rows").alias("__rows")).distinct()
+    winners = materialise(winners, "kept-rows")
+    names = df.columns
+    keyed = df.withColumn("__row", _row_key(F.col(text_col)))
+
+    def rows_of(keys: DataFrame) -> DataFrame:
+        few = keys.count() <= BROADCAST_IDS
+        return keyed.join(F.broadcast(keys) if few else keys, (F.col("__row") == F.col("__kept_row")) & F.col(id_col).cast("long").eqNullSafe(F.col("__kept_id")), "left_semi")
+
+    single = rows_of(winners.where("__rows = 1")).select(*names)
+    repeated = winners.where("__rows > 1")
+    if not repeated.limit(1).count():
+        return single
+    # Rows that repeat id and text: one of them, by a hash of the whole row.
+    whole = [F.col(f"`{f.name}`") for f in df.schema.fields if "map<" not in f.dataType.simpleString()]
+    one = rows_of(repeated).groupBy(F.col(id_col).alias("__id"), "__row").agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in names]), F.xxhash64(*whole)).alias("__one"))
+    return single.unionByName(one.select("__one.*"))
