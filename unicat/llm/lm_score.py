@@ -1,19 +1,26 @@
 """Cross-entropy difference: a target and a background n-gram model over one vocabulary score each document.
 
 Bigrams of words. Both models are counted over whole tables: the background over all documents, the target over the
-documents that are marked as such. Words and bigrams are counted in each task first and then in one shuffle; what is
-gathered grows with the corpus. The vocabulary is every word with MIN_WORD occurrences in all documents; the others are
-one unknown word. Bigrams with fewer than MIN_BIGRAM occurrences in all documents back off. Unigrams have add-one
-smoothing, bigrams Dirichlet smoothing towards them:
+documents that are marked as such. The vocabulary is every word with MIN_WORD occurrences in all documents; the others are
+one unknown word. Bigrams with fewer than MIN_BIGRAM occurrences in all documents back off; as a bigram has no more
+occurrences than its words, no bigram with an unknown word is kept. Unigrams have add-one smoothing, bigrams Dirichlet
+smoothing towards them:
 
     p(w | v) = (c(v, w) + MU p(w)) / (c(v) + MU)
 
-So a bigram that is not kept needs only the numbers of its two words, and the loss of a document is a sum over kept
-bigrams and single words. The target's counts are matched to the background's by its own totals. The score is the mean
-loss per token under the target less that under the background: the lower, the closer to the target.
+The target's counts are matched to the background's by its own totals. The score is the mean loss per token under the
+target less that under the background: the lower, the closer to the target.
 
-The tables of kept n-grams are split into blocks of BLOCK_ROWS rows at most. Up to MAX_PASSES blocks are broadcast one
-after another over the documents, without any shuffle of them; a larger model is joined by key instead.
+There is one plan for every size, and no table of n-grams is ever held by the driver or broadcast:
+
+1. Documents are read once and gathered in chunks of about CHUNK_TOKENS words (one document at least), which are written
+   with their words as places in a list of the chunk's own distinct words.
+2. Each chunk's distinct words and bigrams, with their counts in it, are dealt out by the top bits of 64-bit hashes: one
+   row of packed arrays for each chunk and bucket. A hot word or bigram is one entry a chunk, so no bucket gets more of it.
+3. A bucket sums the counts of its keys and answers each chunk with the totals in the chunk's own order.
+4. A chunk's answers meet its words again, which gives the losses of its documents.
+
+Counts are integers all the way. Memory in a worker is a chunk's or a bucket's arrays; the number of buckets follows the tokens.
 
 Defined cases: a null or blank text has no tokens and null losses and score. Without any target document both models are
 the background and all scores 0. Rows that repeat an id are scored by themselves; for the target each row counts whose id
@@ -22,41 +29,36 @@ is marked. An empty table gives an empty table. Extra columns are not read.
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import materialise
+from .common import materialise, trim
 
-MIN_WORD, MIN_BIGRAM = 3, 3
+MIN_WORD, MIN_BIGRAM = 2, 2
 MU = 50.0
-#: Rows of one broadcast block (16 bytes each in a worker), and blocks that are broadcast at most.
-BLOCK_ROWS, MAX_PASSES = 3_000_000, 4
+#: Words of a chunk (about 60 bytes each while a worker has it), and of which a bucket of keys is made.
+CHUNK_TOKENS, BUCKET_TOKENS = 1_000_000, 1_500_000
 #: Target ids that are broadcast (16 bytes each); more are joined.
 BROADCAST_IDS = 1_000_000
+WORDS, BIGRAMS = 0, 1
 _MIX = np.uint64(0x9E3779B97F4A7C15)
-_UNK = np.uint64(0x2545F4914F6CDD1D)
 _START = np.uint64(0x5851F42D4C957F2D)
 
 
-class WordKeys(dict):
-    """64-bit hashes of words, remembered up to a bound."""
+class WordPlaces(dict):
+    """The place of each distinct word in the order in which words first occur."""
 
     def __missing__(self, word: bytes) -> int:
-        import xxhash
-
-        if len(self) > 150_000:
-            self.clear()
-        h = self[word] = xxhash.xxh64_intdigest(word)
-        return h
+        i = self[word] = len(self)
+        return i
 
 
-def word_keys(text: str | None, memo: WordKeys) -> np.ndarray:
-    words = text.encode().lower().split() if text else []
-    return np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
+def words_of(text: str | None) -> list[bytes]:
+    """Words end at ASCII white space; A-Z are lower-cased."""
+    return text.encode().lower().split() if text else []
 
 
 def bigram_keys(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -68,212 +70,198 @@ def bigram_keys(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return (h ^ (h >> np.uint64(29))) * _MIX
 
 
-def known(keys: np.ndarray, vocabulary: np.ndarray) -> np.ndarray:
-    """Keys with those outside the sorted vocabulary replaced by the unknown word's."""
-    if not len(vocabulary) or not len(keys):
-        return np.full(len(keys), _UNK, np.uint64)
-    u, inverse = np.unique(keys, return_inverse=True)  # sorted keys are looked up much faster
-    at = np.minimum(np.searchsorted(vocabulary, u), len(vocabulary) - 1)
-    return np.where(vocabulary[at] == u, u, _UNK)[inverse]
+class Packer:
+    """Arrays of whole numbers as compressed byte planes of the narrowest width that holds them."""
 
+    def __init__(self):
+        import zstandard
 
-def places(keys: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """The place of each key in a sorted table, or -1."""
-    if not len(table) or not len(keys):
-        return np.full(len(keys), -1)
-    u, inverse = np.unique(keys, return_inverse=True)
-    at = np.minimum(np.searchsorted(table, u), len(table) - 1)
-    return np.where(table[at] == u, at, -1)[inverse]
+        self.compress, self.expand = zstandard.ZstdCompressor(level=1).compress, zstandard.ZstdDecompressor().decompress
 
+    def pack(self, a: np.ndarray) -> bytes:
+        top = int(a.max()) if len(a) else 0
+        width = next(w for w in (1, 2, 4, 8) if top < 1 << (8 * w))
+        planes = a.astype(f"<u{width}").view(np.uint8).reshape(-1, width).T
+        return bytes([width]) + self.compress(planes.tobytes())
 
-def _i(a) -> pa.Array:
-    return pa.array(np.ascontiguousarray(a, np.uint64).view(np.int64))
+    def unpack(self, raw) -> np.ndarray:
+        raw = memoryview(raw)
+        planes = np.frombuffer(self.expand(raw[1:]), np.uint8).reshape(raw[0], -1)
+        return np.ascontiguousarray(planes.T).reshape(-1).view(f"<u{raw[0]}").astype(np.uint64)
 
 
-def _counted(docs: DataFrame, of) -> DataFrame:
-    """Sums, in each task, of the keys that of(word keys, starts of documents) gives, for all rows and for marked ones."""
+def grouped(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted distinct keys, the place of each key among them, and one place where each occurs."""
+    order = np.argsort(keys)
+    ordered = keys[order]
+    first = np.ones(len(keys), bool)
+    first[1:] = ordered[1:] != ordered[:-1]
+    inverse = np.empty(len(keys), np.int64)
+    inverse[order] = np.cumsum(first) - 1
+    return ordered[first], inverse, order[first]
+
+
+def _chunks(rows: DataFrame, chunk_tokens: int) -> DataFrame:
+    """chunk, ids, n, and packed: sizes of documents, marks, words' places, and keys of the distinct words."""
+    schema = T.StructType(
+        [T.StructField("chunk", T.LongType()), T.StructField("ids", T.ArrayType(rows.schema["id"].dataType)), T.StructField("n", T.LongType())]
+        + [T.StructField(x, T.BinaryType()) for x in ("sizes", "marks", "at", "words")]
+    )
+    id_type = T.ArrayType(rows.schema["id"].dataType)
 
     def run(batches):
-        memo = WordKeys()
-
-        def flush(wait, marks):
-            size = np.array([len(k) for k in wait], np.int64)
-            words = np.concatenate(wait)
-            keys = of(words, (np.cumsum(size) - size)[size > 0])
-            u, inverse = np.unique(keys, return_inverse=True)
-            n, t = np.bincount(inverse, minlength=len(u)), np.bincount(inverse[np.repeat(marks, size)], minlength=len(u))
-            for lo in range(0, len(u), 200_000):
-                yield pa.RecordBatch.from_arrays([_i(u[lo : lo + 200_000]), pa.array(n[lo : lo + 200_000].astype(np.int64)), pa.array(t[lo : lo + 200_000].astype(np.int64))], ["key", "n", "t"])
-
-        wait, marks, size = [], [], 0
+        import xxhash
+        from pyspark import TaskContext
+        from pyspark.sql.pandas.types import to_arrow_type
+
+        base, packer, made = TaskContext.get().partitionId() << 32, Packer(), 0
+        places, ids, sizes, marks, at, held = WordPlaces(), [], [], [], [], 0
+
+        def flush():
+            words = np.fromiter(map(xxhash.xxh64_intdigest, places), np.uint64, len(places))
+            blobs = [packer.pack(np.array(x)) for x in (sizes, marks)] + [packer.pack(np.concatenate(at)), packer.pack(words)]
+            return pa.RecordBatch.from_arrays([pa.array([base + made]), pa.array([ids], to_arrow_type(id_type)), pa.array([held]), *(pa.array([x], pa.binary()) for x in blobs)], schema.names)
+
         for b in batches:
-            for x, m in zip(b.column(0), b.column(1).to_pylist(), strict=True):
-                wait.append(word_keys(x.as_py(), memo))
-                marks.append(bool(m))
-                size += len(wait[-1])
-                if size > 1_500_000:
-                    yield from flush(wait, marks)
-                    wait, marks, size = [], [], 0
-        if size:
-            yield from flush(wait, marks)
-
-    return docs.mapInArrow(run, "key long, n long, t long").groupBy("key").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
-
-
-def _to_arrays(df: DataFrame, block: int) -> list[np.ndarray]:
-    """The block's rows as sorted arrays; at most BLOCK_ROWS rows by the choice of blocks."""
-    table = (df.where(F.col("block") == block) if "block" in df.columns else df).drop("block").toArrow()
-    cols = [table.column(i).to_numpy() for i in range(table.num_columns)]
-    keys = cols[0].view(np.uint64)
-    order = np.argsort(keys)
-    return [keys[order], *(c[order].astype(np.float32) for c in cols[1:])]
+            for i, x, m in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
+                own = words_of(x.as_py())
+                ids.append(i)
+                sizes.append(len(own))
+                marks.append(int(bool(m)))
+                at.append(np.fromiter(map(places.__getitem__, own), np.uint32, len(own)))
+                held += len(own)
+                if held >= chunk_tokens:
+                    yield flush()
+                    made, held = made + 1, 0
+                    places, ids, sizes, marks, at = WordPlaces(), [], [], [], []
+        if ids:
+            yield flush()
+        del places, at
+        trim()
+
+    return rows.select("id", "text", "mark").mapInArrow(run, schema)
+
 
+def _whole(keys_in: np.ndarray, at: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Keys of the tokens, and where documents with words start."""
+    return keys_in[at], (np.cumsum(sizes) - sizes)[sizes > 0]
 
-def _blocks(df: DataFrame, rows: int) -> tuple[DataFrame, int]:
-    n = max(1, math.ceil(1.1 * rows / BLOCK_ROWS))
-    return df.withColumn("block", F.pmod(F.xxhash64("key"), F.lit(n))), n
 
+def _parts(chunks: DataFrame, bits: int) -> DataFrame:
+    """chunk, bucket, and packed: sorted keys, counts in all documents of the chunk, and in marked ones."""
 
-def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_passes: int = MAX_PASSES) -> DataFrame:
+    def run(batches):
+        packer = Packer()
+        for b in batches:
+            for row in b.to_pylist():
+                sizes, marks, at, words = (packer.unpack(row[x]) for x in ("sizes", "marks", "at", "words"))
+                sizes, at = sizes.astype(np.int64), at.astype(np.int64)
+                marked = np.repeat(marks.astype(bool), sizes)
+                tokens, starts = _whole(words, at, sizes)
+                order = np.argsort(words)
+                counts = [np.bincount(x, minlength=len(words))[order] for x in (at, at[marked])]
+                pairs, inverse, _ = grouped(bigram_keys(tokens, starts))
+                sets = ((WORDS, words[order], *counts), (BIGRAMS, pairs, np.bincount(inverse, minlength=len(pairs)), np.bincount(inverse[marked], minlength=len(pairs))))
+                for kind, keys, n, t in sets:
+                    bucket = (keys >> np.uint64(64 - bits)).astype(np.int64)
+                    cuts = np.flatnonzero(np.diff(bucket, prepend=-1))
+                    out = [(row["chunk"], kind << 40 | int(bucket[lo]), packer.pack(keys[lo:hi]), packer.pack(n[lo:hi]), packer.pack(t[lo:hi])) for lo, hi in zip(cuts, [*cuts[1:], len(keys)], strict=True)]
+                    if out:
+                        cols = list(zip(*out, strict=True))
+                        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), *(pa.array(c, pa.binary()) for c in cols[2:])], ["chunk", "bucket", "keys", "n", "t"])
+        trim()
+
+    return chunks.select("chunk", "sizes", "marks", "at", "words").mapInArrow(run, "chunk long, bucket long, keys binary, n binary, t binary")
+
+
+def add_up(keys: list[np.ndarray], n: list[np.ndarray], t: list[np.ndarray], least: int):
+    """(totals n and t for each part's keys, 0 under the least; kept keys, all n, all t, n and t that are not kept)."""
+    sizes = np.cumsum([len(k) for k in keys])[:-1]
+    u, inverse, _ = grouped(np.concatenate(keys))
+    total = []
+    for parts in (n, t):
+        x = np.zeros(len(u), np.int64)
+        np.add.at(x, inverse, np.concatenate(parts).astype(np.int64))
+        total.append(x)
+    kept = total[0] >= least
+    stats = [int(kept.sum()), *(int(x.sum()) for x in total), *(int(x[~kept].sum()) for x in total)]
+    back = [np.split(np.where(kept, x, 0)[inverse], sizes) for x in total]
+    return back, stats
+
+
+def _totals(parts: DataFrame, tasks: int) -> DataFrame:
+    """chunk, bucket, and packed totals in the order of the chunk's keys; for chunk -1, stats of the bucket."""
+
+    def run(table: pa.Table) -> pa.Table:
+        packer, bucket = Packer(), table.column("bucket")[0].as_py()
+        order = np.argsort(table.column("chunk").to_numpy(), kind="stable")
+        cols = [[packer.unpack(table.column(c)[i].as_buffer()) for i in order] for c in ("keys", "n", "t")]
+        (n, t), stats = add_up(*cols, MIN_WORD if bucket >> 40 == WORDS else MIN_BIGRAM)
+        chunks = [*table.column("chunk").to_numpy()[order].tolist(), -1]
+        blobs = [[packer.pack(x) for x in col] for col in (n, t)]
+        return pa.table({"chunk": pa.array(chunks, pa.int64()), "bucket": pa.array([bucket] * len(chunks), pa.int64()), "n": pa.array([*blobs[0], b""], pa.binary()), "t": pa.array([*blobs[1], b""], pa.binary()), "stats": pa.array([None] * len(blobs[0]) + [stats], pa.list_(pa.int64()))})
+
+    return parts.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(run, "chunk long, bucket long, n binary, t binary, stats array<long>")
+
+
+def _losses(sizes, at, words, totals, facts) -> tuple[np.ndarray, np.ndarray]:
+    """Target loss and background loss of each document of a chunk. totals: (n, t) of the sorted words, then of the sorted bigrams."""
+    n_all, n_target, unk_all, unk_target, size = facts
+    tokens, starts = _whole(words, at, sizes)
+    order, out = np.argsort(words), []
+    _, inverse, some = grouped(bigram_keys(tokens, starts))
+    doc = np.repeat(np.arange(len(sizes)), sizes)
+    for which, (all_of, unk) in ((1, (n_target, unk_target)), (0, (n_all, unk_all))):
+        which = which if n_target else 0
+        all_of, unk = (all_of, unk) if n_target else (n_all, unk_all)
+        known = np.zeros(len(words), bool)
+        count = np.zeros(len(words))
+        known[order] = totals[WORDS][0] > 0
+        count[order] = totals[WORDS][which]
+        count = np.where(known, count, unk)
+        context = np.log(count + MU)
+        own = np.log(totals[BIGRAMS][which] + MU * (count[at[some]] + 1) / (all_of + size))
+        before = np.empty(len(at))
+        before[1:] = context[at[:-1]]
+        before[starts] = np.log(MU)
+        out.append(np.bincount(doc, before - own[inverse], len(sizes)))
+    return out[0], out[1]
+
+
+def score(docs: DataFrame, target_ids: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_tokens: int = CHUNK_TOKENS, bucket_tokens: int = BUCKET_TOKENS) -> DataFrame:
     """id, n_tokens, target_loss, background_loss, score of every row; losses in nats per token. target_ids: the ids of target documents (column id_col)."""
-    sc = docs.sparkSession.sparkContext
     marks = target_ids.select(F.col(id_col).alias("__t")).where("__t is not null").distinct()
     marks = materialise(marks.withColumn("mark", F.lit(True)), "lm-marks")
     plain = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     few = marks.count() <= BROADCAST_IDS
-    rows = plain.join(F.broadcast(marks) if few else marks, F.col("id") == F.col("__t"), "left").select("id", "text", F.coalesce("mark", F.lit(False)).alias("mark"))
-    words = materialise(_counted(rows.select("text", "mark"), lambda words, starts: words), "lm-words")
-    totals = words.agg(F.sum("n"), F.sum("t"), F.count(F.lit(1)), F.sum(F.when(F.col("n") >= MIN_WORD, 1)), F.sum(F.when(F.col("n") < MIN_WORD, F.col("n"))), F.sum(F.when(F.col("n") < MIN_WORD, F.col("t")))).first()
-    n_all, n_target, _, n_kept, unk_all, unk_target = (x or 0 for x in totals)
-    kept = words.where(F.col("n") >= MIN_WORD)
-    if n_kept > BLOCK_ROWS * max_passes:
-        return _joined(rows, kept, n_kept, (n_all, n_target, unk_all, unk_target))
-    split, passes = _blocks(kept, n_kept)
-    vocabulary = [_to_arrays(split, i) for i in range(passes)]
-    joined = [np.concatenate([v[j] for v in vocabulary]) for j in range(3)]
-    order = np.argsort(joined[0])
-    held_words = sc.broadcast(tuple(c[order] for c in joined))
-
-    def pairs_of(words, starts):
-        return bigram_keys(known(words, held_words.value[0]), starts)
-
-    bigrams = materialise(_counted(rows.select("text", "mark"), pairs_of).where(F.col("n") >= MIN_BIGRAM), "lm-bigrams")
-    n_pairs = bigrams.count()
-    if n_pairs > BLOCK_ROWS * max_passes:
-        return _joined(rows, kept, n_kept, (n_all, n_target, unk_all, unk_target), bigrams)
-    split, passes = _blocks(bigrams, n_pairs)
-    unigrams = _unigrams(held_words.value, n_all, n_target, unk_all, unk_target)
-    held_unigrams = sc.broadcast(unigrams)
-    state = "id long, text string, n_tokens long, loss_t double, loss_b double"
-    out = plain.withColumn("n_tokens", F.lit(0).cast("long")).withColumn("loss_t", F.lit(0.0)).withColumn("loss_b", F.lit(0.0))
-    for i in range(passes):
-        held = sc.broadcast(_to_arrays(split, i))
-
-        def add(batches, held=held, first=i == 0):
-            memo = WordKeys()
-            vocab, (keys, n, t) = held_unigrams.value, held.value
-            for b in batches:
-                parts, wait, size = [], [], 0
-                for x in b.column(1):
-                    wait.append(word_keys(x.as_py(), memo))
-                    size += len(wait[-1])
-                    if size > 200_000:
-                        parts.append(_losses(wait, vocab, keys, n, t, first))
-                        wait, size = [], 0
-                parts.append(_losses(wait, vocab, keys, n, t, first))
-                cols = [np.concatenate(c) for c in zip(*parts, strict=True)]
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cols[0].astype(np.int64)), pa.array(b.column(3).to_numpy() + cols[1]), pa.array(b.column(4).to_numpy() + cols[2])], ["id", "text", "n_tokens", "loss_t", "loss_b"])
-
-        out = out.mapInArrow(add, state)
-        if i + 1 < passes:  # one block in a worker's memory at a time
-            out = materialise(out, "lm-losses")
-    return _finish(out)
-
-
-def _finish(out: DataFrame) -> DataFrame:
-    n = F.when(F.col("n_tokens") > 0, F.col("n_tokens"))
-    return out.select("id", "n_tokens", (F.col("loss_t") / n).alias("target_loss"), (F.col("loss_b") / n).alias("background_loss"), ((F.col("loss_t") - F.col("loss_b")) / n).alias("score"))
-
-
-def _unigrams(words, n_all, n_target, unk_all, unk_target):
-    """Sorted keys with the unknown word and the start; counts and probabilities under both models."""
-    keys, n, t = (np.concatenate([a, x]) for a, x in zip(words, (np.array([_UNK, _START]), [unk_all, 0], [unk_target, 0]), strict=True))
-    order = np.argsort(keys)
-    keys, n, t = keys[order], n[order].astype(float), t[order].astype(float)
-    if not n_target:
-        t, n_target = n, n_all
-    size = len(keys) - 1
-    return keys, n, t, (n + 1) / (n_all + size), (t + 1) / (n_target + size)
-
-
-def _losses(texts: list[np.ndarray], vocab, keys, n, t, first: bool) -> list[np.ndarray]:
-    """Tokens, target loss and background loss of each text. The first pass adds what every bigram has by backing off;
-    each pass adds, for the bigrams of its block, the difference that their counts make."""
-    words, count_b, count_t, p_b, p_t = vocab
-    size = np.array([len(k) for k in texts], np.int64)
-    row, starts = np.repeat(np.arange(len(texts)), size), (np.cumsum(size) - size)[size > 0]
-    w = known(np.concatenate(texts), words) if len(row) else np.zeros(0, np.uint64)
-    loss_b, loss_t = np.zeros(len(texts)), np.zeros(len(texts))
-    if len(row):
-        at = places(w, words)
-        back_b, back_t = MU * p_b[at], MU * p_t[at]
-        if first:
-            before = np.empty(len(at), np.int64)
-            before[1:] = at[:-1]
-            before[starts] = np.searchsorted(words, _START)
-            loss_b = np.bincount(row, np.log(count_b[before] + MU) - np.log(back_b), len(texts))
-            loss_t = np.bincount(row, np.log(count_t[before] + MU) - np.log(back_t), len(texts))
-        spot = places(bigram_keys(w, starts), keys)
-        hit = spot >= 0
-        if hit.any():
-            own = n if count_t is count_b else t
-            loss_b = loss_b - np.bincount(row[hit], np.log1p(n[spot[hit]] / back_b[hit]), len(texts))
-            loss_t = loss_t - np.bincount(row[hit], np.log1p(own[spot[hit]] / back_t[hit]), len(texts))
-    return [size, loss_t, loss_b]
-
-
-def _joined(rows: DataFrame, kept: DataFrame, n_kept: int, totals, bigrams: DataFrame | None = None) -> DataFrame:
-    """The same numbers by joins on keys, for models of any size: rows (row, position, word) are dealt by word, then by
-    bigram, and summed for each row. Hot words are spread: the words' table is repeated SALTS times."""
-    salts = 16
-    n_all, n_target, unk_all, unk_target = totals
-    if not n_target:
-        n_target, unk_target, kept = n_all, unk_all, kept.withColumn("t", F.col("n"))
-    size = n_kept + 1
-
-    def spread(batches):
-        memo = WordKeys()
-        for b in batches:
-            for row, x, mark in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
-                k = word_keys(x.as_py(), memo)
-                for lo in range(0, len(k), 200_000):
-                    part = k[lo : lo + 200_000]
-                    pos = np.arange(lo, lo + len(part))
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), row)), pa.array(pos), _i(part), pa.array(np.full(len(part), bool(mark)))], ["row", "pos", "key", "mark"])
-
-    numbered = materialise(rows.withColumn("row", F.monotonically_increasing_id()), "lm-rows")
-    tokens = numbered.select("row", "text", "mark").mapInArrow(spread, "row long, pos long, key long, mark boolean").withColumn("salt", F.pmod("row", F.lit(salts)))
-    salted = kept.select("key", "n", "t", F.explode(F.array(*[F.lit(i).cast("long") for i in range(salts)])).alias("salt"))
-    unk = int(np.array([_UNK]).view(np.int64)[0])
-    known_tokens = tokens.join(salted, ["key", "salt"], "left").select(
-        "row", "pos", "mark", F.when(F.col("n").isNull(), F.lit(unk)).otherwise(F.col("key")).alias("w"), F.coalesce("n", F.lit(unk_all)).alias("n"), F.coalesce("t", F.lit(unk_target)).alias("t")
+    rows = plain.join(F.broadcast(marks) if few else marks, F.col("id") == F.col("__t"), "left").select("id", "text", "mark")
+    chunks = materialise(_chunks(rows, chunk_tokens), "lm-chunks")
+    n_chunks, tokens = chunks.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
+    bits = max(5, int(tokens // bucket_tokens).bit_length())
+    totals = materialise(_totals(_parts(chunks, bits), min(1 << 16, 2 << bits)), "lm-totals")
+    # Five numbers a kind; their sums are all that comes to the driver.
+    sums = {r.kind: r for r in totals.where("chunk = -1").groupBy(F.shiftright("bucket", 40).cast("int").alias("kind")).agg(*[F.sum(F.col("stats")[i]).alias(c) for i, c in enumerate(("kept", "n", "t", "unk_n", "unk_t"))]).collect()}
+    w = sums.get(WORDS)
+    facts = (w.n, w.t, w.unk_n, w.unk_t, w.kept + 1) if w else (0, 0, 0, 0, 1)
+    none = F.lit(None).cast("binary")
+    both = chunks.select("chunk", F.lit(-1).cast("long").alias("bucket"), "ids", "sizes", "at", "words", none.alias("a"), none.alias("b")).unionByName(
+        totals.where("chunk >= 0").select("chunk", "bucket", F.lit(None).cast(chunks.schema["ids"].dataType).alias("ids"), *[none.alias(c) for c in ("sizes", "at", "words")], F.col("n").alias("a"), F.col("t").alias("b"))
     )
-    after = known_tokens.select("row", (F.col("pos") + 1).alias("pos"), F.col("w").alias("v"), F.col("n").alias("n_v"), F.col("t").alias("t_v"))
-    start = int(np.array([_START]).view(np.int64)[0])
-    pairs = known_tokens.join(after, ["row", "pos"], "left").select("row", "mark", F.coalesce("v", F.lit(start)).alias("v"), "w", "n", "t", F.coalesce("n_v", F.lit(0)).alias("n_v"), F.coalesce("t_v", F.lit(0)).alias("t_v"))
-    # One row for each bigram of a document, so a hot bigram has one row for each document at most.
-    pairs = pairs.groupBy("row", "mark", "v", "w").agg(F.count(F.lit(1)).alias("c"), *[F.first(x).alias(x) for x in ("n", "t", "n_v", "t_v")])
-    pairs = materialise(pairs, "lm-pairs")
-    counts = materialise(pairs.groupBy("v", "w").agg(F.sum("c").alias("c_b"), F.sum(F.when(F.col("mark"), F.col("c")).otherwise(0)).alias("c_t")).where(F.col("c_b") >= MIN_BIGRAM), "lm-counts")
-    if totals[1] == 0:
-        counts = counts.withColumn("c_t", F.col("c_b"))
-    again = counts.select("v", "w", "c_b", "c_t", F.explode(F.array(*[F.lit(i).cast("long") for i in range(salts)])).alias("salt"))
-    met = pairs.withColumn("salt", F.pmod("row", F.lit(salts))).join(again, ["v", "w", "salt"], "left")
-
-    def loss(own, prior, c, total, context):
-        back = MU * (F.col(own) + 1) / (total + size)
-        return F.sum(F.col("c") * (F.log(F.col(context) + MU) - F.log(F.coalesce(c, F.lit(0)) + back))).alias(prior)
-
-    sums = met.groupBy("row").agg(F.sum("c").alias("n_tokens"), loss("t", "loss_t", F.col("c_t"), n_target, "t_v"), loss("n", "loss_b", F.col("c_b"), n_all, "n_v"))
-    out = numbered.select("row", "id").join(sums, "row", "left").select("id", F.coalesce("n_tokens", F.lit(0)).cast("long").alias("n_tokens"), "loss_t", "loss_b")
-    return _finish(out)
+    out = T.StructType([T.StructField("id", plain.schema["id"].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("loss_t", T.DoubleType()), T.StructField("loss_b", T.DoubleType())])
+
+    def apply(table: pa.Table) -> pa.Table:
+        packer, bucket = Packer(), table.column("bucket").to_numpy()
+        order = np.argsort(bucket)
+        own = int(order[0])
+        sizes, at, words = (packer.unpack(table.column(c)[own].as_buffer()) for c in ("sizes", "at", "words"))
+        found = []
+        for kind in (WORDS, BIGRAMS):
+            use = [i for i in order[1:].tolist() if bucket[i] >> 40 == kind]
+            found.append([np.concatenate([packer.unpack(table.column(c)[i].as_buffer()) for i in use] or [np.zeros(0, np.uint64)]).astype(float) for c in ("a", "b")])
+        loss = _losses(sizes.astype(np.int64), at.astype(np.int64), words, found, facts)
+        ids = table.column("ids")[own].values
+        return pa.table({"id": ids, "n_tokens": pa.array(sizes.astype(np.int64)), "loss_t": pa.array(loss[0]), "loss_b": pa.array(loss[1])})
+
+    losses = both.repartition(int(max(1, min(1 << 16, n_chunks))), "chunk").groupBy("chunk").applyInArrow(apply, out)
+    n = F.when(F.col("n_tokens") > 0, F.col("n_tokens"))
+    return losses.select("id", "n_tokens", (F.col("loss_t") / n).alias("target_loss"), (F.col("loss_b") / n).alias("background_loss"), ((F.col("loss_t") - F.col("loss_b")) / n).alias("score"))

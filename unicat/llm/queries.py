@@ -83,17 +83,20 @@ WITH docs AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w,
     doc_id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0) AS mark FROM documents
 ), tok AS (SELECT doc_id, mark, unnest(w) AS w, unnest(range(len(w))) AS i FROM docs),
-vocab AS (SELECT w, count(*) AS n, count(*) FILTER (mark) AS t FROM tok GROUP BY w HAVING count(*) >= 3),
-known AS (SELECT doc_id, mark, i, coalesce(v.w, '<unk>') AS w FROM tok LEFT JOIN vocab v ON tok.w = v.w),
-uni AS (SELECT w, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM known GROUP BY w),
+vocab AS (SELECT w, count(*) AS n, count(*) FILTER (mark) AS t FROM tok GROUP BY w HAVING count(*) >= 2),
+pairs AS (
+  SELECT doc_id, mark, tok.w, coalesce(lag(tok.w) OVER (PARTITION BY doc_id ORDER BY i), '<start>') AS v,
+    coalesce(vocab.w, '<unk>') AS kw, coalesce(lag(coalesce(vocab.w, '<unk>')) OVER (PARTITION BY doc_id ORDER BY i), '<start>') AS kv
+  FROM tok LEFT JOIN vocab ON tok.w = vocab.w
+),
+uni AS (SELECT kw, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM pairs GROUP BY kw),
 tot AS (SELECT sum(n) AS n, sum(t) AS t, (SELECT count(*) FROM vocab) + 1 AS size FROM uni),
-pairs AS (SELECT doc_id, mark, w, coalesce(lag(w) OVER (PARTITION BY doc_id ORDER BY i), '<start>') AS v FROM known),
-bi AS (SELECT v, w, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM pairs GROUP BY v, w HAVING count(*) >= 3),
+bi AS (SELECT v, w, count(*)::DOUBLE AS n, (count(*) FILTER (mark))::DOUBLE AS t FROM pairs GROUP BY v, w HAVING count(*) >= 2),
 loss AS (
   SELECT p.doc_id, count(*) AS n_tokens,
     sum(ln(coalesce(c.t, 0) + 50) - ln(coalesce(b.t, 0) + 50 * (u.t + 1) / (tot.t + tot.size))) AS lt,
     sum(ln(coalesce(c.n, 0) + 50) - ln(coalesce(b.n, 0) + 50 * (u.n + 1) / (tot.n + tot.size))) AS lb
-  FROM pairs p JOIN uni u ON p.w = u.w LEFT JOIN uni c ON p.v = c.w LEFT JOIN bi b ON p.v = b.v AND p.w = b.w, tot GROUP BY p.doc_id
+  FROM pairs p JOIN uni u ON p.kw = u.kw LEFT JOIN uni c ON p.kv = c.kw LEFT JOIN bi b ON p.v = b.v AND p.w = b.w, tot GROUP BY p.doc_id
 )
 SELECT d.doc_id, coalesce(n_tokens, 0)::BIGINT AS n_tokens, round(lt / n_tokens, 6) AS target_loss, round(lb / n_tokens, 6) AS background_loss, round((lt - lb) / n_tokens, 6) AS score
 FROM docs d LEFT JOIN loss USING (doc_id)
