@@ -49,11 +49,21 @@ def scratch_root(spark: SparkSession) -> str:
     return f"file://{_local_scratch}"
 
 
+#: A setting of the session: whether a query's shuffle files go when it ends, instead of when the driver collects garbage.
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
-    """Writes a table to the shared folder and reads it again: cuts lineage and survives lost executors."""
+    """Writes a table to the shared folder and reads it again: cuts lineage and survives lost executors. The shuffles behind
+    it are not needed again, so their files are removed when the table is written."""
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/unicat/{uuid.uuid4().hex}-{tag}"
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEAN, "false")
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEAN, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
