@@ -47,7 +47,8 @@ class ChunkIds:
     a token ends where letters do. New words are encoded many at a time, as a token that ends a word says so; those of
     a-z alone need no normalising. What is not all letters is encoded by itself."""
 
-    BOUND = 350_000
+    #: Chunks of a generation. The one before it is kept too, so that what is used again and again is never learnt anew.
+    BOUND = 400_000
     MARKS = ".,!?;:"
 
     def __init__(self, path: str):
@@ -58,6 +59,7 @@ class ChunkIds:
         self.bare = Tokenizer(self.one.model)  # shares the vocabulary
         self.bare.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         self.known: dict[bytes, bytes] = {}
+        self.older: dict[bytes, bytes] = {}
         self.ends = np.zeros(1 << 16, bool)
         for token, i in self.one.get_vocab(with_added_tokens=False).items():
             self.ends[i] = token.endswith("</w>")
@@ -83,9 +85,12 @@ class ChunkIds:
     def learn(self, chunks: set[bytes]) -> None:
         """Makes the ids of all these chunks known."""
         if len(self.known) + len(chunks) > self.BOUND:
-            self.known.clear()
-        known, marked, basic, letters, odd = self.known, [], set(), set(), set()
-        for raw in chunks.difference(known):
+            self.older, self.known = self.known, {}
+        known, older, marked, basic, letters, odd = self.known, self.older, [], set(), set(), set()
+        new = chunks.difference(known)
+        again = new.intersection(older)
+        known.update(zip(again, map(older.__getitem__, again), strict=True))
+        for raw in new.difference(again):
             if raw.isalpha() and raw.islower():
                 basic.add(raw.decode())
                 continue
@@ -119,7 +124,7 @@ class ChunkIds:
 
 @functools.lru_cache(1)
 def chunk_ids(path: str) -> ChunkIds:
-    """One for each worker process, kept from task to task; a task forgets its chunks at its end."""
+    """One for each worker process, kept with its chunks from task to task."""
     return ChunkIds(path)
 
 
@@ -157,7 +162,6 @@ def encode(docs: DataFrame, path: str, id_col: str, text_col: str, end_id: int =
         held = np.flatnonzero(df)
         pairs = np.column_stack([np.append(held, [-1, -2]), np.append(df[held], [rows, tokens])]).astype(np.int64)
         yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([-1], pa.int64()), pa.array([pairs.tobytes()], pa.binary()), pa.array([0], pa.int64())], names)
-        memo.known.clear()
         trim()
 
     names = ["id", "n", "ids", "route"]
@@ -193,8 +197,12 @@ def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, windo
     owner, term = keys >> 16, keys & 0xFFFF
     weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[owner] / mean_length))
     begin = np.flatnonzero(np.diff(owner, prepend=-1))
-    holder, wanted = owner[begin], np.zeros(1 << 16, bool)
-    unused, score = np.ones(n, bool), np.zeros(n)
+    # Terms by their place among the shard's own, so that what a query looks up stays small.
+    own_terms, term = np.unique(term, return_inverse=True)
+    place = np.zeros(1 << 16, np.int64)
+    place[own_terms] = np.arange(len(own_terms))
+    holder, wanted, weight, room_for = owner[begin], np.zeros(len(own_terms), np.float32), weight.astype(np.float32), np.empty(len(term), np.float32)
+    unused, score = np.ones(n, bool), np.zeros(n, np.float32)
     pieces, doc, start, sequence, room, low = [], -1, 0, 0, window, 0
     ranked: list[int] = []
     step, more = RANK_FIRST, False
@@ -229,12 +237,14 @@ def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, windo
                 keep = unused[owner]
                 owner, term, weight = owner[keep], term[keep], weight[keep]
                 begin = np.flatnonzero(np.diff(owner, prepend=-1))
-                holder = owner[begin]
+                holder, room_for = owner[begin], np.empty(len(term), np.float32)
             score[:] = 0
-            wanted[:] = False
-            wanted[ids[doc]] = True
+            wanted[:] = 0
+            wanted[place[ids[doc]]] = 1
             if len(begin):
-                score[holder] = np.add.reduceat(np.where(wanted[term], weight, 0.0), begin)
+                np.take(wanted, term, out=room_for, mode="clip")
+                np.multiply(room_for, weight, out=room_for)
+                score[holder] = np.add.reduceat(room_for, begin)
             step, more = RANK_FIRST, True
             ranked = best()
         take = min(room, length[doc] - start)
