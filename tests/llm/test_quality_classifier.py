@@ -41,6 +41,15 @@ def test_held_out_accuracy_and_use_of_both_views(spark):
     assert np.mean(meta[0]) > np.mean(meta[1])
 
 
+def test_every_unlabelled_document_can_teach(spark):
+    rows, truth = corpus(300)
+    copies = [(1000 + 300 * k + i, t, *rest) for k in range(25) for i, t, *rest in rows]
+    model = qc.train(frame(spark, rows + copies).repartition(5), spark.createDataFrame(truth, "doc_id long, quality int, toxic int"))
+    assert model[5][0] > 5_000  # of 7,500 unlabelled rows
+    one = qc.train(frame(spark, rows), spark.createDataFrame(truth, "doc_id long, quality int, toxic int"))
+    assert one[5] == [0]  # nothing is unlabelled
+
+
 def test_defined_cases(spark):
     docs = frame(spark, odd_docs()).withColumn("__n", F.lit(3))
     empty = spark.createDataFrame([], "doc_id long, quality int, toxic int")

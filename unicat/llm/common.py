@@ -49,6 +49,36 @@ def scratch_root(spark: SparkSession) -> str:
     return f"file://{_local_scratch}"
 
 
+def _delete_at_end(spark: SparkSession, path: str) -> None:
+    """Intermediate tables go when the driver's JVM ends; results that are still read from them need them until then."""
+    jvm = spark.sparkContext._jvm
+    where = jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+
+
+def aside(df: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """df with its columns that start with __, as the operators' own do, under other names, and new name -> old name."""
+    names: dict[str, str] = {}
+    for c in df.columns:
+        if c.startswith("__"):
+            new = f"in{c}"
+            while new in df.columns or new in names:
+                new = f"in{new}"
+            names[new] = c
+    return df.withColumnsRenamed({old: new for new, old in names.items()}), names
+
+
+def named(col: str, names: dict[str, str]) -> str:
+    """What a column of the caller is called while its names are set aside."""
+    return next((new for new, old in names.items() if old == col), col)
+
+
+def back(df: DataFrame, names: dict[str, str]) -> DataFrame:
+    """The caller's names again, but for those that a column of the operator has now: these stay as in__..."""
+    own = {c.lower() for c in df.columns}
+    return df.withColumnsRenamed({new: old for new, old in names.items() if old.lower() not in own})
+
+
 #: A setting of the session: whether a query's shuffle files go when it ends, instead of when the driver collects garbage.
 _CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
@@ -58,6 +88,7 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     it are not needed again, so their files are removed when the table is written."""
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/unicat/{uuid.uuid4().hex}-{tag}"
+    _delete_at_end(spark, path)
     before = spark.conf.get(_CLEAN, "false")
     spark.conf.set(_CLEAN, "true")
     try:

@@ -10,7 +10,7 @@ the same rows, without a shuffle, so any number of items works.
 
 Defined cases: null or empty texts have no words, items without words have no windows, items of fewer words than a
 window are one window. Repeated items all match; repeated rows are judged alone. An empty table on either side gives
-rows without hits, or no rows. Extra columns pass through.
+rows without hits, or no rows. Extra columns pass through; one named like a column that is added comes out as in__...
 """
 
 from __future__ import annotations
@@ -23,6 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import aside, back, named
+
 WINDOW = 10
 #: Words of benchmark items that one pass holds (about 100 bytes each in a worker).
 BLOCK_WORDS = 500_000
@@ -105,9 +107,22 @@ ADDED = T.StructType([T.StructField("__n_words", T.LongType()), T.StructField("_
 
 def match(docs: DataFrame, items: DataFrame, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
     """Every document row with the columns of ADDED."""
+    docs, names = aside(docs)
+    text_col = named(text_col, names)
+    return back(_match(docs, items, text_col, item_id, item_text, window, block_words), names)
+
+
+def _or_one(blocks):
+    """The blocks, one at a time, or an empty one if there are none."""
+    first = next(blocks, [])
+    yield first
+    yield from blocks
+
+
+def _match(docs: DataFrame, items: DataFrame, text_col: str, item_id: str, item_text: str, window: int, block_words: int) -> DataFrame:
     sc, source, out = docs.sparkSession.sparkContext, docs, None
     schema = T.StructType([*docs.schema, *ADDED])
-    for block in [*item_blocks(items, item_id, item_text, block_words)] or [[]]:
+    for block in _or_one(item_blocks(items, item_id, item_text, block_words)):
         counts = count_words(source, text_col, {w for _, words in block for w in words}) if block else {}
         held = sc.broadcast(prefix_index(block, counts, window))
         first = out is None
@@ -157,4 +172,5 @@ def report(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col:
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", **options) -> DataFrame:
     """The documents without any hit, with their own columns."""
-    return match(docs, items, text_col, **options).where(F.size("__spans") == 0).select(*[F.col(f"`{c}`") for c in docs.columns])
+    own, names = aside(docs)
+    return back(match(own, items, named(text_col, names), **options).where(F.size("__spans") == 0).drop(*ADDED.names), names)

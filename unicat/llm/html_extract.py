@@ -21,6 +21,7 @@ import html
 import math
 import random
 import re
+from collections import defaultdict
 from dataclasses import dataclass
 
 import numpy as np
@@ -28,8 +29,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import aside, back, named
+
 TRAINING_PAGES = 240
-_TOKEN = re.compile(r"<!--(?:.*?-->|.*$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>", re.S)
+#: A tag whose attributes are short; longer ones are read by _tag_end(). Nothing in it goes back, so its time is bounded.
+_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']{1,400}+|\"[^\"]{0,400}+\"|'[^']{0,400}+'){0,12}+)>")
+_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)")
+_STOP = re.compile(r"[>\"']")
+#: Tags of a page that may turn out to end inside a quotation; from then on quotation marks in tags count as any character.
+MOST_BAD_TAGS = 20
 _ATTR = re.compile(r"(class|id|role|hidden|style|aria-hidden|itemprop)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?", re.I)
 _SPACE = re.compile(r"\s+")
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -56,21 +64,86 @@ class Node:
     commas: int = 0
 
 
+def _tag_end(page: str, at: int, last: dict[str, int]) -> int:
+    """The place of the > that ends a tag whose attributes start at a place, or -1. last: where each quotation mark occurs last."""
+    while (m := _STOP.search(page, at)) is not None:
+        i, mark = m.start(), m[0]
+        if mark == ">":
+            return i
+        at = i + 1 if i >= last[mark] else page.find(mark, i + 1) + 1  # a mark without a second one is any character
+    return -1
+
+
+def _tokens(page: str):
+    """(kind, name, text) in page order: text, tags ("<" and "</", with their attributes). Linear in the page: each place
+    is looked at a bounded number of times, whatever is left open. What raw elements hold is skipped."""
+    at, n, bad = 0, len(page), 0
+    last_end, last = page.rfind(">"), {c: page.rfind(c) for c in "\"'"}
+    while at < n:
+        lt = page.find("<", at)
+        if lt < 0 or lt > last_end and not page.startswith("<!--", lt):
+            yield "text", "", page[at:]
+            return
+        if lt > at:
+            yield "text", "", page[at:lt]
+        if page.startswith("<!--", lt):
+            end = page.find("-->", lt + 4)
+            at = n if end < 0 else end + 3
+            continue
+        m = _TAG.match(page, lt)
+        if m is not None:
+            at, tag = m.end(), m[2].lower()
+            yield "</" if m[1] else "<", tag, m[3]
+            if tag in RAW and not m[1]:
+                end = _RAW_END[tag].search(page, at)
+                at = n if end is None else end.end()
+            continue
+        m = _NAME.match(page, lt)
+        if m is None:
+            if page[lt + 1 : lt + 2] in ("!", "?"):
+                at = page.find(">", lt) + 1
+            else:
+                yield "text", "", "<"
+                at = lt + 1
+            continue
+        end = _tag_end(page, m.end(), last) if bad < MOST_BAD_TAGS else -1
+        if end < 0:
+            bad, end = bad + 1, page.find(">", m.end())
+        at, tag = end + 1, m[2].lower()
+        yield "</" if m[1] else "<", tag, page[m.end() : end]
+        if tag in RAW and not m[1]:
+            end = _RAW_END[tag].search(page, at)
+            at = n if end is None else end.end()
+
+
 def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
-    """(nodes in page order, pieces): a piece is (block node, decoded text), or (block node, "\\0") where a block begins or ends."""
-    nodes, stack, pieces = [Node("#root", "", -1)], [0], []
-    block, links, at, n = [0], 0, 0, len(page)
+    """(nodes in page order, pieces): a piece is (block node, decoded text), or (block node, "\0") where a block begins or ends.
+
+    Each step looks at the tops of a few stacks only, so the time is linear however many elements are left open."""
+    nodes, pieces = [Node("#root", "", -1)], []
+    stack: list[tuple[int, str, bool]] = [(0, "#root", True)]  # node, tag, whether it is a block
+    block, links = [0], 0
+    solid, parents = [0], [0]  # depths of elements that are not inline, and of those that can be parents
+    depths: dict[str, list[int]] = defaultdict(list)  # depths at which a tag is open
 
     def close_to(depth: int) -> None:
         nonlocal links
         while len(stack) > depth:
-            tag = nodes[stack.pop()].tag
+            _, tag, is_block = stack.pop()
+            depths[tag].pop()
+            while solid[-1] >= len(stack):
+                solid.pop()
+            while parents[-1] >= len(stack):
+                parents.pop()
             if tag == "a":
                 links -= 1
-            elif tag not in INLINE:
+            if is_block:
                 block.pop()
                 pieces.append((block[-1], "\0"))
 
+    def deepest(tags) -> int:
+        return max((depths[t][-1] for t in tags if depths[t]), default=0)
+
     def add(raw: str) -> None:
         text = html.unescape(raw) if "&" in raw else raw
         size = len(text.strip())
@@ -84,21 +157,14 @@ def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
             else:
                 node.text += size
 
-    while at < n:
-        m = _TOKEN.search(page, at)
-        if m is None:
-            add(page[at:])
-            break
-        if m.start() > at:
-            add(page[at : m.start()])
-        at = m.end()
-        if m[2] is None:
+    for kind, tag, rest in _tokens(page):
+        if kind == "text":
+            add(rest)
             continue
-        tag = m[2].lower()
-        if m[1]:
-            limit = next((k for k in range(len(stack) - 1, 0, -1) if nodes[stack[k]].tag == tag), 0)
+        if kind == "</":
+            limit = depths[tag][-1] if depths[tag] else 0
             # A stray inline end tag does not close blocks that opened after it.
-            if limit and not (tag in INLINE and any(nodes[s].tag not in INLINE for s in stack[limit:])):
+            if limit and not (tag in INLINE and solid[-1] >= limit):
                 close_to(limit)
             continue
         if tag in VOID:
@@ -107,41 +173,35 @@ def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
             elif tag not in INLINE:
                 pieces.append((block[-1], "\0"))
             continue
-        if tag in _ENDS_P:
-            k = len(stack) - 1
-            while k and nodes[stack[k]].tag in INLINE:
-                k -= 1
-            if k and nodes[stack[k]].tag == "p":
-                close_to(k)
+        if tag in _ENDS_P and solid[-1] and stack[solid[-1]][1] == "p":
+            close_to(solid[-1])
         if tag in _ENDS:
             ends, scope = _ENDS[tag]
-            k = len(stack) - 1
-            while k and nodes[stack[k]].tag not in scope:
-                if nodes[stack[k]].tag in ends.split():
-                    close_to(k)
-                    break
-                k -= 1
-        parent = next((s for s in reversed(stack) if nodes[s].tag not in INLINE or _SAYS_NOT.search(nodes[s].attrs)), 0)
-        attrs = " ".join(f"{a.lower()} {x or y or z or ''}" if a.lower() in ("hidden", "style", "aria-hidden") else f"{x or y or z or ''}" for a, x, y, z in _ATTR.findall(m[3])) if "=" in m[3] or "hidden" in m[3] else ""
-        nodes.append(Node(tag, attrs, parent))
-        own = len(nodes) - 1
+            if (end := deepest(ends.split())) > deepest(scope):
+                close_to(end)
+        attrs = " ".join(f"{a.lower()} {x or y or z or ''}" if a.lower() in ("hidden", "style", "aria-hidden") else f"{x or y or z or ''}" for a, x, y, z in _ATTR.findall(rest)) if "=" in rest or "hidden" in rest else ""
+        nodes.append(Node(tag, attrs, stack[parents[-1]][0]))
+        own, inline = len(nodes) - 1, tag in INLINE
         if tag in RAW:
-            end = _RAW_END[tag].search(page, at)
-            at = n if end is None else end.end()
             continue
-        if m[3].endswith("/") and tag not in INLINE and tag in ("svg", "math"):
+        if rest.endswith("/") and tag in ("svg", "math"):
             continue
+        says_not = inline and bool(attrs) and bool(_SAYS_NOT.search(attrs))
         if tag == "a":
             links += 1
-        if tag not in INLINE:
+        if not inline:
             pieces.append((block[-1], "\0"))
             block.append(own)
             pieces.append((own, "\0"))
-        elif attrs and _SAYS_NOT.search(attrs):
+            solid.append(len(stack))
+        elif says_not:
             # An inline element that says what it is counts as a block of its own for its text.
             block.append(own)
             nodes[own].tag = f"{tag}*"
-        stack.append(own)
+        if not inline or says_not:
+            parents.append(len(stack))
+        depths[tag].append(len(stack))
+        stack.append((own, tag, not inline or says_not))
     return nodes, pieces
 
 
@@ -321,6 +381,8 @@ def extract(page: str | None, model=None) -> str:
 
 def extract_text(df: DataFrame, html_col: str = "html", drop_html: bool = True) -> DataFrame:
     """df with __text, the page's main text, and __n_chars."""
+    df, names_in = aside(df)
+    html_col = named(html_col, names_in)
     names = [c for c in df.columns if not (drop_html and c == html_col)]
     schema = T.StructType([*(df.schema[c] for c in names), T.StructField("__text", T.StringType()), T.StructField("__n_chars", T.LongType())])
     held = df.sparkSession.sparkContext.broadcast(fitted())
@@ -330,4 +392,4 @@ def extract_text(df: DataFrame, html_col: str = "html", drop_html: bool = True)
             texts = [extract(x.as_py(), held.value) for x in b.column(b.schema.get_field_index(html_col))]
             yield pa.RecordBatch.from_arrays([*(b.column(b.schema.get_field_index(c)) for c in names), pa.array(texts, pa.string()), pa.array([len(x) for x in texts], pa.int64())], schema.names)
 
-    return df.mapInArrow(run, schema)
+    return back(df.mapInArrow(run, schema), names_in)

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_keys, materialise, trim
+from .common import aside, back, join_keys, materialise, named, trim
 from .components import components
 
 SHINGLE = 5
@@ -38,6 +38,8 @@ STARS = 6
 #: Ids of which a broadcast set may consist (16 bytes each); more are shuffled.
 BROADCAST_IDS = 1_000_000
 SALTS = 64
+#: Rows of one token's list that a task joins with at a time; longer lists are split into as many blocks.
+LIST_ROWS = 1_000
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _FIN = np.uint64(0xD6E8FEB86659FD93)
 _STAR_MIX = np.array([(0xBF58476D1CE4E5B9 * (2 * j + 1)) % (1 << 64) | 1 for j in range(STARS)], np.uint64)
@@ -262,16 +264,18 @@ def _cross_pairs(signed: DataFrame, classes: DataFrame, percent: int) -> DataFra
     few = mixed.count() <= BROADCAST_IDS
     lists = _postings(groups, ["g1", "g2"], mixed, few).join(classes.select("g1", "g2", "rep", "comp", "n"), ["g1", "g2"])
     lists = materialise(lists.select("token", "pos", "rep", "comp", "n"), "lists")
-    main = lists.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("held")).groupBy("token").agg(F.max(F.struct("held", "comp")).alias("top")).select("token", F.col("top.comp").alias("main"))
-    tagged = lists.join(main, "token")
-    x = tagged.where("comp <> main").select("token", *[F.col(c).alias(f"x_{c}") for c in ("pos", "rep", "comp", "n")])
-    y = tagged.select("token", "main", *[F.col(c).alias(f"y_{c}") for c in ("pos", "rep", "comp", "n")])
+    main = lists.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("held")).groupBy("token").agg(F.max(F.struct("held", "comp")).alias("top"), F.sum("held").alias("rows"))
+    main = materialise(main.select("token", F.col("top.comp").alias("main"), "rows", F.expr(f"1 + rows div {LIST_ROWS}").alias("blocks")), "list-heads")
+    tagged = join_keys(lists, main, ["token"], "rows")
+    # A long list is dealt out in blocks: each row is in one block as y, and meets every block as x.
+    x = tagged.where("comp <> main").withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).select("token", "block", *[F.col(c).alias(f"x_{c}") for c in ("pos", "rep", "comp", "n")])
+    y = tagged.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks"))).select("token", "block", "main", *[F.col(c).alias(f"y_{c}") for c in ("pos", "rep", "comp", "n")])
     small, large = F.least("x_n", "y_n"), F.greatest("x_n", "y_n")
     small_pos = F.when(F.col("x_n") <= F.col("y_n"), F.col("x_pos")).otherwise(F.col("y_pos"))
     small_pos = F.when(F.col("x_n") == F.col("y_n"), F.least("x_pos", "y_pos")).otherwise(small_pos)
     index = small - F.floor((2 * percent * small + (99 + percent)) / (100 + percent)).cast("long") + 1
     most = 1 + F.least(F.col("x_n") - F.col("x_pos") - 1, F.col("y_n") - F.col("y_pos") - 1)
-    pairs = x.join(y, "token").where(
+    pairs = x.join(y, ["token", "block"]).where(
         (F.col("x_comp") != F.col("y_comp"))
         & ((F.col("y_comp") == F.col("main")) | (F.col("x_rep") < F.col("y_rep")))
         & (100 * small >= percent * large)
@@ -314,6 +318,8 @@ def _linked_rows(df: DataFrame, id_col: str, text_col: str, size: int, percent:
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """df with one row of each component: of the rows whose id names it, the one whose text has shingles and the lowest
     hash. Null-id rows whose set no id has are a component for each set, and without words one for each text."""
+    df, names_in = aside(df)
+    id_col, text_col = named(id_col, names_in), named(text_col, names_in)
     linked_rows = _linked_rows(df, id_col, text_col, size, percent)
     of = F.when(F.col("component_id").isNotNull(), F.struct("component_id", F.lit(0).cast("long").alias("s1"), F.lit(0).cast("long").alias("s2")))
     of = of.otherwise(F.struct("component_id", F.when(F.col("n_shingles") > 0, F.col("s1")).otherwise(F.col("row")).alias("s1"), "s2"))
@@ -333,8 +339,8 @@ def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", size
     single = rows_of(winners.where("__rows = 1")).select(*names)
     repeated = winners.where("__rows > 1")
     if not repeated.limit(1).count():
-        return single
+        return back(single, names_in)
     # Rows that repeat id and text: one of them, by a hash of the whole row.
     whole = [F.col(f"`{f.name}`") for f in df.schema.fields if "map<" not in f.dataType.simpleString()]
     one = rows_of(repeated).groupBy(F.col(id_col).alias("__id"), "__row").agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in names]), F.xxhash64(*whole)).alias("__one"))
-    return single.unionByName(one.select("__one.*"))
+    return back(single.unionByName(one.select("__one.*")), names_in)

@@ -6,7 +6,7 @@ from each text, which keeps the order of the lines.
 
 Defined cases: a null or empty text is one empty line. A null document id is an id of its own for dropping, but is not
 counted and never the one that keeps a line. Rows that repeat an id count once and share the keeping right. An empty
-table gives an empty table. Extra columns pass through, whatever their names are.
+table gives an empty table. Extra columns pass through; one named like a column that is added comes out as in__...
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, join_keys, materialise
+from .common import ascii_lower, aside, back, join_keys, materialise, named
 
 MIN_CHARS = 40
 MIN_DOCS = 5
@@ -55,6 +55,8 @@ def shared_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS) -> DataFrame:
     """df with the text cleaned, and two more columns: __n_lines (before) and __n_dropped."""
+    df, names = aside(df)
+    id_col, text_col = named(id_col, names), named(text_col, names)
     shared = materialise(shared_lines(df, id_col, text_col, min_chars, min_docs), "shared-lines")
     drops = (
         join_keys(_candidates(df, id_col, text_col, min_chars), shared, ["__h1", "__h2"], "__rows")
@@ -69,8 +71,9 @@ def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", m
     lines = joined.withColumn("__lines", F.split(text, "\n", -1)).withColumn("__n_lines", F.size("__lines").cast("long"))
     kept = F.array_except(F.sequence(F.lit(0), (F.col("__n_lines") - 1).cast("int")), F.col("__drops"))
     rebuilt = F.array_join(F.transform(kept, lambda i: F.col("__lines")[i]), "\n")
-    return lines.select(
+    out = lines.select(
         *[(F.when(F.col("__drops").isNull(), text).otherwise(rebuilt).alias(c) if c == text_col else F.col(f"`{c}`")) for c in df.columns],
         "__n_lines",
         F.coalesce(F.size("__drops"), F.lit(0)).cast("long").alias("__n_dropped"),
     )
+    return back(out, names)

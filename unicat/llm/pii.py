@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_keys, materialise
+from .common import aside, back, join_keys, materialise, named
 
 KINDS = ("email", "ip", "card", "phone")
 #: The four patterns, each written so that it is linear.
@@ -211,6 +211,8 @@ def find(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_supp
 
 def sanitise(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_support: int = MIN_SUPPORT, max_bits: float = MAX_BITS) -> DataFrame:
     """df with the text cleaned: base values become their kind in brackets, disclosing terms go."""
+    df, names = aside(df)
+    id_col, text_col = named(id_col, names), named(text_col, names)
     marked = _terms_of(df, disclosing_terms(df, id_col, text_col, min_support, max_bits), id_col, text_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
     out = df.withColumn("__clean", text).withColumn("__own", F.xxhash64(text))
@@ -223,4 +225,4 @@ def sanitise(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_
         m, p = F.regexp_extract_all("__clean", F.lit(TERM), F.lit(0)), F.split("__clean", TERM, -1)
         ends = F.zip_with(p, F.concat(F.transform(m, lambda v: F.when(F.array_contains("__terms", F.lower(v)), "").otherwise(v)), F.array(F.lit(""))), lambda a, b: F.concat(a, b))
         out = out.withColumn("__clean", F.when(F.col("__terms").isNull(), F.col("__clean")).otherwise(F.array_join(ends, "")))
-    return out.select(*[F.col("__clean").alias(c) if c == text_col else F.col(f"`{c}`") for c in df.columns])
+    return back(out.select(*[F.col("__clean").alias(c) if c == text_col else F.col(f"`{c}`") for c in df.columns]), names)

@@ -1,21 +1,23 @@
 """Quality by co-training: a classifier of the text's content and one of the document's metadata teach each other.
 
 A document is good if its label says quality and not toxic. Both views start from the labelled documents. In each round
-each view labels the unlabelled documents that it is sure of, and these join the other view's training rows. Then both
-views are calibrated on a held-out part of the labels, combined there by logistic regression over their log-odds, and
-applied to all documents.
+each view labels all unlabelled documents of the table that it is sure of (calibrated probability SURE), and the other view
+learns from them in one distributed pass: every task goes on from the view's weights, batch after batch, and the tasks'
+weights are averaged. A view's new weights are taken if they do better on held-out labels. Then both views are calibrated
+on these, combined there by logistic regression over their log-odds, and applied to all documents.
 
-Training rows are bounded samples, taken in the order of a hash of the id: MAX_LABELLED labelled documents, of which one
-in HOLD_OUT is held out, and MAX_POOL unlabelled ones. Everything is fitted on the driver from their features. The
-decision threshold is the one that keeps KEEP_SHARE of the good held-out documents, at most 0.5. Scoring reads every
-document.
+Features of all documents are computed once and kept as 16-bit places; a round reads these alone. What comes to the
+driver is bounded by the number of features (weights) and by MAX_LABELLED labelled documents, in the order of a hash of id and
+features (rows that repeat both count once), of which one in HOLD_OUT is held out. The decision threshold is the one
+that keeps KEEP_SHARE of the good held-out documents, at most 0.5. Scoring reads every document.
 
 Text view: presence of hashed words, and shares of character classes, repeated words and lines. Metadata view: language,
 source and length.
 
 Defined cases: null texts and metadata have features of their own (no words, the value "null"). Without labels of both
 kinds every score is 0.5 and every document is kept. Rows that repeat an id are scored by themselves; a label counts for
-each of them. Repeated labels of an id count as good only if all are. Empty tables work. Extra columns pass through.
+each of them. Repeated labels of an id count as good only if all are. Empty tables work. Extra columns pass through; one
+named like a column that is added comes out as in__...
 """
 
 from __future__ import annotations
@@ -26,8 +28,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-MAX_LABELLED, MAX_POOL, HOLD_OUT = 8_000, 6_000, 5
-ROUNDS, SURE, MOST_NEW = 3, 0.97, 500
+from .common import aside, back, materialise, named
+
+MAX_LABELLED, HOLD_OUT = 8_000, 5
+ROUNDS, SURE = 3, 0.97
+#: Gradient steps on a task's first batch, which fall with each further one down to the second number.
+FIRST_STEPS, LATER_STEPS = 60, 4
+#: Labels that are broadcast (16 bytes each); more are joined.
+BROADCAST_IDS = 1_000_000
 KEEP_SHARE = 0.995
 WORD_BITS, META_BITS = 15, 10
 STEPS, LEAST_ROWS = 120, 6
@@ -81,20 +89,35 @@ def _rows(places: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(places) if places else np.zeros(0, np.int64), np.repeat(np.arange(len(places)), [len(p) for p in places])
 
 
-def fit_logistic(places: list[np.ndarray], y: np.ndarray, size: int, decay: float = 1e-4, steps: int = STEPS) -> np.ndarray:
-    """Weights (the last is the bias) for rows of places, both classes weighing the same; Adam's steps on all rows."""
+class Steps:
+    """Weights (the last is the bias) that follow gradients by Adam's steps."""
+
+    def __init__(self, w: np.ndarray):
+        self.w, self.first, self.second, self.n = w.copy(), np.zeros_like(w), np.zeros_like(w), 0
+
+    def go(self, g: np.ndarray) -> None:
+        self.n += 1
+        self.first, self.second = 0.9 * self.first + 0.1 * g, 0.999 * self.second + 0.001 * g * g
+        self.w -= 0.1 * (self.first / (1 - 0.9**self.n)) / (np.sqrt(self.second / (1 - 0.999**self.n)) + 1e-8)
+
+
+def gradient(w: np.ndarray, places: list[np.ndarray], y: np.ndarray, decay: float = 1e-4) -> np.ndarray:
+    """Of the logistic loss of rows of places, both classes weighing the same. A feature of few rows stays as it is: it would
+    only be learnt by heart."""
     flat, row = _rows(places)
-    usual = np.append(np.bincount(flat, minlength=size) >= LEAST_ROWS, True)  # a rare feature would only be learnt by heart
+    size = len(w) - 1
     share = np.where(y, 0.5 / max(1, y.sum()), 0.5 / max(1, (~y).sum()))
-    w, first, second = np.zeros(size + 1), np.zeros(size + 1), np.zeros(size + 1)
-    for step in range(1, steps + 1):
-        p = _sigmoid(np.bincount(row, weights=w[flat], minlength=len(y)) + w[-1])
-        d = (p - y) * share
-        g = np.append(np.bincount(flat, weights=d[row], minlength=size), d.sum()) + decay * np.append(w[:-1], 0)
-        g *= usual
-        first, second = 0.9 * first + 0.1 * g, 0.999 * second + 0.001 * g * g
-        w = w - 0.1 * (first / (1 - 0.9**step)) / (np.sqrt(second / (1 - 0.999**step)) + 1e-8)
-    return w
+    d = (_sigmoid(np.bincount(row, weights=w[flat], minlength=len(y)) + w[-1]) - y) * share
+    g = np.append(np.bincount(flat, weights=d[row], minlength=size), d.sum()) + decay * np.append(w[:-1], 0)
+    return g * np.append(np.bincount(flat, minlength=size) >= LEAST_ROWS, True)
+
+
+def fit_logistic(places: list[np.ndarray], y: np.ndarray, size: int, steps: int = STEPS) -> np.ndarray:
+    """Weights (the last is the bias) by gradient steps on all rows."""
+    own = Steps(np.zeros(size + 1))
+    for _ in range(steps):
+        own.go(gradient(own.w, places, y))
+    return own.w
 
 
 def _sigmoid(x):
@@ -117,38 +140,93 @@ def _calibrate(columns: np.ndarray, y: np.ndarray) -> np.ndarray:
     return w
 
 
-def co_train(labelled, y: np.ndarray, held: np.ndarray, pool):
-    """(text weights, meta weights, calibration of each, combination, threshold, rows added in each round).
+_TABLE = "id {kind}, text binary, meta binary"
 
-    labelled and pool are pairs of lists of places: (text view, metadata view)."""
-    train = np.flatnonzero(~held)
-    views = [[[labelled[v][i] for i in train], y[train]] for v in (0, 1)]
-    free = [np.ones(len(pool[0]), bool) for _ in (0, 1)]
-    sizes, added = (TEXT_SIZE, META_SIZE), []
-    models = [fit_logistic(x, t, sizes[v]) for v, (x, t) in enumerate(views)]
-    for _ in range(ROUNDS):
-        if not len(pool[0]):
-            break
-        new = 0
-        proposals = []
+
+def feature_table(docs: DataFrame, id_col: str, columns: dict[str, str]) -> DataFrame:
+    """id, text and meta: the places of both views of every row, 16 bits each."""
+
+    def run(batches):
+        memo = WordPlaces()
+        for b in batches:
+            text = [text_features(x.as_py(), memo).astype("<u2").tobytes() for x in b.column(1)]
+            meta = [meta_features(*v).astype("<u2").tobytes() for v in zip(*(b.column(i).to_pylist() for i in (2, 3, 4)), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(text, pa.binary()), pa.array(meta, pa.binary())], ["id", "text", "meta"])
+
+    rows = docs.select(F.col(id_col).alias("id"), *[F.col(columns[c]).alias(f"c{i}") for i, c in enumerate(("text", "lang", "source", "n_chars"))])
+    return rows.mapInArrow(run, _TABLE.format(kind=docs.schema[id_col].dataType.simpleString()))
+
+
+def _places(col) -> list[np.ndarray]:
+    return [np.frombuffer(x.as_buffer(), "<u2").astype(np.int64) for x in col]
+
+
+def teach(rows: DataFrame, models, guides, labelled, y: np.ndarray) -> tuple[list[np.ndarray], int]:
+    """Both views' weights after one pass over the rows (text, meta), and how many labels the views gave each other.
+
+    Each task starts from the views' weights and goes on with gradient steps over batch after batch: the rows that the other
+    view (by its guide, the calibrated weights) is sure of, and as many labelled ones in turn. The tasks' weights are
+    averaged by how many rows each has learnt from."""
+    held = rows.sparkSession.sparkContext.broadcast((models, guides, labelled, y))
+    sizes = (TEXT_SIZE, META_SIZE)
+
+    def run(batches):
+        models, guides, labelled, y = held.value
+        own, used, at = [Steps(m) for m in models], [0, 0], 0
+        for k, b in enumerate(batches):
+            views = [_places(b.column(v)) for v in (0, 1)]
+            p = [_sigmoid(odds(views[v], guides[v])) for v in (0, 1)]
+            turn = np.arange(at, at + min(len(y), 1_000)) % len(y)
+            at += len(turn)
+            for v in (0, 1):
+                good, bad = p[1 - v] >= SURE, p[1 - v] <= 1 - SURE
+                sure = np.flatnonzero(good | bad)
+                if len(sure):
+                    used[v] += len(sure)
+                    sets = [([views[v][i] for i in sure], good[sure]), ([labelled[v][i] for i in turn], y[turn])]
+                    for _ in range(max(LATER_STEPS, FIRST_STEPS // (k + 1))):
+                        own[v].go(sum(gradient(own[v].w, x, t) for x, t in sets))
         for v in (0, 1):
-            p = _sigmoid(odds(pool[v], models[v]))
-            for good in (True, False):
-                sure = np.flatnonzero((p >= SURE if good else p <= 1 - SURE) & free[1 - v])
-                best = sure[np.argsort(-p[sure] if good else p[sure], kind="stable")[:MOST_NEW]]
-                proposals.append((1 - v, best, good))
-        for other, best, good in proposals:
-            views[other][0] += [pool[other][i] for i in best]
-            views[other][1] = np.append(views[other][1], np.full(len(best), good))
-            free[other][best] = False
-            new += len(best)
-        added.append(new)
-        if not new:
+            if used[v]:
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(sizes[v] + 2) + v * 100_000), pa.array(np.append(own[v].w, 1.0) * used[v])], ["key", "value"])
+
+    got = rows.select("text", "meta").mapInArrow(run, "key long, value double").groupBy("key").agg(F.sum("value")).collect()
+    out = [np.zeros(n + 2) for n in sizes]
+    for key, value in got:
+        out[key // 100_000][key % 100_000] = value
+    # Six places, so that the order of the sums does not matter.
+    return [np.round(x[:-1] / x[-1], 6) if x[-1] else m for x, m in zip(out, models, strict=True)], int(sum(x[-1] for x in out))
+
+
+def co_train(labelled, y: np.ndarray, held: np.ndarray, rest: DataFrame):
+    """(text weights, meta weights, calibration of each, combination, threshold, rows labelled in each round).
+
+    labelled: pair of lists of places, text view and metadata view; rest: the unlabelled rows (text, meta)."""
+    train, check, sizes, added = np.flatnonzero(~held), np.flatnonzero(held), (TEXT_SIZE, META_SIZE), []
+    own = [[labelled[v][i] for i in train] for v in (0, 1)]
+
+    def judged(v: int, model: np.ndarray):
+        """The held-out rows' log-odds under a model, their calibration, and the loss after it."""
+        raw = odds([labelled[v][i] for i in check], model)
+        scale = _calibrate(raw[:, None], y[check])
+        p = np.clip(_sigmoid(raw * scale[0] + scale[1]), 1e-9, 1 - 1e-9)
+        return raw, scale, -np.log(np.where(y[check], p, 1 - p)).mean()
+
+    models = [fit_logistic(own[v], y[train], sizes[v]) for v in (0, 1)]
+    state = [judged(v, models[v]) for v in (0, 1)]
+    for _ in range(ROUNDS):
+        guides = [m * c[0] + np.append(np.zeros(len(m) - 1), c[1]) for m, (_, c, _) in zip(models, state, strict=True)]
+        taught, n = teach(rest, models, guides, own, y[train])
+        added.append(n)
+        better = False
+        for v, model in enumerate(taught):
+            now = judged(v, model)
+            if now[2] < state[v][2]:  # what a view is taught must help on labels that it has not seen
+                models[v], state[v], better = model, now, True
+        if not better:
             break
-        models = [fit_logistic(x, t, sizes[v]) for v, (x, t) in enumerate(views)]
-    check = np.flatnonzero(held)
-    raw = np.column_stack([odds([labelled[v][i] for i in check], models[v]) for v in (0, 1)])
-    own = [_calibrate(raw[:, [v]], y[check]) for v in (0, 1)]
+    raw = np.column_stack([state[v][0] for v in (0, 1)])
+    own = [state[v][1] for v in (0, 1)]
     calibrated = np.column_stack([raw[:, v] * own[v][0] + own[v][1] for v in (0, 1)])
     both = _calibrate(calibrated, y[check])
     final = _sigmoid(calibrated @ both[:2] + both[2])
@@ -157,39 +235,21 @@ def co_train(labelled, y: np.ndarray, held: np.ndarray, pool):
     return models[0], models[1], own, both, threshold, added
 
 
-def _collect(docs: DataFrame, columns: dict[str, str]) -> tuple[list[np.ndarray], list[np.ndarray], np.ndarray, np.ndarray]:
-    """Features of a bounded sample: (text places, meta places, good, held)."""
-
-    def run(batches):
-        memo = WordPlaces()
-        for b in batches:
-            text = [text_features(x.as_py(), memo).tolist() for x in b.column(0)]
-            meta = [meta_features(a, s, n).tolist() for a, s, n in zip(*(b.column(i).to_pylist() for i in (1, 2, 3)), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(text, pa.list_(pa.int32())), pa.array(meta, pa.list_(pa.int32())), b.column(4), b.column(5)], ["text", "meta", "good", "held"])
-
-    got = docs.select(*[F.col(columns[c]) for c in ("text", "lang", "source", "n_chars")], "__good", "__held").mapInArrow(run, "text array<int>, meta array<int>, good boolean, held boolean").toArrow()
-    lists = [[np.array(x.values.to_numpy(), np.int64) for x in got.column(i)] for i in (0, 1)]
-    return lists[0], lists[1], np.array(got.column(2).to_pylist(), bool), np.array(got.column(3).to_pylist(), bool)
-
-
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", columns: dict[str, str] | None = None):
     """The model, or None without labels of both kinds in the training and the held-out part."""
     columns = columns or {c: c for c in ("text", "lang", "source", "n_chars")}
-    known = labels.where(F.col(id_col).isNotNull() & F.col("quality").isNotNull()).groupBy(F.col(id_col).alias("__lid")).agg(F.min(((F.col("quality") == 1) & (F.coalesce("toxic", F.lit(0)) == 0)).cast("int")).alias("__g"))
-    # Only ids and labels are sorted for the samples; the texts of the chosen ids follow by a join with as few rows.
-    chosen = known.select("__lid", (F.col("__g") == 1).alias("__good")).orderBy(F.xxhash64("__lid", F.lit(17)), "__lid").limit(MAX_LABELLED)
-    rest = docs.select(F.col(id_col).alias("__lid")).where("__lid is not null").join(known, "__lid", "left_anti").distinct().orderBy(F.xxhash64("__lid", F.lit(17)), "__lid").limit(MAX_POOL).withColumn("__good", F.lit(False))
-    narrow = docs.select(F.col(id_col), *dict.fromkeys(columns.values()))
-
-    def sample(ids: DataFrame):
-        held = F.pmod(F.xxhash64(F.col("__lid"), F.lit(23)), F.lit(HOLD_OUT)) == 0
-        return _collect(narrow.join(F.broadcast(ids), F.col(id_col) == F.col("__lid")).withColumn("__held", held), columns)
-
-    text, meta, y, held = sample(chosen)
+    known = labels.where(F.col(id_col).isNotNull() & F.col("quality").isNotNull()).groupBy(F.col(id_col).alias("of")).agg(F.min(((F.col("quality") == 1) & (F.coalesce("toxic", F.lit(0)) == 0)).cast("int")).alias("g"))
+    known = materialise(known, "quality-labels")
+    few = known.count() <= BROADCAST_IDS
+    table = materialise(feature_table(docs, id_col, columns), "quality-features")
+    marked = table.join(F.broadcast(known) if few else known, F.col("id") == F.col("of"), "left").select("id", "text", "meta", "g")
+    key = F.xxhash64(F.lit(17), "id", "text", "meta")
+    chosen = marked.where("g is not null").groupBy("id", key.alias("key")).agg(F.first("text").alias("text"), F.first("meta").alias("meta"), F.first("g").alias("g")).orderBy("key", "id").limit(MAX_LABELLED)
+    got = chosen.select("text", "meta", "g", (F.pmod(F.xxhash64("id", F.lit(23)), F.lit(HOLD_OUT)) == 0).alias("held")).toArrow()
+    y, held = np.array(got.column(2).to_pylist(), bool), np.array(got.column(3).to_pylist(), bool)
     if not all(len(set(y[part])) == 2 for part in (held, ~held)):
         return None
-    pool_text, pool_meta, *_ = sample(rest)
-    return co_train((text, meta), y, held, (pool_text, pool_meta))
+    return co_train((_places(got.column(0)), _places(got.column(1))), y, held, marked.where("g is null"))
 
 
 ADDED = T.StructType([*(T.StructField(f"__{n}", T.DoubleType()) for n in ("text_score", "meta_score", "score")), T.StructField("__kept", T.BooleanType())])
@@ -198,6 +258,8 @@ ADDED = T.StructType([*(T.StructField(f"__{n}", T.DoubleType()) for n in ("text_
 def score(docs: DataFrame, model, columns: dict[str, str] | None = None, drop_text: bool = False) -> DataFrame:
     """docs with the calibrated score of each view, the combined one, and whether it reaches the threshold."""
     columns = columns or {c: c for c in ("text", "lang", "source", "n_chars")}
+    docs, names_in = aside(docs)
+    columns = {c: named(x, names_in) for c, x in columns.items()}
     names = [c for c in docs.columns if not (drop_text and c == columns["text"])]
     held = docs.sparkSession.sparkContext.broadcast(model)
 
@@ -217,4 +279,4 @@ def score(docs: DataFrame, model, columns: dict[str, str] | None = None, drop_te
                 kept = both >= m[4]
             yield pa.RecordBatch.from_arrays([*(b.column(b.schema.get_field_index(c)) for c in names), pa.array(text), pa.array(meta), pa.array(both), pa.array(kept)], [*names, *ADDED.names])
 
-    return docs.mapInArrow(run, T.StructType([*(docs.schema[c] for c in names), *ADDED]))
+    return back(docs.mapInArrow(run, T.StructType([*(docs.schema[c] for c in names), *ADDED])), names_in)

@@ -5,7 +5,8 @@ depends on length, so each band of lengths has its own limits, in bytes of UTF-8
 last chunk is judged by the band of its own length, and one under LAST_BYTES by the chunk that it ends.
 
 Defined cases: a null or empty text has no words and fails the base rules. Lone surrogates can't occur in Arrow
-strings. Each row is judged alone, so repeated rows, null ids, extra columns and empty tables need no rule.
+strings. Each row is judged alone, so repeated rows, null ids and empty tables need no rule. Extra columns pass through; one
+named like a column that is added comes out as in__...
 """
 
 from __future__ import annotations
@@ -17,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import aside, back, named
+
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
 #: A shorter last chunk says too little by itself.
@@ -95,6 +98,8 @@ ADDED = T.StructType(
 
 def judge(df: DataFrame, text_col: str = "text", bands: Bands = Bands(), rejects: bool = True, drop_text: bool = False) -> DataFrame:
     """Every row with the measures of ADDED; rejects=False leaves out the rows that fail, drop_text leaves out the text."""
+    df, names_in = aside(df)
+    text_col = named(text_col, names_in)
     names = [c for c in df.columns if not (drop_text and c == text_col)]
     fields = [df.schema[c] for c in names] + list(ADDED)
 
@@ -115,9 +120,10 @@ def judge(df: DataFrame, text_col: str = "text", bands: Bands = Bands(), rejects
             out = pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index(c)) for c in names] + cols, names + ADDED.names)
             yield out if rejects else out.filter(cols[-1])
 
-    return df.mapInArrow(run, T.StructType(fields))
+    return back(df.mapInArrow(run, T.StructType(fields)), names_in)
 
 
 def drop_rejected(df: DataFrame, text_col: str = "text", bands: Bands = Bands()) -> DataFrame:
     """The rows of df that are kept, with their own columns."""
-    return judge(df, text_col, bands, rejects=False).drop(*ADDED.names)
+    own, names = aside(df)
+    return back(judge(own, named(text_col, names), bands, rejects=False).drop(*ADDED.names), names)

@@ -13,7 +13,7 @@ SALTS times in the join, so that a key of very many URLs is dealt over as many t
 
 Defined cases: a null URL, or one without "://", has an empty host and path and fits nothing. An empty host fits no
 entry. Repeated rows stay; repeated entries count once, and of equal keys with different verdicts "block" wins. Empty
-tables and empty lists work. Extra columns pass through.
+tables and empty lists work. Extra columns pass through; one named like a column that is added comes out as in__...
 """
 
 from __future__ import annotations
@@ -24,6 +24,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import aside, back, named
+
 MAX_BLOCKS = 1 << 19
 BITS_PER_ENTRY = 20
 SALTS = 8
@@ -107,6 +109,8 @@ def entry_table(rules: DataFrame, listed: DataFrame) -> DataFrame:
 
 def judge(df: DataFrame, entries: DataFrame, url_col: str = "url", default: str = "allow") -> DataFrame:
     """df with __host, __path, __rule (the rule's entry, else null), __listed (the listed entry, else null), __verdict."""
+    df, names_in = aside(df)
+    url_col = named(url_col, names_in)
     path_length = F.length(F.regexp_extract("entry", r"^[^/]*(.*)$", 1))
     lengths: dict[str, list[int]] = {}
     for kind, n in entries.select("kind", path_length.alias("n")).distinct().sort("kind", "n").collect():  # as many as path lengths
@@ -130,15 +134,18 @@ def judge(df: DataFrame, entries: DataFrame, url_col: str = "url", default: str
 
     probed = base.mapInArrow(probe, T.StructType([*base.schema, *added.fields[1:]]))
     kept = [*df.columns, "__host", "__path"]
-    hits = probed.select("__row", F.struct(*[F.col(f"`{c}`") for c in kept]).alias("__own"), F.explode_outer("__hits").alias("__key"), F.pmod("__row", F.lit(SALTS)).alias("__salt"))
+    hits = probed.select("__row", F.struct(*[F.col(f"`{c}`") for c in kept]).alias("__own"), F.explode_outer("__hits").alias("__key"))
+    # A URL without a hit meets nothing, so any salt does: its row number spreads such rows over all tasks.
+    hits = hits.withColumn("__salt", F.when(F.col("__key").isNull(), F.col("__row")).otherwise(F.pmod("__row", F.lit(SALTS))))
     exact = entries.select(F.col("key").alias("__key"), F.col("kind").alias("__kind"), F.col("entry").alias("__entry"), F.col("verdict").alias("__v"), F.explode(F.array(*[F.lit(i).cast("long") for i in range(SALTS)])).alias("__salt"))
     host_length = F.length("__entry") - F.length(F.regexp_extract("__entry", r"^[^/]*(.*)$", 1))
     rank = F.struct(F.length("__entry").alias("n"), host_length.alias("h"), F.col("__entry").alias("entry"), F.col("__v").alias("verdict"))
     best = [F.max(F.when(F.col("__kind") == k, rank)).alias(n) for k, n in ((RULE, "__r"), (LISTED, "__l"))]
     found = hits.join(exact, ["__key", "__salt"], "left").groupBy("__row").agg(F.first("__own").alias("__own"), *best)
-    return found.select(
+    out = found.select(
         *[F.col(f"__own.`{c}`").alias(c) for c in kept],
         F.col("__r.entry").alias("__rule"),
         F.col("__l.entry").alias("__listed"),
         F.coalesce("__r.verdict", "__l.verdict", F.lit(default)).alias("__verdict"),
     )
+    return back(out, names_in)
