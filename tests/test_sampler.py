@@ -98,5 +98,54 @@ def test_joint_acceptance_and_any_scope_run():
         assert abs(trace[-1][2] - chain.energy(last)) < 1e-8
 
 
+def test_fast_draws_agree_with_spark(spark):
+    from pyspark.sql import functions as F
+
+    from unicat.rng import fast01, fast01_np
+
+    rows = spark.range(5).select(fast01(7, 3, "c", F.col("id"), F.col("id") * 10 - 20).alias("u")).collect()
+    assert [r.u for r in rows] == fast01_np(7, 3, "c", np.arange(5), np.arange(5) * 10 - 20).tolist()
+
+
+def _graph(spark):
+    r = np.random.default_rng(5)
+    n, k = 24, 6
+    resp = np.where(r.random((n, k)) < 0.6, r.uniform(0.1, 0.7, (n, k)), 0)
+    resp[:12, 0] = resp[12:, 1] = 0.8
+    resp[23] = 0  # an item without any word
+    pairs = [(a, b) for a in range(n) for b in range(a + 1, n) if r.random() < (0.4 if (a < 12) == (b < 12) else 0.05)]
+    q = np.round(r.uniform(0.2, 0.7, len(pairs)), 6)
+    ids = np.arange(n) * 3 + 5
+    resp_df = spark.createDataFrame([(int(ids[i]), int(f), "S", float(resp[i, f])) for i, f in zip(*np.nonzero(resp))], "item_id long, feat int, wtype string, r double")  # noqa: B905
+    edges = spark.createDataFrame([(int(ids[a]), int(ids[b]), float(x)) for (a, b), x in zip(pairs, q, strict=True)], "s long, t long, q double")
+    return resp_df, edges, spark.createDataFrame([(int(i),) for i in ids], "item_id long"), np.full(k, 0.3)
+
+
+@pytest.mark.parametrize("move", ["single", "composite"])
+def test_distributed_chain_has_the_trace_of_the_local_one(spark, move, monkeypatch):
+    from unicat.operators import sampler
+
+    resp, edges, items, e_0 = _graph(spark)
+    p = Params(beta=0.5, model_words=4, rule="kl_gain", steps=3, patience=99, seed=3, move=move, p_pick=0.5)
+    local = sampler.run_chains(spark, resp, edges, 6, e_0, p, [3], items)
+    want = [tuple(r)[1:8] for r in local.where("step >= 0").orderBy("step").collect()]
+    trace, best = sampler.distributed_chain(resp, edges, items, e_0, p, 3)
+    for a, b in zip(trace, want, strict=True):
+        assert (a[0], a[1], a[3], a[5], a[6]) == (b[0], b[1], b[3], b[5], b[6]) and abs(a[2] - b[2]) < 1e-6 and abs(a[4] - b[4]) < 1e-6
+    assert {r.item_id: r.cat for r in best.collect()} == {r.item_id: r.cat for r in sampler.best_labels(local).collect()} and best.count() == 24
+    monkeypatch.setattr(sampler, "LOCAL_BYTES", 100)
+    with pytest.raises(ValueError):
+        sampler.run_chains(spark, resp, edges, 6, e_0, p, [3], items)
+
+
+def test_every_chain_has_a_task_of_its_own(spark):
+    from unicat.operators import sampler
+
+    resp, edges, items, e_0 = _graph(spark)
+    assert spark.range(0, 10, 1, 10).rdd.glom().map(len).collect() == [1] * 10
+    got = sampler.run_chains(spark, resp, edges, 6, e_0, Params(steps=5), list(range(10)), items)
+    assert got.where("step = -1").count() == 10
+
+
 def test_params_scale_beta():
     assert replace(Params(), beta_mode="per_item").beta_for(500) == 150

@@ -104,28 +104,29 @@ def _capped(edges: DataFrame, k: int) -> DataFrame:
             return taken
 
 
-def draw_edges(edges: DataFrame, labels: DataFrame, seed: int, step: int, tag: str = "e") -> DataFrame:
+def draw_edges(edges: DataFrame, labels: DataFrame, seed: int, step: int, tag: str = "e", draw=u01) -> DataFrame:
     """Edges that are turned on: between items of one label, with probability q, by the keyed draw."""
     ls, lt = labels.select(F.col("item_id").alias("s"), F.col("cat").alias("cat_s")), labels.select(F.col("item_id").alias("t"), F.col("cat").alias("cat_t"))
     same = edges.join(ls, "s").join(lt, "t").where("cat_s = cat_t")
-    return same.where(u01(seed, step, tag, F.col("s"), F.col("t")) < F.col("q")).select("s", "t", "q", F.col("cat_s").alias("cat"))
+    return same.where(draw(seed, step, tag, F.col("s"), F.col("t")) < F.col("q")).select("s", "t", "q", F.col("cat_s").alias("cat"))
 
 
-def components(edges: DataFrame, vertices: DataFrame, max_rounds: int = 50) -> DataFrame:
-    """item_id, cp (the lowest item of its connected component) for all vertices, isolated ones too: each round takes the
-    lowest label of the neighbours and then the label of the label, until nothing changes."""
-    both = keep(edges.select(F.col("s").alias("u"), F.col("t").alias("v")).unionAll(edges.select(F.col("t").alias("u"), F.col("s").alias("v"))), "cc-edges")
+def components(edges: DataFrame, vertices: DataFrame) -> DataFrame:
+    """item_id, cp (the lowest item of its connected component) for all vertices, isolated ones too.
+
+    In a round each item, and the item that its label names, takes the lowest label among the item's neighbours, and labels
+    jump to their own labels, so rounds grow with the logarithm of the longest path. Labels only fall; the loop ends when none does."""
+    both = keep(edges.select(F.col("s").alias("u"), F.col("t").alias("v")).unionAll(edges.select(F.col("t").alias("u"), F.col("s").alias("v"))).distinct(), "cc-edges")
     labels = vertices.select("item_id", F.col("item_id").alias("cp"))
-    for _ in range(max_rounds):
+    while True:
         low = both.join(labels.select(F.col("item_id").alias("v"), "cp"), "v").groupBy(F.col("u").alias("item_id")).agg(F.min("cp").alias("low"))
-        hooked = labels.join(low, "item_id", "left").select("item_id", F.least("cp", F.coalesce("low", "cp")).alias("new"), "cp")
+        seen = keep(labels.join(low, "item_id", "left").select("item_id", "cp", F.least("cp", F.coalesce("low", "cp")).alias("low")), "cc-seen")
+        roots = seen.where("low < cp").groupBy(F.col("cp").alias("item_id")).agg(F.min("low").alias("hook"))
+        hooked = keep(seen.join(roots, "item_id", "left").select("item_id", F.least("low", F.coalesce("hook", "low")).alias("new"), "cp"), "cc-hooked")
+        if not hooked.where("new < cp").limit(1).count():
+            return hooked.select("item_id", "cp")
         up = hooked.select(F.col("item_id").alias("new"), F.col("new").alias("above"))
-        labels = keep(hooked.join(up, "new", "left").select("item_id", F.coalesce("above", "new").alias("cp"), F.col("cp").alias("was")), "cc-labels")
-        moved = labels.where("cp <> was").limit(1).count()
-        labels = labels.drop("was")
-        if not moved:
-            return labels
-    raise RuntimeError("components did not settle")
+        labels = keep(hooked.join(up, "new", "left").select("item_id", F.least("new", F.coalesce("above", "new")).alias("cp")), "cc-labels")
 
 
 def candidate_pairs(resp: DataFrame, method: str = "rare_words", most_items: int = 200, bands: int = 8, rows: int = 2, seed: int = 42) -> DataFrame:

@@ -1,8 +1,10 @@
 """Cluster samplers over partitions: the single-cut and the composite-cut moves.
 
-Two engines share the keyed draws and the formulas. The kernels below are DataFrame operators for one step on a graph of
-any size. run_chain() runs whole chains on one item set of bounded size inside one task (chains of different seeds run in
-parallel as grouped maps); its energy comes from the categories' sums alone, and a step touches only what it moves.
+The kernels below are DataFrame operators for one step on a graph of any size. Two engines run whole chains with the same
+keyed draws and the same code for the moves of a step, so they give the same trace. run_chains() holds the graph and the
+responses of a checked size in one task a chain (chains of different seeds run side by side). distributed_chain() keeps them
+in tables and brings only the step's picked clusters to the driver: their sizes, summed responses and edges to others.
+Energies come from the categories' sums alone, and a step touches only what it moves.
 
 For a fixed draw of the switches, moving a cluster from label A to B keeps the target if the acceptance has the factor
 W(B) / W(A), W being the product of 1 - q over edges between the cluster and other clusters of its label. With a second
@@ -14,26 +16,26 @@ latter two, as the published ratio does, and accepts all picked composites with
 from __future__ import annotations
 
 import math
-from collections import defaultdict
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..params import Params
-from ..rng import u01, u01_py
+from ..rng import fast01, fast01_np, u01
+from ..sources.tables import keep
 from . import graph, posterior
 
-#: Items that run_chain() takes in one task; larger sets go through the kernels.
-LOCAL_ITEMS = 200_000
+#: Bytes of responses and edges that run_chains() broadcasts; larger sets go through distributed_chain().
+LOCAL_BYTES = 1_000_000_000
 
 
 # Kernels
 
 
-def pick_component(parts: DataFrame, seed: int, step: int) -> DataFrame:
+def pick_component(parts: DataFrame, seed: int, step: int, draw=u01) -> DataFrame:
     """One row: the component with the lowest keyed number."""
-    cps = parts.select("cp").distinct().withColumn("u", u01(seed, step, "p", F.col("cp")))
+    cps = parts.select("cp").distinct().withColumn("u", draw(seed, step, "p", F.col("cp")))
     return cps.agg(F.min_by("cp", F.struct("u", "cp")).alias("cp"))
 
 
@@ -71,16 +73,16 @@ def component_graph(edges: DataFrame, parts: DataFrame, labels: DataFrame, scope
     return across.groupBy(F.least("cp_s", "cp_t").alias("a"), F.greatest("cp_s", "cp_t").alias("b")).agg((scale * (1 - F.exp(F.sum(F.log1p(-F.col("q")))))).alias("q"))
 
 
-def composites(upper: DataFrame, parts: DataFrame, seed: int, step: int) -> DataFrame:
+def composites(upper: DataFrame, parts: DataFrame, seed: int, step: int, draw=u01) -> DataFrame:
     """cp, comp: components of the upper graph after its edges are switched."""
-    on = upper.where(u01(seed, step, "c", F.col("a"), F.col("b")) < F.col("q")).select(F.col("a").alias("s"), F.col("b").alias("t"))
+    on = upper.where(draw(seed, step, "c", F.col("a"), F.col("b")) < F.col("q")).select(F.col("a").alias("s"), F.col("b").alias("t"))
     vertices = parts.select(F.col("cp").alias("item_id")).distinct()
     return graph.components(on, vertices).select(F.col("item_id").alias("cp"), F.col("cp").alias("comp"))
 
 
-def pick_composites(comps: DataFrame, seed: int, step: int, p_pick: float = 0.3) -> DataFrame:
+def pick_composites(comps: DataFrame, seed: int, step: int, p_pick: float = 0.3, draw=u01) -> DataFrame:
     """comp of each one that is picked: those under p_pick, and always the one with the lowest number."""
-    u = comps.select("comp").distinct().withColumn("u", u01(seed, step, "k", F.col("comp")))
+    u = comps.select("comp").distinct().withColumn("u", draw(seed, step, "k", F.col("comp")))
     low = u.agg(F.min(F.struct("u", "comp")).alias("low"))
     return u.crossJoin(F.broadcast(low)).where((F.col("u") < p_pick) | (F.col("comp") == F.col("low.comp"))).select("comp")
 
@@ -114,29 +116,23 @@ def single_step(resp: DataFrame, edges: DataFrame, labels: DataFrame, reference:
 # Whole chains
 
 
-class Chain:
-    """A chain over items 0..n-1 with dense responses. energy() and every step work on the categories' sums."""
+class Cells:
+    """What a step can move: atoms (clusters) in cells of one label each, with the edges between cells of different atoms.
 
-    def __init__(self, ids, resp: np.ndarray, edges, e_0: np.ndarray, params: Params):
-        self.ids, self.resp, self.p, self.e_0 = list(ids), resp, params, np.clip(e_0, params.clip, 1 - params.clip)
-        self.s, self.t, self.q = edges
-        self.log_off = np.log1p(-self.q)
-        self.keys = [(self.ids[a], self.ids[b]) for a, b in zip(self.s, self.t, strict=True)]
-        self.beta = params.beta_for(len(self.ids))
-        self.near: dict[int, list[int]] = defaultdict(list)
-        for e, (a, b) in enumerate(zip(self.s.tolist(), self.t.tolist(), strict=True)):
-            self.near[a].append(e)
-            self.near[b].append(e)
+    Only cells of picked atoms need their masses (summed responses) and edges."""
 
-    def start(self) -> np.ndarray:
-        n, p = len(self.ids), self.p
-        if p.initial == "singletons":
-            return np.arange(1, n + 1)
-        if p.initial == "random":
-            return np.array([1 + int(u01_py(p.seed, "i", i) * 8) for i in self.ids])
-        if p.initial == "components":
-            return self.parts(np.ones(n, int), -1)[0] + 1
-        return np.ones(n, int)
+    def __init__(self, atom, label, size, mass, edges):
+        self.atom, self.label, self.size, self.mass = atom, label, size, mass  # arrays over cells; mass: cell -> vector
+        self.own, self.other, self.log_off = edges  # sorted by own
+
+
+class Model:
+    """The categories of a state: their sizes, summed responses and gains, and the energy."""
+
+    def __init__(self, params: Params, e_0: np.ndarray, beta: float, stats: dict[int, list]):
+        self.p, self.e_0, self.beta, self.held = params, e_0, beta, stats
+        self.gains = {c: self.gain(*v) for c, v in stats.items()}
+        self.now = beta * len(stats) - sum(self.gains.values())
 
     def gain(self, n: int, total: np.ndarray) -> float:
         """Log-likelihood of a category of n items with summed responses total."""
@@ -146,38 +142,119 @@ class Chain:
         e = total[held] / n
         f, o = np.clip(e, self.p.clip, 1 - self.p.clip), self.e_0[held]
         kl = f * np.log(f / o) + (1 - f) * np.log((1 - f) / (1 - o))
+        if len(held) <= self.p.model_words:
+            return n * float(kl.sum())
         by = e - o if self.p.rule == "mean_gap" else kl
-        best = np.argsort(-by, kind="stable")[: self.p.model_words] if len(held) > self.p.model_words else slice(None)
-        return n * float(kl[best].sum())
+        return n * float(kl[np.argsort(-by, kind="stable")[: self.p.model_words]].sum())
 
-    def stats(self, labels: np.ndarray) -> dict[int, list]:
-        return {int(c): [int((labels == c).sum()), self.resp[labels == c].sum(axis=0)] for c in np.unique(labels)}
+    def step(self, cells: Cells, picked: list[int], ids: np.ndarray, step: int) -> tuple[int, bool, float, dict[int, int]]:
+        """Moves the picked atoms one after another: (items moved, whether any move was accepted, last log ratio, atom -> new label)."""
+        p, moved, accepted, last, log_joint, at_now = self.p, 0, False, 0.0, 0.0, {}
+        factor = 2.0 if p.move == "composite" and p.fidelity == "reversible" and p.scope == "same_label" else 1.0
+        joint = p.fidelity == "paper" and p.move == "composite"
+        undo = ({c: [v[0], v[1].copy()] for c, v in self.held.items()}, dict(self.gains), self.now) if joint else None
+        u_label, u_accept = fast01_np(p.seed, step, "l", ids[picked]), fast01_np(p.seed, step, "a", ids[picked])
+        order = np.argsort(cells.atom, kind="stable")
+        by_atom = cells.atom[order]
+        for k, c in enumerate(picked):
+            own = order[np.searchsorted(by_atom, c) : np.searchsorted(by_atom, c, "right")]
+            cats = sorted(self.held)
+            at = int(u_label[k] * (len(cats) + 1))
+            new = cats[at] if at < len(cats) else cats[-1] + 1
+            moving = [i for i in own.tolist() if cells.label[i] != new]
+            if not moving:
+                continue
+            ratio, shift = 0.0, {new: [0, 0.0]}
+            for i in moving:
+                old, mass, n = int(cells.label[i]), cells.mass[i], int(cells.size[i])
+                dn, dx = shift.get(old, [0, 0.0])
+                shift[old] = [dn - n, dx - mass]
+                shift[new] = [shift[new][0] + n, shift[new][1] + mass]
+                lo, hi = np.searchsorted(cells.own, [i, i + 1])
+                there = cells.label[cells.other[lo:hi]]
+                w = cells.log_off[lo:hi]
+                ratio += float(w[there == new].sum() - w[there == old].sum())
+            after = {}
+            for cat, (dn, dx) in shift.items():
+                n, x = self.held.get(cat, [0, 0.0])
+                after[cat] = [n + dn, x + dx]
+            fresh = {cat: self.gain(*v) for cat, v in after.items() if v[0]}
+            k_new = len(self.held) + (new not in self.held) - sum(1 for v in after.values() if not v[0])
+            then = self.now + self.beta * (k_new - len(self.held)) - sum(fresh.values()) + sum(self.gains.get(cat, 0.0) for cat in after)
+            last = factor * ratio + self.now - then
+            if p.fidelity == "reversible":
+                last += math.log((len(self.held) + 1) / (k_new + 1))
+            log_joint += last
+            if joint or math.log(max(1e-300, u_accept[k])) < last:
+                cells.label[own] = new
+                for cat, v in after.items():
+                    if v[0]:
+                        self.held[cat], self.gains[cat] = v, fresh[cat]
+                    else:
+                        self.held.pop(cat, None)
+                        self.gains.pop(cat, None)
+                self.now, moved, accepted, at_now[c] = then, moved + sum(int(cells.size[i]) for i in moving), True, new
+        if joint and accepted and not math.log(max(1e-300, float(fast01_np(p.seed, step, "a")))) < log_joint:
+            self.held, self.gains, self.now = undo
+            return 0, False, log_joint, {}
+        return moved, accepted, log_joint if joint else last, at_now
+
+
+def joined(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The lowest vertex of each vertex's component: labels are hooked to lower ones and then jump to their own labels."""
+    label = np.arange(n)
+    while len(a):
+        x, y = label[a], label[b]
+        apart = x != y
+        if not apart.any():
+            return label
+        a, b, x, y = a[apart], b[apart], x[apart], y[apart]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while not np.array_equal(up := label[label], label):
+            label = up
+    return label
 
-    def energy(self, labels: np.ndarray) -> float:
-        held = self.stats(labels)
-        return self.beta * len(held) - sum(self.gain(n, x) for n, x in held.values())
 
-    @staticmethod
-    def union(n: int, pairs) -> np.ndarray:
-        root = list(range(n))
+class Chain:
+    """A chain over items 0..n-1. Responses are a dense array, or (first place of each item, features, values) and the number of features."""
+
+    def __init__(self, ids, resp, edges, e_0: np.ndarray, params: Params):
+        self.ids, self.p, self.e_0 = np.asarray(ids, np.int64), params, np.clip(e_0, params.clip, 1 - params.clip)
+        if isinstance(resp, np.ndarray):
+            row, feat = np.nonzero(resp)
+            resp = np.searchsorted(row, np.arange(len(resp) + 1)), feat, resp[row, feat]
+        self.begin, self.feat, self.r = resp
+        self.s, self.t, self.q = edges
+        self.log_off = np.log1p(-self.q)
+        self.beta = params.beta_for(len(self.ids))
 
-        def find(i):
-            while root[i] != i:
-                root[i] = root[root[i]]
-                i = root[i]
-            return i
+    def start(self) -> np.ndarray:
+        n, p = len(self.ids), self.p
+        if p.initial == "singletons":
+            return np.arange(1, n + 1)
+        if p.initial == "random":
+            return 1 + (fast01_np(p.seed, 0, "i", self.ids) * 8).astype(np.int64)
+        if p.initial == "components":
+            return self.parts(np.ones(n, np.int64), -1)[0] + 1
+        return np.ones(n, np.int64)
 
-        for a, b in pairs:
-            a, b = find(a), find(b)
-            if a != b:
-                root[max(a, b)] = min(a, b)
-        return np.array([find(i) for i in range(n)])
+    def mass(self, members: np.ndarray) -> np.ndarray:
+        """Summed responses of some items."""
+        first, size = self.begin[members], self.begin[members + 1] - self.begin[members]
+        at = np.repeat(first - (np.cumsum(size) - size), size) + np.arange(size.sum())
+        return np.bincount(self.feat[at], self.r[at], len(self.e_0))
+
+    def model(self, labels: np.ndarray) -> Model:
+        return Model(self.p, self.e_0, self.beta, {int(c): [int((labels == c).sum()), self.mass(np.flatnonzero(labels == c))] for c in np.unique(labels)})
+
+    def energy(self, labels: np.ndarray) -> float:
+        return self.model(labels).now
 
     def parts(self, labels: np.ndarray, step: int) -> tuple[np.ndarray, np.ndarray]:
         """(component of each item, edges within a label)."""
         same = np.flatnonzero(labels[self.s] == labels[self.t])
-        on = [e for e in same.tolist() if u01_py(self.p.seed, step, "e", *self.keys[e]) < self.q[e]]
-        return self.union(len(labels), zip(self.s[on].tolist(), self.t[on].tolist(), strict=True)), same
+        on = same[fast01_np(self.p.seed, step, "e", self.ids[self.s[same]], self.ids[self.t[same]]) < self.q[same]]
+        return joined(len(labels), self.s[on], self.t[on]), same
 
     def clusters(self, labels: np.ndarray, step: int) -> np.ndarray:
         """The atoms of a step: components, or composites of them."""
@@ -185,91 +262,56 @@ class Chain:
         if self.p.move == "single":
             return cp
         use = same if self.p.scope == "same_label" else np.arange(len(self.q))
-        off: dict[tuple[int, int], float] = defaultdict(float)
-        for a, b, w in zip(cp[self.s[use]].tolist(), cp[self.t[use]].tolist(), self.log_off[use].tolist(), strict=True):
-            if a != b:
-                off[min(a, b), max(a, b)] += w
-        on = [(a, b) for (a, b), w in off.items() if u01_py(self.p.seed, step, "c", self.ids[a], self.ids[b]) < self.p.cp_scale * (1 - math.exp(w))]
-        return self.union(len(labels), on)[cp]
+        a, b = cp[self.s[use]], cp[self.t[use]]
+        apart = a != b
+        pair, at = np.unique(np.minimum(a, b)[apart] * len(labels) + np.maximum(a, b)[apart], return_inverse=True)
+        off = np.bincount(at, self.log_off[use][apart], len(pair))
+        a, b = pair // len(labels), pair % len(labels)
+        on = fast01_np(self.p.seed, step, "c", self.ids[a], self.ids[b]) < self.p.cp_scale * (1 - np.exp(off))
+        return joined(len(labels), a[on], b[on])[cp]
 
     def picks(self, atoms: np.ndarray, step: int) -> list[int]:
-        if self.p.move == "single":
-            return [min(np.unique(atoms).tolist(), key=lambda c: (u01_py(self.p.seed, step, "p", self.ids[c]), c))]
-        u = {c: u01_py(self.p.seed, step, "k", self.ids[c]) for c in np.unique(atoms).tolist()}
-        low = min(u, key=lambda c: (u[c], c))
-        return [c for c in u if u[c] < self.p.p_pick or c == low]
-
-    def cut(self, members: np.ndarray, inside: np.ndarray, labels: np.ndarray, cat: int) -> float:
-        """Summed ln(1 - q) from the members to other items of a label."""
-        total = 0.0
-        for i in members.tolist():
-            for e in self.near[i]:
-                o = int(self.t[e] if self.s[e] == i else self.s[e])
-                if not inside[o] and labels[o] == cat:
-                    total += self.log_off[e]
-        return total
+        own = np.unique(atoms)
+        u = fast01_np(self.p.seed, step, "p" if self.p.move == "single" else "k", self.ids[own])
+        chosen = np.zeros(len(own), bool) if self.p.move == "single" else u < self.p.p_pick
+        chosen[np.argmin(u)] = True
+        return own[chosen].tolist()
+
+    def cells(self, atoms: np.ndarray, labels: np.ndarray, picked: list[int]) -> tuple[Cells, np.ndarray]:
+        """The cells of a state, and the cell of each item."""
+        pair, cell, size = np.unique(atoms * (len(labels) + 2) + labels, return_inverse=True, return_counts=True)
+        atom, label = pair // (len(labels) + 2), pair % (len(labels) + 2)
+        wanted = np.zeros(len(labels), bool)
+        wanted[picked] = True
+        order = np.argsort(cell, kind="stable")
+        ends = np.cumsum(size)
+        mass = {i: self.mass(order[ends[i] - size[i] : ends[i]]) for i in np.flatnonzero(wanted[atom]).tolist()}
+        across = atoms[self.s] != atoms[self.t]
+        s, t, w = self.s[across], self.t[across], self.log_off[across]
+        x, y = wanted[atoms[s]], wanted[atoms[t]]
+        own, other, w = np.concatenate([cell[s[x]], cell[t[y]]]), np.concatenate([cell[t[x]], cell[s[y]]]), np.concatenate([w[x], w[y]])
+        by = np.argsort(own, kind="stable")
+        return Cells(atom, label, size, mass, (own[by], other[by], w[by])), cell
 
     def run(self):
         """(trace rows, best labels, last labels)."""
-        p = self.p
-        labels = self.start()
-        held = self.stats(labels)
-        gains = {c: self.gain(*v) for c, v in held.items()}
-        now = self.beta * len(held) - sum(gains.values())
-        best, best_labels, stale = now, labels.copy(), 0
-        trace = [(0, len(held), now, True, 0.0, 0, 0)]
-        factor = 2.0 if p.move == "composite" and p.fidelity == "reversible" and p.scope == "same_label" else 1.0
+        p, labels = self.p, self.start()
+        model = self.model(labels)
+        best, best_labels, stale = model.now, labels.copy(), 0
+        trace = [(0, len(model.held), model.now, True, 0.0, 0, 0)]
         for step in range(1, p.steps + 1):
+            # Labels in use are few and new ones follow the greatest, but they may outgrow the items: they are numbered anew.
+            used, low = np.unique(labels, return_inverse=True)
             atoms = self.clusters(labels, step)
-            n_atoms, moved, accepted, last = len(np.unique(atoms)), 0, False, 0.0
             picked = self.picks(atoms, step)
-            joint = p.fidelity == "paper" and p.move == "composite"
-            undo = (labels.copy(), {c: [v[0], v[1].copy()] for c, v in held.items()}, dict(gains), now) if joint else None
-            log_joint = 0.0
-            for c in picked:
-                members = np.flatnonzero(atoms == c)
-                inside = np.zeros(len(labels), bool)
-                inside[members] = True
-                cats = sorted(held)
-                at = int(u01_py(p.seed, step, "l", self.ids[c]) * (len(cats) + 1))
-                new = cats[at] if at < len(cats) else cats[-1] + 1
-                by_old: dict[int, np.ndarray] = {int(o): members[labels[members] == o] for o in np.unique(labels[members])}
-                if set(by_old) == {new}:
-                    continue
-                ratio, after = 0.0, {}
-                shift = {new: [0, 0.0]}
-                for old, own in by_old.items():
-                    if old == new:
-                        continue
-                    mass = self.resp[own].sum(axis=0)
-                    shift[old] = [-len(own), -mass]
-                    shift[new] = [shift[new][0] + len(own), shift[new][1] + mass]
-                    ratio += self.cut(own, inside, labels, new) - self.cut(own, inside, labels, old)
-                for k, (dn, dx) in shift.items():
-                    n, x = held.get(k, [0, 0.0])
-                    after[k] = [n + dn, x + dx]
-                fresh = {k: self.gain(*v) for k, v in after.items() if v[0]}
-                k_new = len(held) + (new not in held) - sum(1 for k, v in after.items() if not v[0])
-                then = now + self.beta * (k_new - len(held)) - sum(fresh.values()) + sum(gains.get(k, 0.0) for k in after)
-                last = factor * ratio + now - then
-                if p.fidelity == "reversible":
-                    last += math.log((len(held) + 1) / (k_new + 1))
-                log_joint += last
-                if joint or math.log(max(1e-300, u01_py(p.seed, step, "a", self.ids[c]))) < last:
-                    labels[members] = new
-                    for k, v in after.items():
-                        if v[0]:
-                            held[k], gains[k] = v, fresh[k]
-                        else:
-                            held.pop(k, None)
-                            gains.pop(k, None)
-                    now, moved, accepted = then, moved + len(members), True
-            if joint and accepted and not math.log(max(1e-300, u01_py(p.seed, step, "a"))) < log_joint:
-                labels, held, gains, now = undo
-                moved, accepted = 0, False
-            trace.append((step, len(held), now, accepted, min(0.0, log_joint if joint else last), moved, n_atoms))
-            if now < best - 1e-9:
-                best, best_labels, stale = now, labels.copy(), 0
+            cells, cell = self.cells(atoms, low, picked)
+            cells.label = used[cells.label]
+            moved, accepted, last, at_now = model.step(cells, picked, self.ids, step)
+            if at_now:
+                labels = cells.label[cell]
+            trace.append((step, len(model.held), model.now, accepted, min(0.0, last), moved, len(np.unique(atoms))))
+            if model.now < best - 1e-9:
+                best, best_labels, stale = model.now, labels.copy(), 0
             else:
                 stale += 1
                 if stale >= p.patience:
@@ -280,37 +322,105 @@ class Chain:
 TRACE = "chain long, step int, k int, energy double, accepted boolean, log_alpha double, n_moved long, n_atoms long, model_words int, seconds double, item_ids array<long>, cats array<int>"
 
 
-def run_chains(spark: SparkSession, resp: DataFrame, edges: DataFrame, dims: int, e_0, params: Params, seeds: list[int], initial=None) -> DataFrame:
+def run_chains(spark: SparkSession, resp: DataFrame, edges: DataFrame, dims: int, e_0, params: Params, seeds: list[int], items: DataFrame | None = None) -> DataFrame:
     """All chains, one task each: their traces (TRACE); the row of step -1 of a chain has its best labels.
 
-    The graph and responses of at most LOCAL_ITEMS items are broadcast."""
-    rows = resp.select("item_id", "feat", "r").toPandas() if resp.select("item_id").distinct().limit(LOCAL_ITEMS + 1).count() <= LOCAL_ITEMS else None
-    if rows is None:
-        raise ValueError(f"more than {LOCAL_ITEMS} items: use single_step() or sample items first")
-    ids = np.sort(rows.item_id.unique())
-    dense = np.zeros((len(ids), dims))
-    dense[np.searchsorted(ids, rows.item_id), rows.feat] = rows.r
-    e = edges.orderBy("s", "t").toPandas()
-    e = e[e.s.isin(ids) & e.t.isin(ids)]
-    held = spark.sparkContext.broadcast((ids, dense, (np.searchsorted(ids, e.s), np.searchsorted(ids, e.t), e.q.to_numpy()), np.asarray(e_0)))
-
-    def run(pdf):
+    items: all items (item_id), those without a word too; without it, those that have responses. The graph and the responses
+    are broadcast if they have at most LOCAL_BYTES."""
+    vertices = (items if items is not None else resp).select("item_id").distinct()
+    size = 12 * resp.count() + 24 * edges.count() + 8 * vertices.count()
+    if size > LOCAL_BYTES:
+        raise ValueError(f"{size} bytes of responses and edges: use distributed_chain()")
+    ids = np.sort(vertices.toArrow().column(0).to_numpy())
+    rows = resp.select("item_id", "feat", "r").toArrow()
+    item, feat, r = (rows.column(i).to_numpy() for i in range(3))
+    item = np.searchsorted(ids, item)
+    order = np.lexsort((feat, item))
+    e = edges.select("s", "t", "q").toArrow()
+    s, t, q = (e.column(i).to_numpy() for i in range(3))
+    by = np.lexsort((t, s))
+    csr = np.searchsorted(item[order], np.arange(len(ids) + 1)), feat[order].astype(np.int32), r[order]
+    held = spark.sparkContext.broadcast((ids, csr, (np.searchsorted(ids, s[by]), np.searchsorted(ids, t[by]), q[by]), np.asarray(e_0)))
+
+    def run(batches):
         import time
         from dataclasses import replace
 
         import pandas as pd
 
-        chain, began = int(pdf.chain.iloc[0]), time.time()
-        ids, dense, graph_, e_0 = held.value
-        own = Chain(ids.tolist(), dense, graph_, e_0, replace(params, seed=int(pdf.seed.iloc[0])))
-        trace, best, _ = own.run()
-        took = (time.time() - began) / max(1, len(trace) - 1)
-        out = [(chain, *t, params.model_words, took, None, None) for t in trace]
-        out.append((chain, -1, len(np.unique(best)), min(t[2] for t in trace), True, 0.0, 0, 0, params.model_words, took, ids.tolist(), best.tolist()))
-        return pd.DataFrame(out, columns=[c.split()[0] for c in TRACE.split(", ")])
-
-    chains = spark.createDataFrame([(i, s) for i, s in enumerate(seeds)], "chain long, seed long").repartition(len(seeds), "chain")
-    return chains.groupBy("chain").applyInPandas(run, TRACE)
+        for batch in batches:
+            for chain in batch["id"].tolist():
+                began = time.time()
+                ids, csr, graph_, e_0 = held.value
+                trace, best, _ = Chain(ids, csr, graph_, e_0, replace(params, seed=seeds[chain])).run()
+                took = (time.time() - began) / max(1, len(trace) - 1)
+                out = [(chain, *t, params.model_words, took, None, None) for t in trace]
+                out.append((chain, -1, len(np.unique(best)), min(t[2] for t in trace), True, 0.0, 0, 0, params.model_words, took, ids.tolist(), best.tolist()))
+                yield pd.DataFrame(out, columns=[c.split()[0] for c in TRACE.split(", ")])
+
+    # A range has its rows in as many partitions as it is told, so every chain has a task of its own.
+    return keep(spark.range(0, len(seeds), 1, len(seeds)).mapInPandas(run, TRACE), "traces")
+
+
+def distributed_chain(resp: DataFrame, edges: DataFrame, items: DataFrame, e_0, params: Params, steps: int):
+    """One chain of any size, the same one that run_chains() gives: (trace rows, labels of the best state as a table).
+
+    A step's graph work is DataFrame jobs; the driver gets the sums of the picked clusters and their edges to others, added
+    up by cluster, and decides the moves."""
+    p, e_0 = params, np.clip(np.asarray(e_0), params.clip, 1 - params.clip)
+    labels = keep(items.select("item_id", F.lit(1).cast("long").alias("cat")), "chain-labels")
+    beta = p.beta_for(labels.count())
+    edges = edges.select("s", "t", "q")
+
+    def vectors(rows: DataFrame, keys: list[str]) -> dict:
+        out: dict = {}
+        for r in rows.groupBy(*keys, "feat").agg(F.sum("r").alias("total")).collect():
+            out.setdefault(tuple(r[k] for k in keys), np.zeros(len(e_0)))[r.feat] = r.total
+        return out
+
+    sizes = {r.cat: r["count"] for r in labels.groupBy("cat").count().collect()}
+    totals = vectors(resp.join(labels, "item_id"), ["cat"])
+    model = Model(p, e_0, beta, {c: [n, totals.get((c,), np.zeros(len(e_0)))] for c, n in sizes.items()})
+    best, best_labels, trace = model.now, labels, [(0, len(model.held), model.now, True, 0.0, 0, 0)]
+    for step in range(1, steps + 1):
+        parts = graph.components(graph.draw_edges(edges, labels, p.seed, step, draw=fast01), labels)
+        if p.move == "single":
+            atoms = parts.select("item_id", F.col("cp").alias("atom"))
+            picked = pick_component(parts, p.seed, step, fast01).select(F.col("cp").alias("atom"))
+        else:
+            comps = keep(composites(component_graph(edges, parts, labels, p.scope, p.cp_scale), parts, p.seed, step, fast01), "chain-comps")
+            atoms = parts.join(comps, "cp").select("item_id", F.col("comp").alias("atom"))
+            picked = pick_composites(comps, p.seed, step, p.p_pick, fast01).select(F.col("comp").alias("atom"))
+        state = keep(atoms.join(labels, "item_id"), "chain-state")
+        chosen = sorted(r.atom for r in picked.collect())
+        mine = F.broadcast(state.sparkSession.createDataFrame([(c,) for c in chosen], "atom long"))
+        own = state.join(mine, "atom", "left_semi")
+        cell_rows = own.groupBy("atom", "cat").count().collect()
+        masses = vectors(resp.join(own, "item_id"), ["atom", "cat"])
+        x = state.select(F.col("item_id").alias("s"), F.col("atom").alias("a_s"), F.col("cat").alias("c_s"))
+        y = state.select(F.col("item_id").alias("t"), F.col("atom").alias("a_t"), F.col("cat").alias("c_t"))
+        across = edges.join(x, "s").join(y, "t").where("a_s <> a_t").withColumn("w", F.log1p(-F.col("q")))
+        ends = across.select(F.col("a_s").alias("atom"), F.col("c_s").alias("cat"), F.col("a_t").alias("o_atom"), F.col("c_t").alias("o_cat"), "w").unionByName(across.select(F.col("a_t").alias("atom"), F.col("c_t").alias("cat"), F.col("a_s").alias("o_atom"), F.col("c_s").alias("o_cat"), "w"))
+        met = ends.join(mine, "atom", "left_semi").groupBy("atom", "cat", "o_atom", "o_cat").agg(F.sum("w").alias("w")).collect()
+        every = sorted({(r.atom, r.cat) for r in cell_rows} | {(r.o_atom, r.o_cat) for r in met})
+        place = {k: i for i, k in enumerate(every)}
+        size = np.zeros(len(every), np.int64)
+        for r in cell_rows:
+            size[place[r.atom, r.cat]] = r["count"]
+        met = sorted((place[r.atom, r.cat], place[r.o_atom, r.o_cat], r.w) for r in met)
+        ids = np.array(sorted({a for a, _ in every}), np.int64)
+        cells = Cells(
+            np.searchsorted(ids, [a for a, _ in every]), np.array([c for _, c in every], np.int64), size, {place[k]: masses.get(k, np.zeros(len(e_0))) for k in ((r.atom, r.cat) for r in cell_rows)},
+            (np.array([m[0] for m in met], np.int64), np.array([m[1] for m in met], np.int64), np.array([m[2] for m in met])),
+        )
+        moved, accepted, last, at_now = model.step(cells, np.searchsorted(ids, chosen).tolist(), ids, step)
+        if at_now:
+            moves = state.sparkSession.createDataFrame([(int(ids[a]), int(c)) for a, c in at_now.items()], "atom long, cat_to long")
+            labels = keep(state.join(F.broadcast(moves), "atom", "left").select("item_id", F.coalesce("cat_to", "cat").alias("cat")), "chain-labels")
+        trace.append((step, len(model.held), model.now, accepted, min(0.0, last), moved, state.select("atom").distinct().count()))
+        if model.now < best - 1e-9:
+            best, best_labels = model.now, labels
+    return trace, best_labels
 
 
 def best_labels(traces: DataFrame) -> DataFrame:
