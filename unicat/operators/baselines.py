@@ -6,6 +6,7 @@ graph; LDA is the library's. Starting values are keyed numbers.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -15,6 +16,15 @@ from ..sources.tables import keep
 from . import vocabulary
 
 
+#: The category of items that have no word: no method here can place them, so they are one of their own.
+WORDLESS = -1
+
+
+def with_wordless(assigned: DataFrame, items: DataFrame) -> DataFrame:
+    """item_id, cat of all items."""
+    return items.select("item_id").join(assigned.select("item_id", "cat"), "item_id", "left").select("item_id", F.coalesce("cat", F.lit(WORDLESS)).alias("cat"))
+
+
 def kmeans_items(resp: DataFrame, k: int, rounds: int, seed: int = 42) -> DataFrame:
     """item_id, cat."""
     v = resp.select("item_id", F.col("feat").alias("bin"), F.round("r", 6).alias("v"))
@@ -83,3 +93,77 @@ def affinity_propagation(similar: DataFrame, preference: float, rounds: int, dam
     near = m.join(exemplars, F.col("k") == F.col("e"), "left_semi").withColumn("u", F.when(F.col("i") == F.col("k"), float("inf")).otherwise(F.col("v")))
     best = near.groupBy("i").agg(F.max_by("k", F.struct("u", (-F.col("k")).alias("minus"))).alias("cat"))
     return m.select("i").distinct().join(best, "i", "left").select(F.col("i").alias("item_id"), F.coalesce("cat", "i").alias("cat"))
+
+
+def affinity_to(similar: DataFrame, categories: int, rounds: int = 40, damping: float = 0.7, tries: int = 8) -> DataFrame:
+    """Affinity propagation with the preference for which it finds a number of categories, or comes nearest to it, by
+    bisection between the least similarity times as many as there are items, and the greatest."""
+    low, high, n = similar.agg(F.min("v"), F.max("v"), F.count(F.lit(1))).first()
+    if not n:
+        return affinity_propagation(similar, 0.0, 1, damping)
+    low, best = 50 * low, None
+    for _ in range(tries):
+        middle = (low + high) / 2
+        got = keep(affinity_propagation(similar, middle, rounds, damping), "ap-try")
+        k = got.agg(F.countDistinct("cat")).first()[0]
+        if best is None or abs(k - categories) < best[0]:
+            best = abs(k - categories), got
+        if k == categories:
+            break
+        low, high = (middle, high) if k < categories else (low, middle)
+    return best[1]
+
+
+def affinity_matrix(v: np.ndarray, preference: float, rounds: int = 150, damping: float = 0.7) -> np.ndarray:
+    """The exemplar of each item from a whole matrix of similarities: the same messages as affinity_propagation()."""
+    n = len(v)
+    s = v.copy()
+    np.fill_diagonal(s, preference)
+    r, a, at = np.zeros((n, n)), np.zeros((n, n)), np.arange(n)
+    for _ in range(rounds):
+        x = a + s
+        first = x.argmax(axis=1)
+        top = x[at, first]
+        x[at, first] = -np.inf
+        second = x.max(axis=1)
+        new = s - top[:, None]
+        new[at, first] = s[at, first] - second
+        r = damping * r + (1 - damping) * new
+        plus = np.maximum(r, 0)
+        plus[at, at] = 0
+        total = plus.sum(axis=0)
+        new = np.minimum(0, (r[at, at] + total)[None, :] - plus)
+        new[at, at] = total
+        a = damping * a + (1 - damping) * new
+    own = np.flatnonzero(np.diag(r + a) > 0)
+    if not len(own):
+        return at
+    out = own[s[:, own].argmax(axis=1)]
+    out[own] = own
+    return out
+
+
+def affinity_local(pairs: DataFrame, items: DataFrame, categories: int, most: int = 5_000, tries: int = 14) -> DataFrame:
+    """item_id, cat by affinity propagation on the whole similarity -j of all pairs, with the preference for the number of
+    categories found by bisection. For at most so many items; larger sets take affinity_to() on a sparse graph."""
+    ids = np.sort(items.select("item_id").distinct().limit(most + 1).toArrow().column(0).to_numpy())
+    if len(ids) > most:
+        raise ValueError(f"more than {most} items: use affinity_to() on a sparse graph")
+    p = pairs.select("s", "t", "j").toArrow()
+    s, t, j = (p.column(i).to_numpy() for i in range(3))
+    v = np.full((len(ids), len(ids)), -float(j.max()) if len(j) else -1.0)  # items without a shared word are the farthest apart
+    s, t = np.searchsorted(ids, s), np.searchsorted(ids, t)
+    v[s, t] = v[t, s] = -j
+    # A little keyed noise, without which equal items swing for ever.
+    v += 1e-9 * np.random.default_rng(1).random(v.shape)
+    low, high, best = 400 * v.min(), v.max(), None
+    for _ in range(tries):
+        middle = (low + high) / 2 if low > 4 * v.min() else -np.sqrt(low * (4 * v.min()))
+        found = affinity_matrix(v, middle)
+        k = len(np.unique(found))
+        if best is None or abs(k - categories) < best[0]:
+            best = abs(k - categories), found
+        if k == categories:
+            break
+        low, high = (middle, high) if k < categories else (low, middle)
+    return items.sparkSession.createDataFrame([(int(i), int(ids[c])) for i, c in zip(ids, best[1], strict=True)], "item_id long, cat long")

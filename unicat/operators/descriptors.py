@@ -66,12 +66,13 @@ def _patched(rows: DataFrame, side: int, scale: int, patch: int) -> DataFrame:
     )
 
 
-def structural(rasters: DataFrame, side: int, scale: int = 0, patch: int = PATCH, weight: str = "magnitude") -> DataFrame:
-    """item_id, scale, patch, bin (cell * 8 + angle), v: orientation histograms, each patch summing to one (32 bins)."""
+def structural(rasters: DataFrame, side: int, scale: int = 0, patch: int = PATCH, weight: str = "magnitude", norm: str = "l1") -> DataFrame:
+    """item_id, scale, patch, bin (cell * 8 + angle), v: orientation histograms (32 bins) of magnitudes or counts, each patch
+    summing to one (l1), of length one (l2) or as it is (none)."""
     size = F.sqrt(F.col("gx") * F.col("gx") + F.col("gy") * F.col("gy")) if weight == "magnitude" else F.lit(1.0)
     g = _patched(gradients(rasters, side), side, scale, patch).where("gx <> 0 or gy <> 0")
     h = g.groupBy("item_id", "scale", "patch", (F.col("cell") * ANGLES + octant(F.col("gx"), F.col("gy"))).alias("bin")).agg(F.sum(size).alias("m"))
-    return _shares(h)
+    return _shares(h, norm)
 
 
 def texture(rasters: DataFrame, side: int, scale: int = 0, patch: int = PATCH, threshold: float = 1.0) -> DataFrame:
@@ -80,8 +81,11 @@ def texture(rasters: DataFrame, side: int, scale: int = 0, patch: int = PATCH, t
     return _shares(c.groupBy("item_id", "scale", "patch", (F.col("cell") * CODES + F.col("code")).alias("bin")).agg(F.count(F.lit(1)).cast("double").alias("m")))
 
 
-def _shares(h: DataFrame) -> DataFrame:
-    total = h.groupBy("item_id", "scale", "patch").agg(F.sum("m").alias("total"))
+def _shares(h: DataFrame, norm: str = "l1") -> DataFrame:
+    if norm == "none":
+        return h.withColumnRenamed("m", "v")
+    size = F.sum("m") if norm == "l1" else F.sqrt(F.sum(F.col("m") * F.col("m")))
+    total = h.groupBy("item_id", "scale", "patch").agg(size.alias("total"))
     return h.join(total, ["item_id", "scale", "patch"]).select("item_id", "scale", "patch", "bin", (F.col("m") / F.col("total")).alias("v"))
 
 

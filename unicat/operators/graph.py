@@ -6,7 +6,8 @@ two numbers for each item:
     cross(s, t) = ln(eps / Z_t) + eps / Z_s * A_t + 1 / Z_s * sum over shared words of r_s * ln(1 + r_t / eps)
     J(s, t) = cross(s, s) + cross(t, t) - cross(s, t) - cross(t, s),   A_t = sum of ln(1 + r_t / eps)
 
-so the pairs come from an equi-join on words, and no pair of items without a shared word is ever formed.
+so the pairs come from an equi-join on words. Where words are so common that nearly all items share one, pair_divergences()
+takes the pairs that candidate_pairs() finds instead.
 """
 
 from __future__ import annotations
@@ -129,20 +130,54 @@ def components(edges: DataFrame, vertices: DataFrame) -> DataFrame:
         labels = keep(hooked.join(up, "new", "left").select("item_id", F.least("new", F.coalesce("above", "new")).alias("cp")), "cc-labels")
 
 
-def candidate_pairs(resp: DataFrame, method: str = "rare_words", most_items: int = 200, bands: int = 8, rows: int = 2, seed: int = 42) -> DataFrame:
-    """s, t: pairs worth a divergence. rare_words: a shared word in at most most_items items. minhash: equal minima of
-    keyed hashes in a band. Each pair of a bucket is formed only here; buckets over most_items are left to the other
-    method, which recall against the full graph measures."""
-    if method == "rare_words":
-        rare = resp.groupBy("feat").agg(F.count(F.lit(1)).alias("d")).where(F.col("d") <= most_items).select("feat")
-        keys = resp.join(F.broadcast(rare), "feat").select("item_id", F.col("feat").cast("string").alias("bucket"))
-    else:
-        hashed = [F.min(F.xxhash64(F.lit(seed), F.lit(i), "feat")).alias(f"m{i}") for i in range(bands * rows)]
-        mins = resp.groupBy("item_id").agg(*hashed)
-        keys = mins.select("item_id", F.explode(F.array(*[F.concat_ws("|", F.lit(b), *[f"m{b * rows + i}" for i in range(rows)]) for b in range(bands)])).alias("bucket"))
-        small = keys.groupBy("bucket").agg(F.count(F.lit(1)).alias("d")).where(F.col("d") <= most_items).select("bucket")
-        keys = keys.join(small, "bucket")
-    a, b = keys.select("bucket", F.col("item_id").alias("s")), keys.select("bucket", F.col("item_id").alias("t"))
+def pair_divergences(resp: DataFrame, pairs: DataFrame, dims: int, eps: float = 1e-2) -> DataFrame:
+    """s, t, j of the given pairs (s, t): the items' words meet as sorted arrays, one row a pair, so nothing is formed for
+    words that many items have."""
+    scalars = item_scalars(resp, dims, eps)
+    words = resp.groupBy("item_id").agg(F.map_from_entries(F.collect_list(F.struct("feat", "r"))).alias("m"))
+    items = keep(words.join(scalars, "item_id"), "pair-items")
+    x = items.select(F.col("item_id").alias("s"), F.col("m").alias("m_s"), F.col("z").alias("z_s"), F.col("a").alias("a_s"), F.col("h").alias("h_s"))
+    y = items.select(F.col("item_id").alias("t"), F.col("m").alias("m_t"), F.col("z").alias("z_t"), F.col("a").alias("a_t"), F.col("h").alias("h_t"))
+    both = pairs.join(x, "s").join(y, "t")
+    common = F.array_intersect(F.map_keys("m_s"), F.map_keys("m_t"))
+    add = lambda u, v: F.aggregate(common, F.lit(0.0), lambda acc, f: acc + F.col(u)[f] * F.log(1 + F.col(v)[f] / eps))
+    cross_st = F.log(eps / F.col("z_t")) + eps / F.col("z_s") * F.col("a_t") + add("m_s", "m_t") / F.col("z_s")
+    cross_ts = F.log(eps / F.col("z_s")) + eps / F.col("z_t") * F.col("a_s") + add("m_t", "m_s") / F.col("z_t")
+    return both.select("s", "t", F.greatest(F.lit(0.0), F.col("h_s") + F.col("h_t") - cross_st - cross_ts).alias("j"))
+
+
+def candidate_pairs(resp: DataFrame, method: str = "both", most_items: int = 300, bands: int = 40, seed: int = 42) -> DataFrame:
+    """s, t: pairs worth a divergence. rare_words: a shared word. minhash: an equal weighted minimum of keyed hashes, words
+    with great responses counting more; both: either.
+
+    A bucket of more than most_items items is split by a further minimum, again and again, so no item is left out and
+    no bucket makes more than most_items squared pairs; what a split loses shows in the recall against all pairs."""
+    def lowest(i):
+        # Exponential races: the word of the lowest -ln(u) / r wins with a probability in proportion to r.
+        u = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit(i), "feat"), 11).cast("double") + 0.5) * F.lit(2.0**-53)
+        return F.min_by("feat", -F.log(u) / F.col("r"))
+
+    depth = 3
+    mins = keep(resp.groupBy("item_id").agg(*[lowest(i).alias(f"m{i}") for i in range(bands + depth)]), "candidate-minima")
+    keys = None
+    if method in ("rare_words", "both"):
+        keys = resp.select("item_id", F.concat(F.lit("w"), F.col("feat")).alias("bucket"))
+    if method in ("minhash", "both"):
+        own = mins.select("item_id", F.explode(F.array(*[F.concat(F.lit(f"h{b}|"), F.col(f"m{b}")) for b in range(bands)])).alias("bucket"))
+        keys = own if keys is None else keys.unionByName(own)
+    extra = mins.select("item_id", F.array(*[F.col(f"m{bands + d}") for d in range(depth)]).alias("extra"))
+    done, left = None, keep(keys, "candidate-keys")
+    for d in range(depth + 1):
+        size = left.groupBy("bucket").agg(F.count(F.lit(1)).alias("d"))
+        small = left.join(size.where(F.col("d") <= most_items).select("bucket"), "bucket", "left_semi")
+        done = small if done is None else done.unionByName(small)
+        large = left.join(size.where(F.col("d") > most_items).select("bucket"), "bucket", "left_semi")
+        if d < depth:
+            left = keep(large.join(extra, "item_id").select("item_id", F.concat_ws("|", "bucket", F.col("extra")[d].cast("string")).alias("bucket")), "candidate-keys")
+        else:  # what is still too large: parts of most_items by a hash of the item
+            parts = large.join(size, "bucket").select("item_id", F.concat_ws("|", "bucket", F.pmod(F.xxhash64("item_id"), F.ceil(F.col("d") / most_items)).cast("string")).alias("bucket"))
+            done = done.unionByName(parts)
+    a, b = done.select("bucket", F.col("item_id").alias("s")), done.select("bucket", F.col("item_id").alias("t"))
     return a.join(b, "bucket").where("s < t").select("s", "t").distinct()
 
 

@@ -85,11 +85,12 @@ def pursue_sequential(resp: DataFrame, labels: DataFrame, reference: DataFrame,
     return chosen
 
 
-def item_loglik(resp: DataFrame, models: DataFrame) -> DataFrame:
-    """item_id, cat, ll: log of the model over the initial model, for every item and category."""
+def item_loglik(resp: DataFrame, models: DataFrame, items: DataFrame | None = None) -> DataFrame:
+    """item_id, cat, ll: log of the model over the initial model, for every item and category: as many rows as both make,
+    which is what assignment and unfitness need while categories are few. items: all items, those without a word too."""
     base = models.groupBy("cat").agg(F.sum(-F.log("z")).alias("base"))
     hits = resp.join(F.broadcast(models.select("cat", "feat", "lambda")), "feat").groupBy("item_id", "cat").agg(F.sum(F.col("lambda") * F.col("r")).alias("score"))
-    every = resp.select("item_id").distinct().crossJoin(F.broadcast(base))
+    every = (resp if items is None else items).select("item_id").distinct().crossJoin(F.broadcast(base))
     return every.join(hits, ["item_id", "cat"], "left").select("item_id", "cat", (F.col("base") + F.coalesce("score", F.lit(0.0))).alias("ll"))
 
 

@@ -95,21 +95,25 @@ def moved_labels(labels: DataFrame, parts: DataFrame, moves: DataFrame) -> DataF
 
 def single_step(resp: DataFrame, edges: DataFrame, labels: DataFrame, reference: DataFrame, params: Params, step: int) -> tuple[DataFrame, DataFrame]:
     """One whole single-cut step by DataFrames: (report, labels if accepted). The report has one row."""
-    on = graph.draw_edges(edges, labels, params.seed, step)
-    parts = graph.components(on, labels)
-    move = propose_label(pick_component(parts, params.seed, step), parts, labels, params.seed, step)
+    parts = graph.components(graph.draw_edges(edges, labels, params.seed, step), labels)
+    return atom_step(resp, edges, labels, parts, reference, params, step)
+
+
+def atom_step(resp: DataFrame, edges: DataFrame, labels: DataFrame, parts: DataFrame, reference: DataFrame, params: Params, step: int, factor: float = 1.0) -> tuple[DataFrame, DataFrame]:
+    """The rest of a step whose atoms (item_id, cp) are given: one is picked and moved. factor: 2 for composites within a
+    label, whose second level of cuts equals the first."""
+    move = keep(propose_label(pick_component(parts, params.seed, step), parts, labels, params.seed, step), "move")
     after = moved_labels(labels, parts, move)
-    beta = params.beta
 
     def total(state, name):
         m = posterior.select_words(posterior.category_means(resp, state), reference, params.model_words, params.rule)
-        return posterior.energy(m, beta).select(F.col("k").alias(f"k_{name}"), F.col("energy").alias(f"energy_{name}"))
+        return posterior.energy(m, params.beta).select(F.col("k").alias(f"k_{name}"), F.col("energy").alias(f"energy_{name}"))
 
-    ratio = log_cut_ratio(edges, parts, labels, move)
+    ratio = log_cut_ratio(edges, parts, labels, move).withColumn("log_ratio", factor * F.col("log_ratio"))
     one = move.join(ratio, "cp").crossJoin(total(labels, "before")).crossJoin(total(after, "after"))
     labels_ratio = F.log((F.col("k_before") + 1) / (F.col("k_after") + 1)) if params.fidelity == "reversible" else F.lit(0.0)
     log_alpha = F.least(F.lit(0.0), F.col("log_ratio") + labels_ratio + F.col("energy_before") - F.col("energy_after"))
-    report = one.select("cp", "cat_from", "cat_to", "k_before", "k_after", "energy_before", "energy_after", log_alpha.alias("log_alpha"), (F.log(u01(params.seed, step, "a")) < log_alpha).alias("accepted"))
+    report = one.select("cp", "cat_from", "cat_to", "k_before", "k_after", "log_ratio", "energy_before", "energy_after", log_alpha.alias("log_alpha"), (F.log(u01(params.seed, step, "a")) < log_alpha).alias("accepted"))
     return report, after
 
 

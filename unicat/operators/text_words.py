@@ -5,6 +5,8 @@ Both become sparse responses (item_id, feat, wtype, r) with 0 < r < 1; absent wo
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -29,7 +31,7 @@ def saturate(n: Column, kind: str = "zero_sigmoid", s: float = SATURATION) -> Co
 
 def tokens(items: DataFrame) -> DataFrame:
     """item_id, w: the letter sequences of each text, lower-cased, one row for each occurrence."""
-    return items.select("item_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w"))
+    return spread(items).select("item_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w"))
 
 
 def token_dictionary(items: DataFrame, m: int = TOKENS, most: float = MOST_ITEMS) -> DataFrame:
@@ -45,26 +47,45 @@ def token_counts(items: DataFrame, dictionary: DataFrame) -> DataFrame:
     return tokens(items).join(F.broadcast(dictionary), "w").groupBy("item_id", "feat").agg(F.count(F.lit(1)).alias("n"))
 
 
+def spread(items: DataFrame) -> DataFrame:
+    """A table of few partitions, such as one small file, dealt over all cores; a larger one stays as it is."""
+    cores = items.sparkSession.sparkContext.defaultParallelism
+    return items.repartition(4 * cores, "item_id") if items.rdd.getNumPartitions() <= 2 * cores else items
+
+
+def codes_of(text: str) -> np.ndarray:
+    """Counts by quarter of the text and code. The code of a place compares the four code points before it with the four
+    after it, nearest first: bit i is set if the one before is greater by more than one."""
+    p = np.frombuffer(text.encode("utf-32-le"), np.int32)
+    n = len(p)
+    code = np.zeros(n - 8, np.int64)
+    for k in range(4):
+        code |= (p[3 - k : n - 5 - k] - p[5 + k : n - 3 + k] > 1).astype(np.int64) << k
+    return np.bincount(np.arange(4, n - 4) * QUARTERS // n * CODES + code, minlength=TEXTURE)
+
+
 def texture_counts(items: DataFrame) -> DataFrame:
-    """item_id, feat (code, then quarter of the text), n. The code of a place compares the four code points before it with
-    the four after it, nearest first: bit i is set if the one before is greater by more than one."""
-    points = F.transform(F.filter(F.split(F.col("text"), ""), lambda c: c != ""), lambda c: F.ascii(c))
-    at = items.select("item_id", points.alias("p")).where(F.size("p") >= 9).withColumn("size", F.size("p"))
-    code = F.transform(F.sequence(F.lit(4), F.col("size") - 5), lambda i: F.struct(_code(i).alias("code"), F.floor(i * QUARTERS / F.col("size")).cast("int").alias("quarter")))
-    e = at.select("item_id", F.explode(code).alias("c"))
-    return e.groupBy("item_id", (F.col("c.quarter") * CODES + F.col("c.code")).alias("feat")).agg(F.count(F.lit(1)).alias("n"))
+    """item_id, feat (code, then quarter of the text), n, by shifted arrays of code points; a text's counts leave its task
+    added up. Texts of fewer than nine code points have none."""
 
+    def run(batches):
+        for b in batches:
+            for i, x in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                text = x.as_py()
+                if text is not None and len(text) >= 9:
+                    n = codes_of(text)
+                    at = np.flatnonzero(n)
+                    yield pa.RecordBatch.from_arrays([pa.array([i] * len(at), pa.int64()), pa.array(at.astype(np.int32)), pa.array(n[at])], ["item_id", "feat", "n"])
 
-def _code(i: Column) -> Column:
-    p = F.col("p")
-    return sum((F.when(p[i - k - 1] - p[i + k + 1] > 1, 1 << k).otherwise(0) for k in range(4)), F.lit(0))
+    rows = spread(items.select(F.col("item_id").cast("long"), "text")).mapInArrow(run, "item_id long, feat int, n long")
+    return rows.groupBy("item_id", "feat").agg(F.sum("n").alias("n"))
 
 
-def text_responses(items: DataFrame, m: int = TOKENS, types: tuple[str, ...] = ("S", "T"), s: float = SATURATION) -> DataFrame:
-    """item_id, feat, wtype, r. Texture counts are scaled to a mean of one a word first, else they would measure length."""
+def text_responses(items: DataFrame, m: int = TOKENS, types: tuple[str, ...] = ("S", "T"), s: float = SATURATION, dictionary: DataFrame | None = None) -> DataFrame:
+    """item_id, feat, wtype, r. The dictionary is made from the items unless a frozen one is given. Texture counts are scaled to a mean of one a word first, else they would measure length."""
     out = None
     if "S" in types:
-        out = token_counts(items, token_dictionary(items, m)).select("item_id", F.col("feat").cast("int").alias("feat"), F.lit("S").alias("wtype"), saturate(F.col("n"), s=s).alias("r"))
+        out = token_counts(items, token_dictionary(items, m) if dictionary is None else dictionary).select("item_id", F.col("feat").cast("int").alias("feat"), F.lit("S").alias("wtype"), saturate(F.col("n"), s=s).alias("r"))
     if "T" in types:
         counts = texture_counts(items)
         share = F.col("n") * TEXTURE / F.sum("n").over(Window.partitionBy("item_id"))
@@ -73,6 +94,26 @@ def text_responses(items: DataFrame, m: int = TOKENS, types: tuple[str, ...] = (
     return out
 
 
+def block_counts(items: DataFrame, dictionary: DataFrame) -> DataFrame:
+    """item_id, block, feat, n over nine blocks of a text, as a raster has: the whole, its quarters at the finest scale (all
+    tokens), and its quarters at the next (every second token)."""
+    words = F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), F.lit(1))
+    rows = spread(items).select("item_id", words.alias("all")).select("item_id", F.size("all").alias("size"), F.posexplode("all").alias("i", "w"))
+    quarter = F.floor(F.col("i") * 4 / F.col("size")).cast("int")
+    found = rows.join(F.broadcast(dictionary), "w").select("item_id", "feat", F.explode(F.when(F.col("i") % 2 == 0, F.array(F.lit(0), 1 + quarter, 5 + quarter)).otherwise(F.array(F.lit(0), 1 + quarter))).alias("block"))
+    return found.groupBy("item_id", "block", "feat").agg(F.count(F.lit(1)).alias("n"))
+
+
+def block_responses(items: DataFrame, m: int = TOKENS, types: tuple[str, ...] = ("S", "T"), s: float = SATURATION) -> DataFrame:
+    """As text_responses(), with the tokens over nine blocks: feat is block * m + word, and texture follows from 9 * m."""
+    out = text_responses(items, m, ("T",), s).withColumn("feat", (F.col("feat") + 8 * m).cast("int")) if "T" in types else None
+    if "S" in types:
+        counts = block_counts(items, token_dictionary(items, m))
+        r = counts.select("item_id", (F.col("block") * m + F.col("feat")).cast("int").alias("feat"), F.lit("S").alias("wtype"), saturate(F.col("n"), s=s).alias("r"))
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
 #: The same as DuckDB CTEs over a table items(item_id, text): tok, dict, cnt_s, cnt_t, resp.
 def text_sql(items: str, m: int = TOKENS) -> str:
     return rf"""

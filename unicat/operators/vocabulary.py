@@ -1,10 +1,14 @@
 """Visual words: k-means over patch descriptors, and matching of patches to words.
 
 Vectors are long rows (key, bin, v) with zeros left out. Centroids are k rows of at most 128 numbers and are broadcast.
+match() and learned() are for dictionaries of hundreds of words: each patch is one row and meets all words in a matrix
+product of its batch, so nothing of patches times words is shuffled. The other forms are plain joins, which SQL can repeat.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -53,6 +57,59 @@ def lloyd(vectors: DataFrame, key: str, k: int, rounds: int, seed: int = 42) ->
     return centroids
 
 
+def dense(vectors: DataFrame, key: str, dims: int) -> DataFrame:
+    """key, x: one array of all bins for each key."""
+    held = F.map_from_entries(F.collect_list(F.struct("bin", "v")))
+    m = vectors.groupBy(key).agg(held.alias("m"))
+    return m.select(F.col(key).cast("long").alias(key), F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.coalesce(F.col("m")[i], F.lit(0.0))).alias("x"))
+
+
+def learned(vectors: DataFrame, key: str, k: int, dims: int, rounds: int = 10, seed: int = 42) -> np.ndarray:
+    """Centroids (k by dims) by rounds over all vectors: each task sums its vectors by nearest word, and k rows of sums and
+    counts come to the driver. Starts from k keyed vectors; a word that loses all keeps its centroid."""
+    rows = keep(dense(vectors, key, dims), "dense-vectors")
+    first = rows.join(F.broadcast(sample_keys(rows, key, k, seed)), key, "left_semi").orderBy(key).toArrow()
+    words = np.array(first.column(1).to_pylist(), float).reshape(-1, dims)
+    sc = vectors.sparkSession.sparkContext
+    for _ in range(rounds if len(words) else 0):
+        held = sc.broadcast(words)
+
+        def add(batches, held=held):
+            total = np.zeros((len(held.value), dims + 1))
+            for b in batches:
+                x = b.column(1).flatten().to_numpy().reshape(-1, dims)
+                np.add.at(total, _nearest(x, held.value), np.column_stack([x, np.ones(len(x))]))
+            at = np.flatnonzero(total[:, -1])
+            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at].tolist(), pa.list_(pa.float64()))], ["word", "total"])
+
+        sums = rows.mapInArrow(add, "word long, total array<double>").groupBy("word").agg(*[F.sum(F.col("total")[i]).alias(f"x{i}") for i in range(dims + 1)]).toArrow()
+        new = words.copy()
+        if sums.num_rows:
+            x = np.column_stack([sums.column(i + 1).to_numpy() for i in range(dims + 1)])
+            new[sums.column(0).to_numpy()] = np.round(x[:, :-1] / x[:, -1:], 6)
+        if np.array_equal(new, words):
+            break
+        words = new
+    return words
+
+
+def _nearest(x: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """The nearest word of each vector, ties to the lower word."""
+    return np.argmin(np.round((words * words).sum(axis=1)[None, :] - 2 * x @ words.T, 9), axis=1)
+
+
+def match(vectors: DataFrame, words: np.ndarray, key: str, dims: int) -> DataFrame:
+    """key, word: the nearest one."""
+    held = vectors.sparkSession.sparkContext.broadcast(words)
+
+    def run(batches):
+        for b in batches:
+            x = b.column(1).flatten().to_numpy().reshape(-1, dims)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_nearest(x, held.value) if len(held.value) else np.zeros(len(x), np.int64))], [key, "word"])
+
+    return dense(vectors, key, dims).mapInArrow(run, f"{key} long, word long")
+
+
 def lloyd_sql(vectors: str, key: str, k: int, rounds: int, draw: str) -> str:
     """DuckDB CTEs c0 .. c<rounds> over a CTE with (key, bin, v); draw is the keyed number of a key."""
     out = f"""

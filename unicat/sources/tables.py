@@ -7,11 +7,36 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..schemas import GIVEN, checked
+
+#: A setting of the session: whether a query's shuffle files go when it ends.
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _local: str | None = None
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return checked(df, GIVEN[name], name) if name in GIVEN else df
+
+
+def file_system(spark: SparkSession, path: str):
+    """Hadoop's file system of a path, and the path."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
+
+
+def stamp(spark: SparkSession, sf_dir: str) -> int:
+    """Changes when a table of the folder does: a hash of names, sizes and times."""
+    fs, where = file_system(spark, sf_dir)
+    return hash(tuple(sorted((x.getPath().getName(), x.getLen(), x.getModificationTime()) for x in fs.listStatus(where))))
+
+
+def new_path(spark: SparkSession, tag: str) -> str:
+    """A path in the shared folder that no other call has; what is there goes when the driver's JVM ends."""
+    path = f"{shared_root(spark)}/unicat-core/{uuid.uuid4().hex}-{tag}"
+    fs, where = file_system(spark, path)
+    fs.deleteOnExit(where)
+    return path
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -28,7 +53,13 @@ def shared_root(spark: SparkSession) -> str:
 
 
 def keep(df: DataFrame, tag: str) -> DataFrame:
-    """Writes a table to the shared folder and reads it again, which cuts lineage and outlives lost executors."""
-    path = f"{shared_root(df.sparkSession)}/unicat-core/{uuid.uuid4().hex}-{tag}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    """Writes a table to the shared folder and reads it again, which cuts lineage and outlives lost executors. The files of
+    the shuffles behind it go as soon as it is written."""
+    spark, path = df.sparkSession, new_path(df.sparkSession, tag)
+    before = spark.conf.get(_CLEAN, "false")
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEAN, before)
+    return spark.read.schema(df.schema).parquet(path)

@@ -6,23 +6,19 @@ from pyspark.sql import functions as F
 
 from ..operators import baselines as ba
 from ..operators import descriptors as de
-from ..operators import graph, measures, sampler
 from ..operators import text_words as tw
 from ..operators import vocabulary as vo
-from ..params import Params
 from ..registry import query
 from ..rng import u01_sql
-from ..sources.tables import table
-from . import chain_queries as ch
 from . import raster_queries as ra
 from . import text_queries as q
 
 VEC = q.TEXT + ", rv AS (SELECT item_id, feat AS bin, round(r, 6) AS v FROM resp)"
 
 
-@query("b01_kmeans_sql", VEC + "," + vo.lloyd_sql("rv", "item_id", 4, 3, u01_sql("42", "item_id")) + " SELECT item_id, word::INT AS cat FROM a3")
+@query("b01_kmeans_sql", VEC + "," + vo.lloyd_sql("rv", "item_id", 4, 3, u01_sql("42", "item_id")) + " SELECT item_id, coalesce(word, -1)::INT AS cat FROM items LEFT JOIN a3 USING (item_id)")
 def b01(spark, sf_dir):
-    return ba.kmeans_items(q.responses(spark, sf_dir), 4, 3)
+    return ba.with_wordless(ba.kmeans_items(q.responses(spark, sf_dir), 4, 3), q.items(spark, sf_dir))
 
 
 G = ra.OCT + ", gg AS (SELECT item_id, ((y // 8) * 4 + x // 8) * 8 + o AS bin, sum(gx * gx + gy * gy) AS e FROM oct GROUP BY ALL), gv AS (SELECT item_id, bin, round(e / sum(e) OVER (PARTITION BY item_id), 6) AS v FROM gg)"
@@ -50,7 +46,7 @@ p0 AS (SELECT item_id, z, d / sum(d) OVER (PARTITION BY item_id) AS d FROM (SELE
 e{i} AS (SELECT item_id, feat, z, n * w * d / sum(w * d) OVER (PARTITION BY item_id, feat) AS m FROM cnt_s JOIN w{i} USING (feat) JOIN p{i} USING (item_id, z)),
 w{i + 1} AS (SELECT feat, z, w / sum(w) OVER (PARTITION BY z) AS w FROM (SELECT feat, z, sum(m) AS w FROM e{i} GROUP BY ALL)),
 p{i + 1} AS (SELECT item_id, z, d / sum(d) OVER (PARTITION BY item_id) AS d FROM (SELECT item_id, z, sum(m) AS d FROM e{i} GROUP BY ALL))"""
-    return out + f" SELECT item_id, arg_max(z, (round(d, 9), -z))::INT AS cat FROM p{rounds} GROUP BY item_id"
+    return out + f" SELECT item_id, coalesce(z, -1)::INT AS cat FROM items LEFT JOIN (SELECT item_id, arg_max(z, (round(d, 9), -z)) AS z FROM p{rounds} GROUP BY item_id) USING (item_id)"
 
 
 def token_counts(spark, sf_dir):
@@ -63,95 +59,15 @@ def token_counts(spark, sf_dir):
 
 @query("b03_plsa_rounds", _plsa_sql(4, 2))
 def b03(spark, sf_dir):
-    return ba.plsa(token_counts(spark, sf_dir), 4, 2)
+    return ba.with_wordless(ba.plsa(token_counts(spark, sf_dir), 4, 2), q.items(spark, sf_dir))
 
 
 @query("b04_lda")
 def b04(spark, sf_dir):
-    return ba.lda(token_counts(spark, sf_dir), 4)
+    return ba.with_wordless(ba.lda(token_counts(spark, sf_dir), 4), q.items(spark, sf_dir))
 
 
 @query("b05_affinity_propagation")
 def b05(spark, sf_dir):
     s = q.edges(spark, sf_dir).select("s", "t", F.round(F.log("q"), 9).alias("v"))
-    return ba.affinity_propagation(s, -2.0, 8)
-
-
-def _row(assigned, truth, name):
-    a = assigned.join(truth, "item_id").select("item_id", "truth", "cat")
-    p = measures.purity(a).crossJoin(measures.conditional_entropy(a)).crossJoin(a.agg(F.countDistinct("cat").alias("k")))
-    return p.select(F.lit(name).alias("method"), "k", F.round("purity", 4).alias("purity"), F.round("cond_entropy", 4).alias("cond_entropy"))
-
-
-def _grid(rows):
-    out = rows[0]
-    for r in rows[1:]:
-        out = out.unionByName(r)
-    return out
-
-
-@query("w01_w02_text")
-def w01(spark, sf_dir):
-    """Purity and conditional entropy of every method on the documents, against their languages."""
-    truth = ch.text_items(spark, sf_dir).select("item_id", "truth")
-    resp = q.responses(spark, sf_dir)
-    rows = [
-        _row(ba.kmeans_items(resp, 4, 8), truth, "k-means"),
-        _row(ba.plsa(token_counts(spark, sf_dir), 4, 15), truth, "pLSA"),
-        _row(b04(spark, sf_dir), truth, "LDA"),
-        _row(b05(spark, sf_dir), truth, "affinity propagation"),
-    ]
-    for types, name in ((("S", "T"), "sampler, both"), (("S",), "sampler, structural"), (("T",), "sampler, texture")):
-        traces, _ = ch.text_chains(spark, sf_dir, ch.CHAIN, [1], types=types)
-        rows.append(_row(sampler.best_labels(traces).select("item_id", "cat"), truth, name))
-    return _grid(rows)
-
-
-def planted_truth(spark, sf_dir):
-    return table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("item_id"), F.col("label").cast("string").alias("truth"))
-
-
-def planted_chain(spark, sf_dir, types=("S", "T"), k: int = 24, steps: int = 500, move: str = "composite"):
-    import numpy as np
-
-    resp = q.held(spark, sf_dir, f"planted-resp-{k}-{''.join(types)}", lambda: ra.planted_responses(spark, sf_dir, k, types))
-    dims = 5 * k * len(types)
-    pairs = q.held(spark, sf_dir, f"planted-pairs-{k}-{''.join(types)}", lambda: graph.symmetric_kl(resp, dims))
-    edges = q.held(spark, sf_dir, f"planted-edges-{k}-{''.join(types)}", lambda: graph.nearest(graph.edges_of(pairs, 1.0)))
-    e_0 = np.full(dims, max(1e-3, resp.agg(F.sum("r")).first()[0] / (dims * max(1, resp.select("item_id").distinct().count()))))
-    return sampler.run_chains(spark, resp, edges, dims, e_0, Params(tau=1.0, beta=100.0, steps=steps, patience=250, move=move), [1])
-
-
-@query("w01_w02_planted")
-def w01_planted(spark, sf_dir):
-    """The same on planted rasters, against their labels."""
-    truth = planted_truth(spark, sf_dir)
-    resp = q.held(spark, sf_dir, "planted-resp-24-ST", lambda: ra.planted_responses(spark, sf_dir))
-    rows = [_row(ba.kmeans_items(resp, 10, 8), truth, "k-means"), _row(ba.kmeans_items(global_vectors(spark, sf_dir), 10, 8), truth, "k-means on global gradients")]
-    for types, name in ((("S", "T"), "sampler, both"), (("S",), "sampler, structural"), (("T",), "sampler, texture")):
-        rows.append(_row(sampler.best_labels(planted_chain(spark, sf_dir, types)).select("item_id", "cat"), truth, name))
-    return _grid(rows)
-
-
-@query("w06_steps_by_items")
-def w06(spark, sf_dir):
-    """Steps to converge with growing shares of the items: keyed samples of the documents."""
-    from ..rng import u01
-
-    items = ch.text_items(spark, sf_dir)
-    out = None
-    for share in (0.25, 0.5, 1.0):
-        part = items.where(u01(42, "sample", F.col("item_id")) < share)
-        resp = q.held(spark, sf_dir, f"w6-{share}", lambda part=part: tw.text_responses(part.select("item_id", "text")))
-        edges = q.held(spark, sf_dir, f"w6e-{share}", lambda resp=resp: graph.nearest(graph.edges_of(graph.symmetric_kl(resp, q.DIMS), ch.CHAIN.tau)))
-        traces = sampler.run_chains(spark, resp, edges, q.DIMS, ch.reference_vector(resp, part.count(), 200, 64), ch.CHAIN, [1, 2])
-        s = measures.convergence_step(traces.where("step >= 0").select("chain", "step", "energy")).select(F.lit(share).alias("share"), "chain", "step")
-        out = s if out is None else out.unionByName(s)
-    return out
-
-
-@query("w11_negative_control")
-def w11(spark, sf_dir):
-    """k-means on raw embeddings, which carry no signal: purity near chance."""
-    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("item_id"), F.posexplode("embedding").alias("feat", "r")).withColumn("r", F.col("r").cast("double"))
-    return _row(ba.kmeans_items(e, 10, 5), planted_truth(spark, sf_dir), "k-means on raw embeddings")
+    return ba.with_wordless(ba.affinity_propagation(s, -2.0, 8), q.items(spark, sf_dir))

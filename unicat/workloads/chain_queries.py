@@ -1,23 +1,19 @@
-"""Queries of the samplers: one-step kernels on the fixed state with DuckDB twins, whole chains, and the experiments."""
+"""Queries of the samplers' kernels: one step on fixed states, with DuckDB twins."""
 
 from __future__ import annotations
 
+import re
 from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import graph, measures, posterior, sampler
-from ..operators import text_words as tw
+from ..operators import graph, posterior, sampler
 from ..params import Params
 from ..registry import query
 from ..rng import u01_sql
-from ..sources.tables import table
 from . import text_queries as q
 
-#: On these texts, divergences are a tenth of those of images, so tau is ten times the published 0.2.
-CHAIN = Params(tau=2.0, steps=600, patience=200)
-
 
 # One step on the fixed state
 
@@ -172,158 +168,102 @@ def p11(spark, sf_dir):
     return d.select((F.col("k_a") + F.col("k_rest")).alias("k_before"), (F.col("k_b") + F.col("k_rest")).alias("k_after"), F.round(F.col("e_b") - F.col("e_a"), 5).alias("delta"))
 
 
-# Chains and experiments
-
-
-def reference_vector(resp: DataFrame, n: int, m: int, texture: int):
-    """E_0 of every feature, uniform over the words of a type."""
-    import numpy as np
-
-    e = {r.wtype: r.e_0 for r in posterior.reference_means(resp, n, {"S": m, "T": texture}).collect()}
-    return np.array([e.get("S", 0.5)] * m + [e.get("T", 0.5)] * texture)
-
-
-def text_items(spark, sf_dir, web: bool = False) -> DataFrame:
-    """item_id, text, truth. web adds the pages without their tags, as categories of their own."""
-    d = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"), F.concat(F.lit("doc-"), F.col("lang")).alias("truth"))
-    if not web:
-        return d
-    bare = F.regexp_replace(F.regexp_replace(F.col("html"), r"(?s)<(script|style)[^>]*>.*?</\1>", " "), r"<[^>]*>", " ")
-    p = table(spark, sf_dir, "pages").select((F.col("page_id") + 10_000_000).alias("item_id"), F.trim(bare).alias("text"), F.concat(F.lit("page-"), F.regexp_extract("html", r'lang="(\w+)"', 1)).alias("truth"))
-    return d.unionByName(p)
+# The same kernels on a second state: a greater tau, so that not every edge is on, and the keyed guess as labels, so that
+# edges of one label cross components and a move can change the number of categories.
+SEED2, TAU2 = 61, 2.0
+ON2 = q.TEXT + "," + graph.graph_sql(q.DIMS, tau=TAU2) + "," + "labels_now AS (SELECT item_id, cat FROM (" + q.GUESS_SQL + " SELECT item_id, cat FROM assigned))," + q.ON.split(q.LABELS_SQL + ",")[1]
 
 
-def text_chains(spark, sf_dir, params: Params, seeds: list[int], web: bool = False, types=("S", "T"), m: int = tw.TOKENS):
-    """(traces, truth) of chains over text items."""
-    items = q.held(spark, sf_dir, f"items-{web}", lambda: text_items(spark, sf_dir, web))
-    resp = q.held(spark, sf_dir, f"resp-{web}-{m}-{''.join(types)}", lambda: tw.text_responses(items.select("item_id", "text"), m, types))
-    dims = m + tw.TEXTURE
-    edges = q.held(spark, sf_dir, f"edges-{web}-{m}-{''.join(types)}", lambda: graph.nearest(graph.edges_of(graph.symmetric_kl(resp, dims), params.tau, params.q_min), params.neighbours, params.knn_mode))
-    n = items.count()
-    traces = sampler.run_chains(spark, resp, edges, dims, reference_vector(resp, n, m, tw.TEXTURE), params, seeds)
-    return traces, items.select("item_id", "truth")
+def _second(sql: str) -> str:
+    """The SQL of a kernel on the second state, with its seed."""
+    return ON2 + sql[len(q.ON) :]
 
 
-def scored(traces: DataFrame, truth: DataFrame, name: str) -> DataFrame:
-    """method, chain, k, purity, cond_entropy of the best state of each chain; items without any word are left out."""
-    best = sampler.best_labels(traces).join(truth, "item_id")
-    c = best.groupBy("chain", "cat", "truth").agg(F.count(F.lit(1)).alias("n"))
-    from pyspark.sql import Window
+def _seeded(sql: str) -> str:
+    return sql.replace("(42)::VARCHAR", f"({SEED2})::VARCHAR")
 
-    c = c.withColumn("size", F.sum("n").over(Window.partitionBy("chain", "cat")))
-    per = c.groupBy("chain", "cat").agg(F.max("n").alias("top"), F.sum("n").alias("n"), F.sum(F.col("n") * F.log(F.col("size") / F.col("n"))).alias("h"))
-    return per.groupBy("chain").agg(F.count(F.lit(1)).alias("k"), (F.sum("top") / F.sum("n")).alias("purity"), (F.sum("h") / F.sum("n")).alias("cond_entropy")).select(F.lit(name).alias("method"), "chain", "k", "purity", "cond_entropy")
 
+def labels2(spark, sf_dir) -> DataFrame:
+    return q.guess(spark, sf_dir).select("item_id", "cat")
 
-@query("entry_categories")
-def entry(spark, sf_dir):
-    """The flagship: categories of all documents by one composite-cut chain, with what they hold."""
-    traces, truth = text_chains(spark, sf_dir, CHAIN, [1])
-    best = sampler.best_labels(traces).join(truth, "item_id")
-    return measures.majority(best).select("cat", "truth", "n", F.round("precision", 6).alias("precision"))
 
+def edges2(spark, sf_dir) -> DataFrame:
+    return q.held(spark, sf_dir, "edges2", lambda: graph.nearest(graph.edges_of(q.pairs(spark, sf_dir), TAU2)))
 
-for _move, _name in (("single", "i07_single_chain"), ("composite", "i11_composite_chain")):
 
-    @query(_name)
-    def chain(spark, sf_dir, move=_move):
-        traces, _ = text_chains(spark, sf_dir, replace(CHAIN, move=move), [1])
-        return traces.where("step >= 0").select("step", "k", F.round("energy", 4).alias("energy"), "accepted", "n_moved", "n_atoms")
+def parts2(spark, sf_dir) -> DataFrame:
+    return q.held(spark, sf_dir, "parts2", lambda: graph.components(graph.draw_edges(edges2(spark, sf_dir), labels2(spark, sf_dir), SEED2, 0), labels2(spark, sf_dir)))
 
 
-@query("i11_paper_fidelity")
-def paper_chain(spark, sf_dir):
-    traces, _ = text_chains(spark, sf_dir, replace(CHAIN, fidelity="paper", scope="any"), [1])
-    return traces.where("step >= 0").select("step", "k", F.round("energy", 4).alias("energy"), "accepted", "n_moved", "n_atoms")
+def upper2(spark, sf_dir) -> DataFrame:
+    return q.held(spark, sf_dir, "upper2", lambda: sampler.component_graph(edges2(spark, sf_dir), parts2(spark, sf_dir), labels2(spark, sf_dir)))
 
 
-@query("i15_ten_chains")
-def ten(spark, sf_dir):
-    traces, truth = text_chains(spark, sf_dir, CHAIN, list(range(1, 11)))
-    return scored(traces, truth, "composite")
+def comps2(spark, sf_dir) -> DataFrame:
+    return q.held(spark, sf_dir, "comps2", lambda: sampler.composites(upper2(spark, sf_dir), parts2(spark, sf_dir), SEED2, 0))
 
 
-@query("p13_best_state")
-def p13(spark, sf_dir):
-    traces, _ = text_chains(spark, sf_dir, CHAIN, [1, 2])
-    return traces.where("step >= 0").groupBy("chain").agg(F.min_by("step", F.struct("energy", "step")).alias("step"), F.round(F.min("energy"), 4).alias("energy"))
+def atoms2(spark, sf_dir) -> DataFrame:
+    return parts2(spark, sf_dir).join(comps2(spark, sf_dir), "cp").select("item_id", F.col("comp").alias("cp"))
 
 
-@query("w03_inferred_k")
-def w03(spark, sf_dir):
-    """Inferred numbers of categories over ten runs, on documents and on documents with pages."""
-    out = None
-    for web in (False, True):
-        traces, truth = text_chains(spark, sf_dir, CHAIN, list(range(1, 11)), web)
-        s = scored(traces, truth, "text-web" if web else "text").select(F.col("method").alias("items"), "chain", "k")
-        out = s if out is None else out.unionByName(s)
+@query("i05_cut_ratios_of_all", _seeded(_second(q.ON + ACROSS)) + """,
+to_all AS (SELECT cp, cat FROM (SELECT DISTINCT cp FROM cps), (SELECT DISTINCT cat FROM labels_now)),
+from_of AS (SELECT cp, min(cat) AS cat_from FROM cps JOIN labels_now USING (item_id) GROUP BY cp),
+both_sums AS (SELECT cp, other, sum(ln(1 - q)) AS w FROM cross_ends GROUP BY ALL)
+SELECT t.cp, t.cat AS cat_to, round(coalesce(n.w, 0) - coalesce(o.w, 0), 6) AS log_ratio FROM to_all t JOIN from_of f USING (cp)
+  LEFT JOIN both_sums n ON n.cp = t.cp AND n.other = t.cat LEFT JOIN both_sums o ON o.cp = t.cp AND o.other = f.cat_from WHERE t.cat <> f.cat_from""")
+def i05_all(spark, sf_dir):
+    """The cut ratio of moving each component to each other label."""
+    parts, labels, out = parts2(spark, sf_dir), labels2(spark, sf_dir), None
+    old = parts.join(labels, "item_id").groupBy("cp").agg(F.min("cat").alias("cat_from"))
+    for cat in sorted(r.cat for r in labels.select("cat").distinct().collect()):
+        moves = old.where(F.col("cat_from") != cat).withColumn("cat_to", F.lit(cat).cast("long"))
+        r = sampler.log_cut_ratio(edges2(spark, sf_dir), parts, labels, moves).select("cp", F.lit(cat).cast("long").alias("cat_to"), F.round("log_ratio", 6).alias("log_ratio"))
+        out = r if out is None else out.unionByName(r)
     return out
 
 
-@query("w05_convergence")
-def w05(spark, sf_dir):
-    """Best energy by step and steps to converge of both samplers, from the same start."""
-    out = None
-    for move in ("single", "composite"):
-        traces, _ = text_chains(spark, sf_dir, replace(CHAIN, move=move, steps=400, patience=400), [1, 2, 3])
-        rows = traces.where("step >= 0").select("chain", "step", "energy")
-        s = measures.convergence_step(rows).join(rows.groupBy("chain").agg(F.min("energy").alias("best_energy")), "chain").select(F.lit(move).alias("move"), "chain", "step", F.round("best_energy", 4).alias("best_energy"))
-        out = s if out is None else out.unionByName(s)
-    return out
+@query("i08_cp_graph_second", _seeded(_second(UPPER)) + " SELECT a, b, round(q, 6) AS q FROM upper_g")
+def i08_second(spark, sf_dir):
+    return q.rounded(upper2(spark, sf_dir), "q")
 
 
-@query("w07_seconds_per_step")
-def w07(spark, sf_dir):
-    traces, _ = text_chains(spark, sf_dir, CHAIN, [1, 2])
-    return traces.where("step >= 0").groupBy("chain").agg(F.count(F.lit(1)).alias("steps"), F.max("seconds").alias("seconds_per_step"))
+@query("i09_composites_second", _seeded(_second(COMP)) + " SELECT cp, comp FROM comps")
+def i09_second(spark, sf_dir):
+    return comps2(spark, sf_dir)
 
 
-@query("m07_work")
-def m07(spark, sf_dir):
-    traces, _ = text_chains(spark, sf_dir, CHAIN, [1, 2])
-    return measures.work(traces.where("step > 0"))
+@query("i10_picked_second", _seeded(_second(COMP)) + " SELECT comp FROM c_pick")
+def i10_second(spark, sf_dir):
+    return sampler.pick_composites(comps2(spark, sf_dir), SEED2, 0)
 
 
-@query("m08_space", q.TEXT + " SELECT wtype, count(*) AS nnz, count(DISTINCT feat)::BIGINT AS words, count(DISTINCT item_id)::BIGINT AS items FROM resp GROUP BY wtype")
-def m08(spark, sf_dir):
-    return q.responses(spark, sf_dir).groupBy("wtype").agg(F.count(F.lit(1)).alias("nnz"), F.countDistinct("feat").alias("words"), F.countDistinct("item_id").alias("items"))
+REPORT = f"""SELECT move.cp, cat_from, cat_to, e_a.k AS k_before, e_b.k AS k_after, round(log_ratio, 6) AS log_ratio, round(e_a.e, 4) AS energy_before, round(e_b.e, 4) AS energy_after, round(la, 4) AS log_alpha,
+  ln({u01_sql(str(SEED2), "0", "'a'")}) < la AS accepted FROM move, e_a, e_b, alpha, ratio"""
 
 
-@query("w08_vocabulary_sweep")
-def w08(spark, sf_dir):
-    out = None
-    for m in (50, 100, 200, 400):
-        traces, truth = text_chains(spark, sf_dir, CHAIN, [1], m=m)
-        s = scored(traces, truth, f"tokens-{m}")
-        out = s if out is None else out.unionByName(s)
-    return out
+def _report(spark, sf_dir, atoms: DataFrame, factor: float) -> DataFrame:
+    resp, labels = q.responses(spark, sf_dir), labels2(spark, sf_dir)
+    reference = posterior.reference_means(resp, labels.count(), q.TYPES)
+    report, _ = sampler.atom_step(resp, edges2(spark, sf_dir), labels, atoms, reference, replace(Params(), seed=SEED2), 0, factor)
+    return report.select("cp", "cat_from", "cat_to", "k_before", "k_after", F.round("log_ratio", 6).alias("log_ratio"), *[F.round(c, 4).alias(c) for c in ("energy_before", "energy_after", "log_alpha")], "accepted")
 
 
-@query("w09_word_types")
-def w09(spark, sf_dir):
-    out = None
-    for types in (("S", "T"), ("S",), ("T",)):
-        traces, truth = text_chains(spark, sf_dir, CHAIN, [1], types=types)
-        s = scored(traces, truth, "+".join(types))
-        out = s if out is None else out.unionByName(s)
-    return out
+@query("i16_single_step_second", _seeded(_second(STEP)) + REPORT)
+def i16_second(spark, sf_dir):
+    """A step whose proposal is a new label, so that the ratio of label counts comes in."""
+    return _report(spark, sf_dir, parts2(spark, sf_dir), 1.0)
 
 
-@query("w10_parameters")
-def w10(spark, sf_dir):
-    """How beta and tau move the number of categories and the measures."""
-    out = None
-    for beta in (100.0, 300.0, 900.0):
-        traces, truth = text_chains(spark, sf_dir, replace(CHAIN, beta=beta), [1])
-        s = scored(traces, truth, f"beta-{beta:g}")
-        out = s if out is None else out.unionByName(s)
-    return out
+#: From components to composites: the same CTEs over atoms.
+_ATOMS = re.sub(r"\bcps\b", "atoms", STEP[len(q.ON) :])
+for _name in ("across", "cross_ends"):
+    _ATOMS = re.sub(rf"\b{_name}\b", f"{_name}_c", _ATOMS)
+_ATOMS = _ATOMS.replace("least(0, log_ratio +", "least(0, 2 * log_ratio +")
 
 
-@query("w12_copies_in_one_component", q.TEXT + " SELECT count(*)::BIGINT AS copies, count(*)::BIGINT AS at_cap FROM (SELECT a.item_id AS s, b.item_id AS t FROM items a JOIN items b ON a.text = b.text AND a.item_id < b.item_id WHERE a.item_id IN (SELECT item_id FROM resp) AND b.item_id IN (SELECT item_id FROM resp))")
-def w12(spark, sf_dir):
-    """Pairs of equal texts, and how many of them have the greatest edge probability."""
-    items = q.items(spark, sf_dir)
-    same = items.select("text", F.col("item_id").alias("s")).join(items.select("text", F.col("item_id").alias("t")), "text").where("s < t").select("s", "t")
-    p = q.pairs(spark, sf_dir).join(same, ["s", "t"])
-    return p.agg(F.count(F.lit(1)).alias("copies"), F.sum(F.when(graph.edge_probability(F.col("j")) >= 1 - 1e-9, 1).otherwise(0)).alias("at_cap"))
+@query("i16_composite_step", _seeded(_second(COMP)) + ", atoms AS (SELECT item_id, comp AS cp FROM cps JOIN comps USING (cp))" + _seeded(_ATOMS) + REPORT.replace("round(log_ratio, 6)", "round(2 * log_ratio, 6)"))
+def i16_composite(spark, sf_dir):
+    """One composite moved, with both levels of cuts."""
+    return _report(spark, sf_dir, atoms2(spark, sf_dir), 2.0)

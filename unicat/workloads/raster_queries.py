@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import functions as F
 
 from ..operators import descriptors as de
@@ -11,6 +13,7 @@ from ..registry import query
 from ..rng import u01_sql
 from ..sources import rasters
 from ..sources.tables import table
+from . import text_queries as q
 from .text_queries import held, rounded
 
 SIDE = rasters.PLANTED_SIDE
@@ -32,6 +35,30 @@ TEXTURE = CODE + f""", tm AS (SELECT item_id, patch, cell * 16 + code AS bin, co
 text_h AS (SELECT item_id, patch, bin, m / sum(m) OVER (PARTITION BY item_id, patch) AS v FROM tm)"""
 
 
+#: Token counts over nine blocks: the whole, quarters by all tokens, quarters by every second one.
+TEXT_BLOCKS = q.TEXT + """, words_in AS (SELECT item_id, regexp_extract_all(lower(text), '[\\p{L}]+') AS ws FROM items),
+wp AS (SELECT item_id, len(ws) AS size, unnest(ws) AS w, unnest(range(len(ws))) AS i FROM words_in),
+bc AS (SELECT item_id, block, feat, count(*) AS n FROM (SELECT item_id, feat, unnest(CASE WHEN i % 2 = 0 THEN [0, 1 + i * 4 // size, 5 + i * 4 // size] ELSE [0, 1 + i * 4 // size] END) AS block FROM wp JOIN dict USING (w)) GROUP BY ALL)"""
+
+
+def _scale_sql(src: str, side: int, mark: str) -> str:
+    """The CTEs from neighbours to structural histograms for another raster table and side, under marked names."""
+    tail = STRUCT[len(P) :].replace("(y // 8) * 4 + x // 8", f"(y // 8) * {side // 8} + x // 8")
+    tail = re.sub(r"\b(nb|nc|grad|oct|sm|struct_h)\b", rf"\g<1>{mark}", tail[tail.index("nb AS (") :])
+    return re.sub(r"\bplanted\b", src, tail)
+
+
+#: Structural histograms of three scales: struct_h, struct_h1, struct_h2.
+PYRAMID = (
+    STRUCT
+    + ", half1 AS (SELECT item_id, (x // 2)::INT AS x, (y // 2)::INT AS y, sum(v) / 4 AS v FROM planted GROUP BY item_id, x // 2, y // 2), "
+    + _scale_sql("half1", 16, "1")
+    + ", half2 AS (SELECT item_id, (x // 2)::INT AS x, (y // 2)::INT AS y, sum(v) / 4 AS v FROM half1 GROUP BY item_id, x // 2, y // 2), "
+    + _scale_sql("half2", 8, "2")
+    + ", every AS (SELECT 0 AS scale, * FROM struct_h UNION ALL SELECT 1, * FROM struct_h1 UNION ALL SELECT 2, * FROM struct_h2)"
+)
+
+
 def planted(spark, sf_dir):
     return held(spark, sf_dir, "planted", lambda: rasters.as_arrays(rasters.planted(spark, sf_dir), SIDE))
 
@@ -86,12 +113,13 @@ def r07(spark, sf_dir):
     return rounded(de.texture(planted(spark, sf_dir), SIDE).select("item_id", "patch", "bin", "v"), "v")
 
 
-@query("r08_patch_pyramid")
+@query("r08_patch_pyramid", PYRAMID + " SELECT scale::INT AS scale, patch::INT AS patch, count(DISTINCT item_id) AS items, count(*) AS bins FROM every GROUP BY ALL")
 def r08(spark, sf_dir):
     return de.pyramid(planted(spark, sf_dir), SIDE).groupBy("scale", "patch").agg(F.countDistinct("item_id").alias("items"), F.count(F.lit(1)).alias("bins"))
 
 
-@query("r13_blocks")
+@query("r13_blocks", PYRAMID + """, b AS (SELECT scale, patch, unnest(CASE scale WHEN 0 THEN [0, 1 + 2 * (patch // 8) + (patch % 4) // 2] WHEN 1 THEN [0, 5 + patch] ELSE [0] END) AS block FROM (SELECT DISTINCT scale, patch FROM every))
+  SELECT block::INT AS block, scale::INT AS scale, count(DISTINCT patch) AS patches FROM b GROUP BY ALL""")
 def r13(spark, sf_dir):
     p = de.pyramid(planted(spark, sf_dir), SIDE).select("item_id", "scale", "patch").distinct()
     return de.blocks(p, SIDE).groupBy("block", "scale").agg(F.countDistinct("patch").alias("patches"))
@@ -155,19 +183,37 @@ def r10_ml(spark, sf_dir):
     return model.transform(dense).groupBy(F.col("prediction").alias("word")).agg(F.count(F.lit(1)).alias("n"))
 
 
-def planted_responses(spark, sf_dir, k: int = 24, types=("S", "T"), rounds: int = 4):
-    """item_id, feat, wtype, r over k words of each type at the finest scale in 5 blocks (whole and quarters)."""
-    out = None
-    for t, kind in enumerate(types):
-        v = patch_vectors(spark, sf_dir, kind)
-        words = held(spark, sf_dir, f"words-{kind}-{k}", lambda v=v: vo.lloyd(v, "key", k, rounds))
-        m = vo.nearest_word(v, words, "key").select(F.floor(F.col("key") / 100).alias("item_id"), (F.col("key") % 100).cast("int").alias("patch"), "word", F.lit(0).alias("scale"))
-        counts = de.blocks(m, SIDE).groupBy("item_id", "block", "word").agg(F.count(F.lit(1)).alias("n"))
-        r = counts.select("item_id", (t * 5 * k + F.col("block") * k + F.col("word")).cast("int").alias("feat"), F.lit(kind).alias("wtype"), tw.saturate(F.col("n")).alias("r"))
-        out = r if out is None else out.unionByName(r)
-    return out
+_NINE = """, at_w AS (SELECT key // 100 AS item_id, key % 100 AS patch, word FROM a3), bl AS (SELECT item_id, word, unnest([0, 1 + 2 * (patch // 8) + (patch % 4) // 2]) AS block FROM at_w)
+SELECT item_id::BIGINT AS item_id, (block * 12 + word)::INT AS feat, 'S' AS wtype, round(2 / (1 + exp(-count(*) / 2.0)) - 1, 6) AS r FROM bl GROUP BY item_id, block, word"""
 
 
-@query("r15_planted_vectors")
+@query("r15_planted_vectors", WORDS + _NINE)
 def r15(spark, sf_dir):
-    return rounded(held(spark, sf_dir, "planted-resp", lambda: planted_responses(spark, sf_dir)), "r")
+    """Responses over the whole and the quarters of the finest scale, with the twelve words of r10."""
+    m = vo.nearest_word(patch_vectors(spark, sf_dir, "S"), dictionary(spark, sf_dir), "key")
+    at = m.select(F.floor(F.col("key") / 100).alias("item_id"), F.lit(0).alias("scale"), (F.col("key") % 100).cast("int").alias("patch"), "word")
+    n = de.blocks(at, SIDE).groupBy("item_id", "block", "word").agg(F.count(F.lit(1)).alias("n"))
+    return n.select("item_id", (F.col("block") * 12 + F.col("word")).cast("int").alias("feat"), F.lit("S").alias("wtype"), F.round(tw.saturate(F.col("n")), 6).alias("r"))
+
+
+@query("r15_nine_blocks")
+def r15_nine(spark, sf_dir):
+    """The whole representation: nine blocks over three scales, 500 words of each type by matrix products; what it holds."""
+    from .item_sets import planted_responses
+
+    r = held(spark, sf_dir, "planted-500", lambda: planted_responses(spark, sf_dir, 500))
+    return r.groupBy("wtype").agg(F.count(F.lit(1)).alias("nnz"), F.countDistinct("item_id").alias("items"), F.countDistinct("feat").alias("used_features"), F.countDistinct(F.floor(F.col("feat") % 4500 / 500)).alias("blocks"))
+
+
+@query("r13_text_blocks", TEXT_BLOCKS + " SELECT item_id, block::INT AS block, feat::INT AS feat, n FROM bc")
+def r13_text(spark, sf_dir):
+    """Token counts of texts over nine blocks."""
+    items = q.items(spark, sf_dir)
+    return tw.block_counts(items, tw.token_dictionary(items))
+
+
+@query("r04_structural_variants", OCT + f""", sv AS (SELECT item_id, patch, cell * 8 + o AS bin, count(*)::DOUBLE AS m FROM (SELECT *, {PATCHED} FROM oct WHERE gx <> 0 OR gy <> 0) GROUP BY ALL)
+SELECT item_id, patch::INT AS patch, bin::INT AS bin, round(m / sqrt(sum(m * m) OVER (PARTITION BY item_id, patch)), 6) AS v FROM sv""")
+def r04_variants(spark, sf_dir):
+    """Histograms of counts instead of magnitudes, each patch of length one."""
+    return rounded(de.structural(planted(spark, sf_dir), SIDE, weight="count", norm="l2").select("item_id", "patch", "bin", "v"), "v")

@@ -14,7 +14,7 @@ from ..operators import graph, measures, posterior
 from ..operators import text_words as tw
 from ..registry import query
 from ..rng import u01, u01_sql
-from ..sources.tables import keep, table
+from ..sources.tables import keep, stamp, table
 
 ITEMS = "SELECT doc_id AS item_id, coalesce(text, '') AS text FROM documents"
 DIMS = tw.TOKENS + tw.TEXTURE
@@ -39,8 +39,8 @@ _held: dict[tuple, DataFrame] = {}
 
 
 def held(spark, sf_dir: str, what: str, make) -> DataFrame:
-    """A derived table that several queries use, written once for a session and input."""
-    key = (spark.sparkContext.applicationId, sf_dir, what)
+    """A derived table that several queries use, written once for a session and state of the input's files."""
+    key = (spark.sparkContext.applicationId, sf_dir, stamp(spark, sf_dir), what)
     if key not in _held:
         _held[key] = keep(make(), what)
     return _held[key]
@@ -122,9 +122,9 @@ def g02_half(spark, sf_dir):
     return rounded(graph.symmetric_kl(responses(spark, sf_dir), DIMS, mode="half"), "j")
 
 
-@query("g03_edge_prob", GRAPH + " SELECT s, t, round(least(1 - 1e-9, round(exp(-0.2 * j), 9)), 6) AS q FROM jp")
+@query("g03_edge_prob", GRAPH + " SELECT s, t, round(least(1 - 1e-9, exp(-0.2 * j)), 6) AS q FROM jp")
 def g03(spark, sf_dir):
-    return pairs(spark, sf_dir).select("s", "t", F.round(graph.edge_probability(F.col("j")), 6).alias("q"))
+    return pairs(spark, sf_dir).select("s", "t", F.round(F.least(F.lit(1 - 1e-9), F.exp(-0.2 * F.col("j"))), 6).alias("q"))
 
 
 @query("g05_weak_edges", GRAPH.replace("0.001", "0.4") + " SELECT s, t FROM weak")
@@ -174,18 +174,25 @@ def g08(spark, sf_dir):
 
 @query("g09_candidates_recall")
 def g09(spark, sf_dir):
-    """How much of the nearest-neighbour graph of all pairs each way of finding candidates keeps."""
-    full = edges(spark, sf_dir)
-    n = languages(spark, sf_dir).count()
-    out = None
-    for method in ("rare_words", "minhash"):
-        found = graph.candidate_pairs(responses(spark, sf_dir).where("wtype = 'S'"), method, most_items=max(50, n // 5), bands=24)
-        kept = full.join(found, ["s", "t"], "left_semi").count()
-        row = spark.createDataFrame([(method, found.count(), n * (n - 1) // 2, kept / max(1, full.count()))], "method string, candidates long, all_pairs long, recall double")
-        out = row if out is None else out.unionByName(row)
+    """How much of the nearest-neighbour graph of all pairs each way of finding candidates keeps: neighbours of the items
+    whose id is divisible by 100, and of all items."""
+    ends = edges(spark, sf_dir).select(F.col("s").alias("v"), "s", "t").unionByName(edges(spark, sf_dir).select(F.col("t").alias("v"), "s", "t"))
+    n, out = languages(spark, sf_dir).count(), None
+    for method in ("rare_words", "minhash", "both"):
+        found = held(spark, sf_dir, f"candidates-{method}", lambda method=method: graph.candidate_pairs(responses(spark, sf_dir), method))
+        kept = ends.join(found.withColumn("hit", F.lit(1)), ["s", "t"], "left")
+        r = kept.agg(F.avg(F.when(F.col("v") % 100 == 0, F.coalesce("hit", F.lit(0)))).alias("recall_queries"), F.avg(F.coalesce("hit", F.lit(0))).alias("recall"))
+        r = r.crossJoin(found.agg(F.count(F.lit(1)).alias("candidates"))).select(F.lit(method).alias("method"), "candidates", F.lit(n * (n - 1) // 2).cast("long").alias("all_pairs"), "recall_queries", "recall")
+        out = r if out is None else out.unionByName(r)
     return out
 
 
+@query("g09_pair_divergences", GRAPH + " SELECT s, t, round(j, 6) AS j FROM jp JOIN edges USING (s, t)")
+def g09_pairs(spark, sf_dir):
+    """The divergences of given pairs (those of the graph), by arrays instead of a join on words."""
+    return rounded(graph.pair_divergences(responses(spark, sf_dir), edges(spark, sf_dir).select("s", "t"), DIMS), "j")
+
+
 STATE = TEXT + "," + LABELS_SQL + ","
 
 
@@ -227,12 +234,12 @@ def p06(spark, sf_dir):
 LL = MODELS + """,
 base AS (SELECT cat, sum(-ln(z)) AS base FROM models GROUP BY cat),
 hits AS (SELECT item_id, cat, sum(lam * r) AS score FROM resp JOIN models USING (feat) GROUP BY ALL),
-ll AS (SELECT i.item_id, base.cat, base + coalesce(score, 0) AS ll FROM (SELECT DISTINCT item_id FROM resp) i CROSS JOIN base LEFT JOIN hits ON hits.item_id = i.item_id AND hits.cat = base.cat)"""
+ll AS (SELECT i.item_id, base.cat, base + coalesce(score, 0) AS ll FROM items i CROSS JOIN base LEFT JOIN hits ON hits.item_id = i.item_id AND hits.cat = base.cat)"""
 
 
 @query("p07_loglik", LL + " SELECT item_id, cat, round(ll, 6) AS ll FROM ll")
 def p07(spark, sf_dir):
-    return rounded(posterior.item_loglik(responses(spark, sf_dir), models(spark, sf_dir)), "ll")
+    return rounded(posterior.item_loglik(responses(spark, sf_dir), models(spark, sf_dir), items(spark, sf_dir)), "ll")
 
 
 @query("p08_category_ll", MODELS + " SELECT cat, n, round(n * sum(gain), 6) AS ll FROM models GROUP BY cat, n")
