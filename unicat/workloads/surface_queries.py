@@ -241,9 +241,9 @@ def q09_unpivot(spark, sf_dir):
 
 @query("q14_lateral", "SELECT c_custkey, top FROM customer, LATERAL (SELECT max(o_totalprice) AS top FROM orders WHERE o_custkey = c_custkey) x")
 def q14_lateral(spark, sf_dir):
-    c, o = table(spark, sf_dir, "customer").alias("c"), table(spark, sf_dir, "orders")
-    inner = o.where(F.col("o_custkey") == F.col("c_custkey").outer()).agg(F.max("o_totalprice").alias("top"))
-    return c.lateralJoin(inner).select("c_custkey", "top")
+    for name in ("orders", "customer"):
+        table(spark, sf_dir, name).createOrReplaceTempView(f"unicat_{name}")
+    return spark.sql("SELECT c_custkey, top FROM unicat_customer, LATERAL (SELECT max(o_totalprice) AS top FROM unicat_orders WHERE o_custkey = c_custkey)")
 
 
 @query("q14_in", "SELECT o_orderkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_acctbal > 9000) AND o_totalprice > (SELECT avg(o_totalprice) FROM orders)")
