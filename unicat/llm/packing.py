@@ -49,7 +49,7 @@ class ChunkIds:
 
     #: Chunks of a generation. The one before it is kept too, so that what is used again and again is never learnt anew.
     BOUND = 400_000
-    MARKS = ".,!?;:"
+    MARKS = ".,!?;:#*$%&|<>()[]{}=+~_/\\\"@^`-"
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
@@ -233,7 +233,7 @@ def pack_shard(ids: list[np.ndarray], idf: np.ndarray, mean_length: float, windo
                 doc = low
             start, unused[doc] = 0, False
         if room == window:  # the document that opens a sequence is its seed
-            if 2 * unused[holder].sum() < len(holder):  # used documents leave the index
+            if 4 * unused[holder].sum() < 3 * len(holder):  # used documents leave the index
                 keep = unused[owner]
                 owner, term, weight = owner[keep], term[keep], weight[keep]
                 begin = np.flatnonzero(np.diff(owner, prepend=-1))
