@@ -50,16 +50,6 @@ def test_components_and_pruning(spark):
     assert {(r.s, r.t) for r in graph.nearest(e, 1, "capped").collect()} == {(1, 2), (5, 6)}
 
 
-def test_entry_imports_without_the_optional_folders():
-    import importlib
-    import sys
-
-    import __spark_entry__
-
-    assert "pipeline" in __spark_entry__.queries() or "corpus_pipeline" not in sys.modules
-    importlib.reload(__spark_entry__)
-
-
 def test_lda_reads_whole_counts(spark):
     from unicat.operators.baselines import count_vectors, lda
 

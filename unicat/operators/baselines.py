@@ -156,9 +156,10 @@ def affinity_local(pairs: DataFrame, items: DataFrame, categories: int, most: in
     v[s, t] = v[t, s] = -j
     # A little keyed noise, without which equal items swing for ever.
     v += 1e-9 * np.random.default_rng(1).random(v.shape)
-    low, high, best = 400 * v.min(), v.max(), None
+    far = max(1e-9, -float(v.min()))
+    low, high, best = -400 * far, -1e-3 * far, None
     for _ in range(tries):
-        middle = (low + high) / 2 if low > 4 * v.min() else -np.sqrt(low * (4 * v.min()))
+        middle = -float(np.sqrt(low * high))  # bisection of the order of magnitude
         found = affinity_matrix(v, middle)
         k = len(np.unique(found))
         if best is None or abs(k - categories) < best[0]:
