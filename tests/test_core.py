@@ -58,3 +58,13 @@ def test_lda_reads_whole_counts(spark):
     got = {r.item_id: r.features.toArray().tolist() for r in count_vectors(counts).collect()}
     assert got == {i: [3000.0, 40.0, 0.0] if i % 2 else [0.0, 40.0, 900.0] for i in range(20)}
     assert lda(counts, 2, rounds=2).count() == 20
+
+
+def test_centroids_do_not_depend_on_the_order_of_sums(spark):
+    from unicat.operators import vocabulary
+
+    # The mean is 0.4342035; sums of doubles come out below it in every order.
+    v = spark.createDataFrame([(i, 0, x) for i, x in enumerate((0.423927, 0.43444, 0.697035, 0.181412))], "key long, bin int, v double")
+    assert [r.c for r in vocabulary.lloyd(v, "key", 1, 1).collect()] == [0.434204]
+    below = v.withColumn("v", -F.col("v"))
+    assert [r.c for r in vocabulary.lloyd(below, "key", 1, 1).collect()] == [-0.434204]
