@@ -116,3 +116,15 @@ def test_the_rest_works_without_the_corpus_operators(tmp_path):
     shutil.copytree(root, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "llm", "corpus_pipeline.py", "__pycache__", ".pytest_cache"))
     code = "import __spark_entry__ as e; q = e.queries(); assert len(q) > 120 and not any(k.startswith('op') for k in q) and 'pipeline' not in q and set(e.oracle_sql()) <= set(q)"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "r", check=True, env={**os.environ, "PYTHONPATH": ""})
+
+
+def test_a_side_that_is_too_large_is_not_broadcast(spark, sf, monkeypatch):
+    from unicat import catalogue
+
+    q04 = catalogue.QUERIES["q04_hint_broadcast"]
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    small = q04(spark, sf)
+    assert "BroadcastHashJoin" in plan(small)
+    monkeypatch.setattr(planner.broadcasts, "__defaults__", (10,))
+    large = q04(spark, sf)
+    assert "SortMergeJoin" in plan(large) and sorted(large.collect()) == sorted(small.collect())

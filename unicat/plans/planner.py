@@ -11,6 +11,8 @@ from ..operators import graph, sampler
 
 #: Pairs that all-pairs divergences may form; beyond it candidates come first.
 MOST_PAIRS = 200_000_000
+#: Rows of a few numbers and short strings that a broadcast may hold; the driver and every executor keep them all.
+BROADCAST_ROWS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -30,6 +32,11 @@ def plan(resp: DataFrame, neighbours: int = 6, most_pairs: int = MOST_PAIRS) ->
     return Plan("all" if pairs <= most_pairs else "candidates", "local" if size <= sampler.LOCAL_BYTES else "distributed", int(pairs), int(size))
 
 
+def broadcasts(side: DataFrame, most_rows: int = BROADCAST_ROWS) -> bool:
+    """Whether one side of a join is small enough to be sent to every executor."""
+    return side.count() <= most_rows
+
+
 def divergences(resp: DataFrame, dims: int, eps: float = 1e-2, most_pairs: int = MOST_PAIRS) -> DataFrame:
     """s, t, j of all pairs that share a word, or of candidate pairs if all would be too many."""
     if plan(resp, most_pairs=most_pairs).pairs == "all":
