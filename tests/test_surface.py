@@ -128,3 +128,23 @@ def test_a_side_that_is_too_large_is_not_broadcast(spark, sf, monkeypatch):
     monkeypatch.setattr(planner.broadcasts, "__defaults__", (10,))
     large = q04(spark, sf)
     assert "SortMergeJoin" in plan(large) and sorted(large.collect()) == sorted(small.collect())
+
+
+@pytest.mark.parametrize("name", ["s06_carrier_source", "s07_images"])
+def test_sources_carry_the_given_embeddings(spark, tmp_path, name):
+    import duckdb
+
+    from unicat import catalogue
+
+    rows = [(i, [(i * 7 + k * 5) % 31 / 30 - 0.5 for k in range(64)], None if i == 3 else i % 8 - 1) for i in range(0, 240, 3)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").coalesce(1).write.parquet(f"file://{tmp_path}/embeddings.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/embeddings.parquet/*.parquet')")
+    want = con.execute(catalogue.SQL[name]).fetchall()
+    got = [tuple(r) for r in catalogue.QUERIES[name](spark, f"file://{tmp_path}").collect()]
+    assert len(want) > 0 and sorted(got) == sorted(want)
+
+
+def test_plain_images():
+    assert io.from_netpbm(b"P2\n# a comment\n2 1\n510\n510 0\n")[2].tolist() == [255.0, 0.0]
+    assert io.from_netpbm(b"P2\n2 2\n255\n1 2 3") is None and io.from_netpbm(b"P2\nx") is None
