@@ -68,3 +68,23 @@ def test_centroids_do_not_depend_on_the_order_of_sums(spark):
     assert [r.c for r in vocabulary.lloyd(v, "key", 1, 1).collect()] == [0.434204]
     below = v.withColumn("v", -F.col("v"))
     assert [r.c for r in vocabulary.lloyd(below, "key", 1, 1).collect()] == [-0.434204]
+
+
+def test_blocks_make_the_pairs_and_edges_of_the_join(spark, monkeypatch):
+    rows = [(i, f, 0.0 if (i, f) == (4, 2) else 0.1 + (i * f) % 7 / 10) for i in range(57) for f in {i % 5, 2, 5 + i % 3} if i % 19 or f == 0]
+    rows += [(100 + i, f, 0.5) for i in range(5) for f in (0, 1)] + [(200, 9, 0.3)]  # copies, and an item that shares nothing
+    resp = spark.createDataFrame(rows, "item_id long, feat int, r double")
+    joined = graph._symmetric_kl_by_join(resp, 10, 1e-2, "full", None)
+    want = {(r.s, r.t): r.j for r in joined.collect()}
+    monkeypatch.setattr(graph, "BLOCK_ITEMS", 9)
+    monkeypatch.setattr(graph, "BLOCK_WORDS", 3)
+    got = graph.symmetric_kl(resp, 10)
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+    rows = got.collect()
+    got = {(r.s, r.t): r.j for r in rows}
+    assert len(rows) == len(got) and got.keys() == want.keys() and max(abs(got[p] - want[p]) for p in want) < 1e-9
+    for mode in ("union", "mutual"):
+        for k in (2, 6):
+            far = sorted(graph.nearest(graph.edges_of(joined, 0.7, 0.01), k, mode).collect())
+            assert sorted(graph.nearest_items(resp, 10, 0.7, 0.01, k, mode).collect()) == far
+    assert graph.nearest_items(resp.limit(0), 10).count() == 0 and graph.symmetric_kl(resp.limit(0), 10).count() == 0

@@ -188,7 +188,7 @@ def labels2(spark, sf_dir) -> DataFrame:
 
 
 def edges2(spark, sf_dir) -> DataFrame:
-    return q.held(spark, sf_dir, "edges2", lambda: graph.nearest(graph.edges_of(q.pairs(spark, sf_dir), TAU2)))
+    return q.held(spark, sf_dir, "edges2", lambda: q.near(spark, sf_dir, tau=TAU2))
 
 
 def parts2(spark, sf_dir) -> DataFrame:
