@@ -248,3 +248,17 @@ def test_every_chunk_counts_and_encoded_text_goes():
         assert quality_rules.in_bands(good[:size], bands, compress)[0], size
     assert not quality_rules.in_bands(good[:24_576] + mime[:12_288], bands, compress)[0]  # a third is junk
     assert not quality_rules.in_bands(good[:4_096] + mime[:4_000], bands, compress)[0]  # all of it in the last chunk
+
+
+def test_a_worker_remembers_a_bounded_number_of_chunks_and_forgets_them(spark):
+    memo, free = packing.ChunkIds(tokenizer_path(), 50), packing.ChunkIds(tokenizer_path())
+    for i in range(20):
+        texts = [" ".join(f"word{chr(97 + k)}{chr(97 + i)}." for k in range(26)), prose(i, 12)]
+        assert memo.encode(texts) == free.encode(texts)
+        assert len(memo.known) + len(memo.older) <= 200 < 400_000
+    packing.chunk_ids(tokenizer_path(), 50).encode(["some words"])
+    packing.forget()
+    assert packing.chunk_ids.cache_info().currsize == 0
+    rows = [(i, prose(i, 40)) for i in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(packing.pack(docs, tokenizer_path(), bound=20).collect()) == sorted(packing.pack(docs, tokenizer_path()).collect())

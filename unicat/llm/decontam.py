@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import aside, back, named
+from .common import aside, back, named, trim
 
 WINDOW = 10
 #: Words of benchmark items that one pass holds (about 100 bytes each in a worker).
@@ -142,6 +142,7 @@ def _match(docs: DataFrame, items: DataFrame, text_col: str, item_id: str, item_
                 yield pa.RecordBatch.from_arrays(
                     [*(b.column(at(n)) for n in keep), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.list_(pa.int64())), pa.array(cols[2], pa.list_(pa.string()))], [*keep, *ADDED.names]
                 )
+            trim()
 
         out = (docs if first else out).mapInArrow(scan, schema)
     return out

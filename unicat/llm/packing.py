@@ -51,7 +51,8 @@ class ChunkIds:
     BOUND = 400_000
     MARKS = ".,!?;:#*$%&|<>()[]{}=+~_/\\\"@^`-"
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, bound: int = BOUND):
+        self.bound = bound
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         from tokenizers import Tokenizer, pre_tokenizers
 
@@ -84,7 +85,7 @@ class ChunkIds:
 
     def learn(self, chunks: set[bytes]) -> None:
         """Makes the ids of all these chunks known."""
-        if len(self.known) + len(chunks) > self.BOUND:
+        if len(self.known) + len(chunks) > self.bound:
             self.older, self.known = self.known, {}
         known, older, marked, basic, letters, odd = self.known, self.older, [], set(), set(), set()
         new = chunks.difference(known)
@@ -123,17 +124,24 @@ class ChunkIds:
 
 
 @functools.lru_cache(1)
-def chunk_ids(path: str) -> ChunkIds:
-    """One for each worker process, kept with its chunks from task to task."""
-    return ChunkIds(path)
+def chunk_ids(path: str, bound: int = ChunkIds.BOUND) -> ChunkIds:
+    """One for each worker process, kept with its chunks from task to task until forget()."""
+    return ChunkIds(path, bound)
 
 
-def encode(docs: DataFrame, path: str, id_col: str, text_col: str, end_id: int = END_ID) -> DataFrame:
+def forget() -> None:
+    """Frees what a worker has learnt: workers outlive the encoding, and other operators' tasks come to them next."""
+    if chunk_ids.cache_info().currsize:
+        chunk_ids.cache_clear()
+        trim()
+
+
+def encode(docs: DataFrame, path: str, id_col: str, text_col: str, end_id: int = END_ID, bound: int = ChunkIds.BOUND) -> DataFrame:
     """id, n (ids with the end id), ids (16-bit, little-endian), route (the weighted min-hash). A row with n < 0 for each task has, in ids, how many of
     the task's documents hold each token: pairs of 64-bit numbers, and its documents and tokens under -1 and -2."""
 
     def run(batches):
-        memo = chunk_ids(path)
+        memo = chunk_ids(path, bound)
         tail = np.array([end_id], np.uint16).tobytes()
         rng = np.random.default_rng(7)
         cost = (-np.log(rng.random(1 << 16)) / np.log2(np.arange(1 << 16) + 2.0) ** 4).astype(np.float32)
@@ -275,9 +283,10 @@ def _cut_rest(pieces, sequence: int, window: int):
     return full
 
 
-def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, shard_tokens: int = SHARD_TOKENS, end_id: int = END_ID, with_ids: bool = True) -> DataFrame:
-    """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset and, unless with_ids=False, ids (16-bit)."""
-    encoded = materialise(encode(docs, path, id_col, text_col, end_id), "ids")
+def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, shard_tokens: int = SHARD_TOKENS, end_id: int = END_ID, with_ids: bool = True, bound: int = ChunkIds.BOUND) -> DataFrame:
+    """One row per piece: id, start, length, ids_crc32, doc_tokens, sequence_id, offset and, unless with_ids=False, ids (16-bit).
+    bound: chunks that a worker remembers; fewer take less memory and more time."""
+    encoded = materialise(encode(docs, path, id_col, text_col, end_id, bound), "ids")
     df, rows, tokens = frequencies(encoded)
     idf = np.log1p((rows - df + 0.5) / (df + 0.5))
     mean_length = tokens / max(1, rows)
@@ -292,6 +301,7 @@ def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
     tasks = int(max(1, min(1 << 16, 2 * tokens // shard_tokens)))
 
     def run(table: pa.Table) -> pa.Table:
+        forget()
         order = sorted(range(table.num_rows), key=lambda i: (k if (k := keys[i]) is not None else -(1 << 63), crcs[i])) if (keys := table.column("id").to_pylist()) and (crcs := [zlib.crc32(x.as_buffer()) for x in table.column("ids")]) else []
         raw = [np.frombuffer(table.column("ids")[i].as_buffer(), np.uint16) for i in order]
         pieces = pack_shard(raw, held.value, mean_length, window)
