@@ -88,3 +88,6 @@ def test_blocks_make_the_pairs_and_edges_of_the_join(spark, monkeypatch):
             far = sorted(graph.nearest(graph.edges_of(joined, 0.7, 0.01), k, mode).collect())
             assert sorted(graph.nearest_items(resp, 10, 0.7, 0.01, k, mode).collect()) == far
     assert graph.nearest_items(resp.limit(0), 10).count() == 0 and graph.symmetric_kl(resp.limit(0), 10).count() == 0
+    for q_min in (0.01, 0.6):
+        far = {(r.s, r.t): r.q for r in graph.edges_of(joined, 0.7, q_min).collect()}
+        assert {(r.s, r.t): r.q for r in graph.all_edges(resp, 10, 0.7, q_min).collect()} == far
