@@ -2,6 +2,7 @@
 
 import math
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from unicat.operators import graph, measures, posterior
@@ -91,3 +92,22 @@ def test_blocks_make_the_pairs_and_edges_of_the_join(spark, monkeypatch):
     for q_min in (0.01, 0.6):
         far = {(r.s, r.t): r.q for r in graph.edges_of(joined, 0.7, q_min).collect()}
         assert {(r.s, r.t): r.q for r in graph.all_edges(resp, 10, 0.7, q_min).collect()} == far
+
+
+def test_nearest_by_single_precision_bounds(spark, monkeypatch):
+    """Copies, and items whose divergences differ by less than single precision resolves: ties and order stay those of all pairs."""
+    rng = np.random.default_rng(5)
+    base = rng.uniform(0.1, 0.9, 12)
+    rows = [(i, f, float(v)) for i in range(60) for f, v in enumerate(base if i % 3 == 0 else base + 1e-6 * rng.normal(size=12))]
+    rows += [(i, f, float(rng.uniform(0.1, 0.9))) for i in range(60, 120) for f in rng.choice(12, 5, replace=False).tolist()]
+    resp = spark.createDataFrame(rows, "item_id long, feat int, r double")
+    sides = [graph._side(b, 0, "") for b in graph.item_blocks(resp, 12).toArrow().to_batches()]
+    x = graph._Dense(sides[0], 12, 1e-2)
+    j, _ = graph._compared(sides[0], sides[0], 1e-2)
+    assert np.abs(x.u @ x.v.T + j).max() <= x.error(x) < 1e-3
+    row, col = np.divmod(np.arange(j.size), len(j))
+    assert np.allclose(x.exact(x, row, col)[0], j.ravel(), atol=1e-12)
+    pairs = graph.edges_of(graph.symmetric_kl(resp, 12), 0.7, 0.01)
+    monkeypatch.setattr(graph, "BLOCK_ITEMS", 25)
+    for mode in ("union", "mutual"):
+        assert sorted(graph.nearest_items(resp, 12, 0.7, 0.01, 3, mode).collect()) == sorted(graph.nearest(pairs, 3, mode).collect())
