@@ -94,6 +94,18 @@ def test_candidates_drop_no_item_and_planner_counts(spark):
     assert both.count() == 1770 and both.where("abs(j - k) > 1e-9").count() == 0
 
 
+def test_candidates_are_counted_without_being_written(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    resp = spark.createDataFrame([(i, f, "S", 0.5) for i in range(80) for f in {int(x) for x in rng.integers(0, 40, 4)}], "item_id long, feat int, wtype string, r double")
+    edges = spark.createDataFrame([(int(s), int(s + d)) for s, d in zip(rng.integers(0, 60, 90), rng.integers(1, 20, 90))], "s long, t long").distinct()
+    monkeypatch.setattr(graph, "BLOCK_ITEMS", 13)
+    got = {r.method: r[1:] for r in graph.candidate_counts(graph.candidate_buckets(resp, "both", 10, 3), edges).collect()}
+    for method in ("rare_words", "minhash", "both"):
+        pairs = {tuple(r) for r in graph.candidate_pairs(resp, method, 10, 3).collect()}
+        hits = [tuple(r) for r in edges.collect() if tuple(r) in pairs]
+        assert got[method] == (len(pairs), len(hits), sum((s % 100 == 0) + (t % 100 == 0) for s, t in hits))
+
+
 def test_words_by_matrix_products_are_the_nearest(spark):
     v = spark.createDataFrame([(i, b, float((i * 7 + b * 3) % 11)) for i in range(40) for b in range(4)], "key long, bin int, v double")
     words = vocabulary.learned(v, "key", 3, 4, rounds=5)
