@@ -262,3 +262,21 @@ def test_a_worker_remembers_a_bounded_number_of_chunks_and_forgets_them(spark):
     rows = [(i, prose(i, 40)) for i in range(30)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted(packing.pack(docs, tokenizer_path(), bound=20).collect()) == sorted(packing.pack(docs, tokenizer_path()).collect())
+
+
+def test_words_are_learnt_without_the_marks_behind_them():
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    one, memo = Tokenizer.from_file(tokenizer_path()), packing.ChunkIds(tokenizer_path())
+    words = [f"word{chr(97 + k)}{end}" for k in range(26) for end in ("", ".", ",", ";!", "?")]
+    assert [tuple(memoryview(x).cast("H")) for x in memo.encode(words)] == [tuple(one.encode(w, add_special_tokens=False).ids) for w in words]
+    assert not [c for c in memo.known if c[:1].isalpha() and c[-1:] in b".,;!?"]
+    texts = ["", " ", ".", "\u00a0a.\u0085b\x1fc\x0bd.", "It's. it.'s 'll. don't, x.'re", "a=\u0338. e\u0301. E\u0301; \u00c9t\u00c9! \u0130. \u1e9e: \ufb01. \u01c5, \u01c6",
+             "<|endoftext|>. A.<|endoftext|>b <|EndOfText|>! <|x.", "a.b@c.d 1.2.3, x..y ...z a.\u2026 \u2026. \u00aa. \u00ba, \u00b5m.", "\U0001f600. \u4e2d\u6587. z\u0301.", "\u00f1and\u00fa: \u00dfa, \u00e6\u00f8; \u0142.", ".a", "a"]
+    for step in (1, 5, len(texts)):
+        for k in range(0, len(texts), step):
+            ids, flat, place = memo.encode_array(pa.array(["skipped.", *texts[k : k + step]]).slice(1), [1])
+            want = [(*one.encode(t, add_special_tokens=False).ids, 1) for t in texts[k : k + step]]
+            assert [tuple(memoryview(x).cast("H")) for x in ids.to_pylist()] == want
+            assert [tuple(flat[a:b].tolist()) for a, b in zip(place, place[1:], strict=False)] == want

@@ -24,6 +24,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -33,6 +34,8 @@ from .common import materialise, trim
 WINDOW = 2048
 END_ID = 1
 SHARD_TOKENS = 1_500_000
+#: Bytes of texts that are encoded at a time.
+BATCH_BYTES = 4_000_000
 #: Neighbours that are ranked at first; the next ones follow when these are used up.
 RANK_FIRST = 64
 K1, B = 1.2, 0.75
@@ -43,9 +46,10 @@ class ChunkIds:
     """Ids of white-space-free chunks, remembered up to a bound. The tokenizer drops white space and no token crosses it,
     so the ids of a text are those of its chunks in order.
 
-    A-Z are lower-cased first, as the tokenizer does anyway. A word with closing marks has the word's ids and the marks':
-    a token ends where letters do. New words are encoded many at a time, as a token that ends a word says so; those of
-    a-z alone need no normalising. What is not all letters is encoded by itself."""
+    A-Z are lower-cased first, as the tokenizer does anyway. A token ends where letters do, so texts are cut between a letter of
+    a-z and a mark too, and a word with other closing marks has the word's ids and the marks'. New words are encoded many
+    at a time, as a token that ends a word says so; lower-case Latin ones need no normalising. What is not all letters is
+    encoded by itself. Many texts are cut, and their ids put together, as arrays: only their distinct chunks are looked up one by one."""
 
     #: Chunks of a generation. The one before it is kept too, so that what is used again and again is never learnt anew.
     BOUND = 400_000
@@ -59,21 +63,40 @@ class ChunkIds:
         self.one = Tokenizer.from_file(path)
         self.bare = Tokenizer(self.one.model)  # shares the vocabulary
         self.bare.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        # The tokenizer's letters for bytes: those that can't be printed have the code points from 256 on, in order.
+        unseen = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)]
+        self.letters = np.arange(256, dtype=np.uint16)
+        self.letters[unseen] = 256 + np.arange(len(unseen))
+        self.letters[32] = 32
+        self.is_letter, self.is_mark = np.zeros(256, bool), np.zeros(256, bool)
+        self.is_letter[np.frombuffer(b"abcdefghijklmnopqrstuvwxyz", np.uint8)] = True
+        self.is_mark[np.frombuffer(b".,!?;:", np.uint8)] = True  # none that a special token has
         self.known: dict[bytes, bytes] = {}
         self.older: dict[bytes, bytes] = {}
         self.ends = np.zeros(1 << 16, bool)
         for token, i in self.one.get_vocab(with_added_tokens=False).items():
             self.ends[i] = token.endswith("</w>")
 
-    def split(self, text: str) -> list[bytes]:
-        raw = text.encode()
+    def split(self, texts: pa.Array) -> pa.ListArray:
+        """The chunks of each text; some are empty."""
+        lower = pc.ascii_lower(texts)
         # A special token's string is one only in lower case, so such texts keep their case.
-        return (raw if b"<|" in raw else raw.lower()).split()
+        special = pc.match_substring(texts, "<|")
+        if pc.any(special).as_py():
+            lower = pc.if_else(special, texts, lower)
+        lower = pa.concat_arrays([lower])
+        ends = np.frombuffer(lower.buffers()[1], np.int32)[lower.offset : lower.offset + len(lower) + 1]
+        raw = np.frombuffer(lower.buffers()[2], np.uint8)[ends[0] : ends[-1]] if ends[-1] > ends[0] else np.zeros(0, np.uint8)
+        ends = ends - ends[0]
+        cut = np.flatnonzero(self.is_letter[raw[:-1]] & self.is_mark[raw[1:]]) + 1
+        raw, ends = np.insert(raw, cut, 32), (ends + np.searchsorted(cut, ends)).astype(np.int32)
+        return pc.ascii_split_whitespace(pa.StringArray.from_buffers(len(texts), pa.py_buffer(ends), pa.py_buffer(raw)))
 
     def _many(self, encoder, words: list[str]) -> list[str]:
         """Learns words that are one token run each; returns those that turn out not to be."""
         groups, left = [words[i : i + 1000] for i in range(0, len(words), 1000)], []
-        for group, got in zip(groups, encoder.encode_batch_fast([" ".join(g) for g in groups], add_special_tokens=False), strict=True):
+        as_text = self._in_letters if encoder is self.bare else str
+        for group, got in zip(groups, encoder.encode_batch_fast([as_text(" ".join(g)) for g in groups], add_special_tokens=False), strict=True):
             ids = np.array(got.ids, np.uint16)
             stop = np.flatnonzero(self.ends[ids]) + 1
             if len(stop) != len(group):
@@ -83,6 +106,10 @@ class ChunkIds:
             self.known.update((w.encode(), raw[a:e]) for w, a, e in zip(group, [0, *stop[:-1]], stop, strict=True))
         return left
 
+    def _in_letters(self, text: str) -> str:
+        """The text's bytes as the letters that the vocabulary is written in, but for spaces."""
+        return text if text.isascii() else self.letters[np.frombuffer(text.encode(), np.uint8)].astype("<u2").tobytes().decode("utf-16-le")
+
     def learn(self, chunks: set[bytes]) -> None:
         """Makes the ids of all these chunks known."""
         if len(self.known) + len(chunks) > self.bound:
@@ -96,6 +123,10 @@ class ChunkIds:
                 basic.add(raw.decode())
                 continue
             c = raw.decode()
+            # Below U+0250 nothing is composed or taken apart.
+            if c.isalpha() and max(c) < "\u0250" and c == c.lower():
+                basic.add(c)
+                continue
             word = c.rstrip(self.MARKS)
             # Letters that neither normalising nor lower-casing takes apart
             if not (word.isalpha() and (word.isascii() or (unicodedata.is_normalized("NFC", word) and word.lower().isalpha()))):
@@ -117,10 +148,40 @@ class ChunkIds:
         known.update((raw, known[word] + known[marks]) for raw, word, marks in marked)
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        split = [self.split(t) for t in texts]
-        self.learn(set().union(*split))
-        get = self.known.__getitem__
-        return [b"".join(map(get, chunks)) for chunks in split]
+        return self.encode_array(pa.array(texts, pa.string()), [])[0].to_pylist()
+
+    def encode_array(self, texts: pa.Array, tail: list[int]) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+        """The ids of texts without nulls, with those of tail behind each, as 16-bit numbers: one binary value a text, and all ids with
+        the places where texts begin and end."""
+        chunks = self.split(texts)
+        coded = chunks.flatten().dictionary_encode()
+        names = _as_bytes(coded.dictionary)
+        got = list(map(self.known.get, names))
+        missing = [i for i, x in enumerate(got) if x is None]
+        if missing:
+            self.learn({names[i] for i in missing})
+            for i in missing:
+                got[i] = self.known[names[i]]
+        got.append(np.array(tail, np.uint16).tobytes())
+        own = np.frombuffer(b"".join(got), np.uint16)
+        size = np.fromiter(map(len, got), np.int64, len(got)) // 2
+        first = np.cumsum(size) - size
+        ends = chunks.offsets.to_numpy().astype(np.int64)
+        at = np.insert(coded.indices.to_numpy().astype(np.int64), ends[1:] - ends[0], len(names))
+        n = size[at]
+        stop = np.cumsum(n)
+        ids = own[np.repeat(first[at] - (stop - n), n) + np.arange(stop[-1] if len(stop) else 0)]
+        place = np.append(0, stop)[ends - ends[0] + np.arange(len(ends))]
+        return pa.Array.from_buffers(pa.binary(), len(texts), [None, pa.py_buffer((2 * place).astype(np.int32)), pa.py_buffer(ids)]), ids, place
+
+
+def _as_bytes(strings: pa.Array) -> list[bytes]:
+    """As to_pylist() would give, several times as fast."""
+    if not len(strings):
+        return []
+    ends = np.frombuffer(strings.buffers()[1], np.int32)[strings.offset : strings.offset + len(strings) + 1].tolist()
+    raw = strings.buffers()[2].to_pybytes() if ends[-1] else b""
+    return [raw[a:e] for a, e in zip(ends[:-1], ends[1:], strict=True)]
 
 
 @functools.lru_cache(1)
@@ -142,31 +203,27 @@ def encode(docs: DataFrame, path: str, id_col: str, text_col: str, end_id: int =
 
     def run(batches):
         memo = chunk_ids(path, bound)
-        tail = np.array([end_id], np.uint16).tobytes()
         rng = np.random.default_rng(7)
         cost = (-np.log(rng.random(1 << 16)) / np.log2(np.arange(1 << 16) + 2.0) ** 4).astype(np.float32)
         name = rng.integers(0, 1 << 62, 1 << 16)
         df, rows, tokens = np.zeros(1 << 16, np.int64), 0, 0
         for b in batches:
+            texts = pc.fill_null(b.column(1), "")
+            far = np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False).astype(np.int64))
             at = 0
             while at < b.num_rows:
-                texts, size, begin = [], 0, at
-                while at < b.num_rows and size < 1_000_000:
-                    texts.append(b.column(1)[at].as_py() or "")
-                    size += len(texts[-1])
-                    at += 1
-                ids = [x + tail for x in memo.encode(texts)]
+                begin, at = at, max(at + 1, int(np.searchsorted(far, (far[at - 1] if at else 0) + BATCH_BYTES)))
+                ids, flat, place = memo.encode_array(texts.slice(begin, at - begin), [end_id])
                 route = []
-                for x in ids:
-                    one = np.frombuffer(x, np.uint16)
+                for k in range(len(ids)):
+                    one = flat[place[k] : place[k + 1]]
                     df[one] += 1  # a repeated index counts once
-                    tokens += len(one)
                     own = cost[one]
                     best = one[own.argmin()]
                     own[one == best] = np.inf
                     route.append(int(name[best] ^ (name[one[own.argmin()]] >> 1)))
-                rows += len(ids)
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(begin, at - begin), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary()), pa.array(route, pa.int64())], names)
+                rows, tokens = rows + len(ids), tokens + len(flat)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(begin, len(ids)), pa.array(np.diff(place), pa.int64()), ids, pa.array(route, pa.int64())], names)
         held = np.flatnonzero(df)
         pairs = np.column_stack([np.append(held, [-1, -2]), np.append(df[held], [rows, tokens])]).astype(np.int64)
         yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([-1], pa.int64()), pa.array([pairs.tobytes()], pa.binary()), pa.array([0], pa.int64())], names)
