@@ -149,3 +149,49 @@ def test_every_chain_has_a_task_of_its_own(spark):
 
 def test_params_scale_beta():
     assert replace(Params(), beta_mode="per_item").beta_for(500) == 150
+
+
+def test_two_gains_in_one_pass_are_the_gains(monkeypatch):
+    from unicat.operators.sampler import Model
+
+    r = np.random.default_rng(2)
+    model = Model(Params(model_words=6), np.round(r.uniform(0.05, 0.3, 20), 1), 300.0, {})
+    for held in (20, 9, 6, 3, 0):
+        for total in (r.uniform(0.1, 5, (2, 20)), r.integers(1, 4, (2, 20)).astype(float)):  # the latter has ties
+            total[:, held:] = 0
+            for got, n, x in zip(model.two_gains((7, 9), total), (7, 9), total, strict=True):
+                at = np.flatnonzero(x > 1e-12)
+                at = at[np.argsort(-(x / n - model.e_0)[at], kind="stable")[:6]]
+                f, o = np.clip(x[at] / n, 1e-6, 1 - 1e-6), model.e_0[at]
+                assert got == pytest.approx(n * float((f * np.log(f / o) + (1 - f) * np.log((1 - f) / (1 - o))).sum()), abs=1e-9)
+
+
+def test_a_step_over_many_categories_sorts_them_once():
+    """Twenty thousand categories at the start: a pick must not look at all of them."""
+    r = np.random.default_rng(3)
+    n = 20_000
+    resp = (np.arange(n + 1), r.integers(0, 8, n), r.uniform(0.1, 0.8, n))
+    chain = Chain(range(n), resp, (np.zeros(0, int), np.zeros(0, int), np.zeros(0)), np.full(8, 0.2), Params(steps=1, initial="singletons", move="composite"))
+    model = chain.model(chain.start())
+    assert model.cats == sorted(model.held) == list(range(1, n + 1))
+    atoms = chain.clusters(chain.start(), 1)
+    picked = chain.picks(atoms, 1)
+    cells, _ = chain.cells(atoms, chain.start() - 1, picked)
+    cells.label = cells.label + 1
+    model.step(cells, picked, chain.ids, 1)
+    assert model.cats == sorted(model.held) and len(model.cats) < n and sum(v[0] for v in model.held.values()) == n
+    labels, totals = cells.label, np.zeros((n + len(picked) + 2, 8))
+    np.add.at(totals, (labels[resp[0][:-1]], resp[1]), resp[2])
+    assert all(np.allclose(v[1], totals[c]) for c, v in model.held.items())
+
+
+def test_chains_of_different_params_run_side_by_side(spark):
+    from unicat.operators import sampler
+
+    resp, edges, items, e_0 = _graph(spark)
+    kinds = [Params(steps=4, initial=x, beta=0.5, model_words=w) for x, w in (("one", 4), ("singletons", 3))]
+    both = sampler.run_chains(spark, resp, edges, 6, e_0, kinds, [1, 2], items)
+    for i, p in enumerate(kinds):
+        alone = sampler.run_chains(spark, resp, edges, 6, e_0, p, [1 + i], items)
+        cut = lambda t, c: [tuple(r)[1:9] for r in t.where(f"chain = {c}").orderBy("step").collect()]
+        assert cut(both, i) == cut(alone, 0)
