@@ -111,3 +111,13 @@ def test_nearest_by_single_precision_bounds(spark, monkeypatch):
     monkeypatch.setattr(graph, "BLOCK_ITEMS", 25)
     for mode in ("union", "mutual"):
         assert sorted(graph.nearest_items(resp, 12, 0.7, 0.01, 3, mode).collect()) == sorted(graph.nearest(pairs, 3, mode).collect())
+
+
+def test_blocks_meet_in_some_tasks_a_core_however_finely_they_are_split(spark):
+    from unicat.operators import graph
+
+    blocks = spark.range(0, 120, 1, 60).selectExpr("id as block")
+    met = graph._met(blocks)
+    assert met.rdd.getNumPartitions() <= 25 * spark.sparkContext.defaultParallelism  # 3,600 before
+    pairs = {frozenset((r.x_block, r.y_block)) for r in met.collect()}
+    assert len(pairs) == met.count() == 120 * 121 // 2
