@@ -121,3 +121,13 @@ def test_blocks_meet_in_some_tasks_a_core_however_finely_they_are_split(spark):
     assert met.rdd.getNumPartitions() <= 25 * spark.sparkContext.defaultParallelism  # 3,600 before
     pairs = {frozenset((r.x_block, r.y_block)) for r in met.collect()}
     assert len(pairs) == met.count() == 120 * 121 // 2
+
+
+def test_the_set_of_documents_writes_no_copy_of_their_texts(spark, sf, monkeypatch):
+    from unicat.workloads import item_sets
+
+    made = []
+    monkeypatch.setattr(item_sets, "held", lambda spark, sf_dir, what, make: made.append(what) or make())
+    items, resp, *_ = item_sets.responses(spark, sf, "text")
+    assert not [what for what in made if what.startswith("texts")] and items.columns == ["item_id", "truth"]
+    assert items.count() == spark.read.parquet(f"{sf}/documents.parquet").count()
