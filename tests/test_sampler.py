@@ -195,3 +195,28 @@ def test_chains_of_different_params_run_side_by_side(spark):
         alone = sampler.run_chains(spark, resp, edges, 6, e_0, p, [1 + i], items)
         cut = lambda t, c: [tuple(r)[1:9] for r in t.where(f"chain = {c}").orderBy("step").collect()]
         assert cut(both, i) == cut(alone, 0)
+
+
+@pytest.mark.parametrize("options", [{"initial": "singletons"}, {"initial": "one", "rule": "kl_gain"}, {"initial": "random", "fidelity": "paper", "scope": "any"}])
+def test_proposals_are_weighed_many_at_a_time_with_the_same_trace(options, monkeypatch):
+    """Categories are weighed ahead for later proposals, fewer passes than proposals, and an accepted move is never overlooked."""
+    from unicat.operators import sampler
+
+    r = np.random.default_rng(5)
+    n, passes, proposals = 400, [], []
+    resp = np.where(r.uniform(size=(n, 20)) < 0.5, np.round(r.uniform(0.1, 0.9, (n, 20)), 1), 0.0)  # with ties, and categories of few words
+    pairs = np.unique(np.sort(r.integers(0, n, (900, 2)), axis=1), axis=0)
+    pairs = pairs[pairs[:, 0] != pairs[:, 1]]
+    edges = pairs[:, 0], pairs[:, 1], r.uniform(0.05, 0.5, len(pairs))
+    p = Params(**{"beta": 2.0, "model_words": 6, "steps": 25, "patience": 99} | options)
+    chain = Chain(range(n), resp, edges, np.full(20, 0.2), p)
+    kl_of, picks = sampler.Model.kl_of, Chain.picks
+    monkeypatch.setattr(sampler.Model, "kl_of", lambda self, e, o: passes.append(1) or kl_of(self, e, o))
+    monkeypatch.setattr(Chain, "picks", lambda self, atoms, step: proposals.extend(out := picks(self, atoms, step)) or out)
+    trace, best, last = chain.run()
+    assert abs(trace[-1][2] - chain.energy(last)) < 1e-8 and abs(min(t[2] for t in trace) - chain.energy(best)) < 1e-8
+    if options["initial"] == "singletons":
+        assert len(passes) < 0.75 * len(proposals)
+    monkeypatch.setattr(sampler, "AHEAD", 1)
+    again = Chain(range(n), resp, edges, np.full(20, 0.2), p).run()
+    assert again[0] == trace and np.array_equal(again[1], best)
